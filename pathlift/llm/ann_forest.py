@@ -188,12 +188,11 @@ def _best(ids: np.ndarray, scores: np.ndarray, k: int) -> np.ndarray:
     return np.lexsort((ids, -scores))[:k]
 
 
-def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_share: float = 1.25, open_least: int = 4096, block_rows: int = 8192, **forest_settings) -> DataFrame:
+def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_share: float = 1.25, open_least: int = 2048, block_rows: int = 8192, **forest_settings) -> DataFrame:
     """(query_id, rank, vec_id, score): the k rows of ``df`` found nearest to each query.
 
-    A query opens leaves until they hold ``max(open_least * trees, open_share * N)``
-    rows, counted once in every tree; below ``open_least`` rows in all, that is every
-    leaf and the answer is exact.  A row with the query's id is its own and left out;
+    A query opens leaves until they hold ``open_share * N`` rows, a row counted once in
+    every tree; up to ``open_least`` rows in all it opens every leaf, so the answer is exact.  A row with the query's id is its own and left out;
     rows that repeat an id count once, with their best score.  Scores are double
     inner products of the original vectors, ties go to the smaller id.  No usable
     vector or query gives no row.
@@ -203,13 +202,14 @@ def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_co
     schema = "query_id long, rank int, vec_id long, score double"
     if forest is None:
         return df.sparkSession.createDataFrame([], schema)
-    dim, trees = forest.normals.shape[2] - 1, len(forest.normals)
+    dim = forest.normals.shape[2] - 1
     index = keep(_file_rows(rows, forest), "forest")
     counts = {(r[0], r[1]): int(r[2]) for r in index.groupBy("tree", "leaf").agg(F.sum("n")).collect()}  # trees * leaves rows at most
-    sizes = np.zeros((trees, 2**forest.depth), dtype=np.int64)
+    sizes = np.zeros((len(forest.normals), 2**forest.depth), dtype=np.int64)
     for key, n in counts.items():
         sizes[key] = n
-    wanted = max(open_least * trees, open_share * sizes[0].sum())
+    total = int(sizes[0].sum())
+    wanted = open_share * total if total > open_least else float("inf")
     asked = keep(_file_queries(usable(queries, id_col, vector_col).where(F.size("v") == dim), forest, sizes, wanted), "asked")
     load = {(r[0], r[1]): int(r[2]) for r in asked.groupBy("tree", "leaf").agg(F.sum("n")).collect()}
     pairs = _packed(index, counts, block_rows).withColumnRenamed("b", "rows").join(_packed(asked, load, block_rows // 8).select("tree", "leaf", F.col("b").alias("queries")), ["tree", "leaf"])
