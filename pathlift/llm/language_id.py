@@ -77,11 +77,15 @@ def fit_language_model(labelled: DataFrame, text_col: str = "text", lang_col: st
     nothing.  An empty table gives a model that answers ``und``.
     """
     named = labelled.where(F.col(lang_col).isNotNull())
-    langs = [r[0] for r in named.groupBy(F.col(lang_col).alias("lang")).count().orderBy(F.desc("count"), "lang").limit(max_languages).collect()]
+    counted = named.groupBy(F.col(lang_col).alias("lang")).count().orderBy(F.desc("count"), "lang").limit(max_languages).collect()
+    langs = [r[0] for r in counted]
+    # only hashes below this level of a language reach the sort: about four times the rows wanted
+    level = [F.when(F.col("lang") == r[0], F.lit(int(min(1.0, 4 * rows_per_language / r[1]) * 2**62))) for r in counted]
     order = Window.partitionBy("lang").orderBy("h", "id")
     picked = (
         named.where(F.col(lang_col).isin(langs))
-        .select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id"), F.xxhash64(F.col(id_col)).alias("h"))
+        .select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id"), F.pmod(F.xxhash64(F.col(id_col)), F.lit(2**62)).alias("h"))
+        .where(F.col("h") <= F.coalesce(*level, F.lit(-1)))
         .withColumn("n", F.row_number().over(order))
         .where(F.col("n") <= rows_per_language)
         .select("id", "lang", "n")
