@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -61,3 +62,33 @@ def keep(df: DataFrame, purpose: str) -> DataFrame:
     path = shared_dir(spark, purpose)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+class Workspace:
+    """Written intermediate tables of one run, in the folder all machines share.
+
+    ``keep`` writes a frame and reads it again, which cuts its lineage: a lost
+    executor costs no recomputation.  Shuffle files of finished steps are released
+    at once rather than at the next garbage collection of the driver.
+    """
+
+    def __init__(self, spark: SparkSession, purpose: str):
+        self.spark, self.base = spark, shared_dir(spark, purpose)
+
+    def _path(self, name: str):
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.base}/{name}")
+        return path, path.getFileSystem(self.spark._jsc.hadoopConfiguration())
+
+    def keep(self, df: DataFrame, name: str) -> DataFrame:
+        df.write.parquet(f"{self.base}/{name}")
+        schema = df.schema
+        del df
+        gc.collect()
+        self.spark._jvm.System.gc()
+        return self.spark.read.schema(schema).parquet(f"{self.base}/{name}")
+
+    def forget(self, *names: str) -> None:
+        """Removes tables that nothing reads any more."""
+        for name in names:
+            path, fs = self._path(name)
+            fs.delete(path, True)

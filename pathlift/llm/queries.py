@@ -17,6 +17,12 @@ def op1_ann_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nearest(rows, rows.where("vec_id % 20 = 0"))
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .substring_dedup import remove_repeats
+
+    return remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .secret_scan import scan_secrets
 
@@ -44,12 +50,25 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
         op1_ann_forest,
+        op4_substring_dedup,
         op5_secret_scan,
         op9_warc,
         op10_language_id,
     )
 }
 ORACLES: dict[str, str] = {
+    "op4_substring_dedup": r"""
+WITH d AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+p AS (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d),
+win AS (SELECT doc_id, i, list_slice(w, i, i + 12) AS g FROM p WHERE i + 12 <= len(w)),
+low AS (SELECT g, min(doc_id) AS lo FROM win GROUP BY g),
+hit AS (SELECT DISTINCT doc_id, i + k AS i FROM win JOIN low USING (g), (SELECT unnest(range(0, 13)) AS k) WHERE doc_id > lo),
+kept AS (
+    SELECT p.doc_id, count(*) AS n, string_agg(w[p.i], ' ' ORDER BY p.i) AS body
+    FROM p LEFT JOIN hit ON hit.doc_id = p.doc_id AND hit.i = p.i WHERE hit.i IS NULL GROUP BY p.doc_id)
+SELECT d.doc_id, len(w)::BIGINT AS n_words, (len(w) - coalesce(n, 0))::BIGINT AS n_removed, sha256(coalesce(body, '')) AS kept_sha256
+FROM d LEFT JOIN kept USING (doc_id)
+""",
     "op9_warc": """
 WITH p AS (SELECT page_id, encode(coalesce(html, '')) AS body FROM pages),
 d AS (SELECT page_id, octet_length(body) AS n, sha1(body) AS digest FROM p),
