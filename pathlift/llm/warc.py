@@ -97,21 +97,17 @@ class _Roller:
             self.out, self.sequence = None, self.sequence + 1
 
 
-def _typed(pages: DataFrame, least: int) -> DataFrame:
-    """(page_id, url, payload, digest, refers_to, refers_url)."""
-    rows = pages.select("page_id", "url", F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("payload"))
-    rows = rows.withColumn("digest", F.sha1("payload"))
-    large = rows.where((F.length("payload") >= least) & F.col("page_id").isNotNull())
+def _revisits(pages: DataFrame, least: int) -> DataFrame:
+    """(page_id, digest, refers_to, refers_url) of the pages that revisit another; no payload travels."""
+    body = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
+    large = pages.where((F.length(body) >= least) & F.col("page_id").isNotNull()).select("page_id", "url", F.sha1(body).alias("digest"))
     groups = (
         large.groupBy("digest")
         .agg(F.max("page_id").alias("refers_to"), F.max_by("url", F.struct("page_id", "url")).alias("refers_url"), F.count(F.lit(1)).alias("n"))
         .where("n > 1")
         .drop("n")
     )
-    own = (F.col("page_id") == F.col("refers_to")) | F.col("page_id").isNull()
-    return rows.join(groups, "digest", "left").select(
-        "page_id", "url", "payload", "digest", F.when(~own, F.col("refers_to")).alias("refers_to"), F.when(~own, F.col("refers_url")).alias("refers_url")
-    )
+    return large.select("page_id", "digest").distinct().join(groups, "digest").where("page_id <> refers_to")
 
 
 def _shard_of(pages: DataFrame, shard_bytes: int):
@@ -144,13 +140,17 @@ def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col:
     spark = pages.sparkSession
     pages = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(payload_col).cast("string").alias("html"))
     shard, n = _shard_of(pages, shard_bytes)
-    rows = _typed(pages, revisit_bytes).withColumn("shard", shard)
-    placed = rows.repartitionByRange(n, "shard").sortWithinPartitions("shard", "page_id", "digest", "url")
+    body = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
+    rows = pages.select("page_id", "url", F.lit(1).alias("kind"), F.sha1(body).alias("digest"), body.alias("payload"))
+    notes = _revisits(pages, revisit_bytes).withColumn("kind", F.lit(0))
+    # a page's note, if any, sorts right before it: payloads are shuffled once only
+    both = rows.unionByName(notes, allowMissingColumns=True).withColumn("shard", shard)
+    placed = both.repartitionByRange(n, "shard").sortWithinPartitions("shard", "page_id", "digest", "kind", "url")
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, base = _filesystem(folder)
         fs.create_dir(base, recursive=True)
-        roller, done = None, []
+        roller, done, noted = None, [], (None, None, None, None)
         for batch in batches:
             col = {n: batch.column(i) for i, n in enumerate(batch.schema.names)}
             for k in range(batch.num_rows):
@@ -160,8 +160,12 @@ def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col:
                         roller.close()
                         done += roller.done
                     roller = _Roller(fs, base, at, roll_bytes)
-                page, url, payload, digest, to, to_url = (col[c][k].as_py() for c in ("page_id", "url", "payload", "digest", "refers_to", "refers_url"))
-                roller.add(record_bytes(page, url, payload, digest, to, to_url, date))
+                page, digest = col["page_id"][k].as_py(), col["digest"][k].as_py()
+                if not col["kind"][k].as_py():
+                    noted = (page, digest, col["refers_to"][k].as_py(), col["refers_url"][k].as_py())
+                    continue
+                to, to_url = noted[2:] if noted[:2] == (page, digest) else (None, None)
+                roller.add(record_bytes(page, col["url"][k].as_py(), col["payload"][k].as_py(), digest, to, to_url, date))
         if roller is not None:
             roller.close()
             done += roller.done
