@@ -135,8 +135,8 @@ def shingle_sets(words: Words, k: int) -> list[np.ndarray]:
         elif count:
             part = np.zeros(1, dtype=np.uint64)
             for j in range(count):
-                part += h[first + j] * _POSITION_CODE[j]
-            out.append(mix64(part + np.uint64(count) * _POSITION_CODE[63]))
+                part += h[first + j : first + j + 1] * _POSITION_CODE[j]
+            out.append(mix64(part + _POSITION_CODE[63:] * np.uint64(count)))
         else:
             out.append(np.zeros(0, np.uint64))
     return out
