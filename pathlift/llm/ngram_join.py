@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 
 from .components import connected
 from .frames import Workspace
+from .key_filter import KeyFilter, key_filter
 from .textkernel import Words, row_slices, shingle_sets, string_buffers
 
 
@@ -190,31 +191,15 @@ def _prefixes(docs: DataFrame, similarity: Similarity, frequent: tuple[int, np.n
     return docs.mapInArrow(run, "token long, node long, n int, l byte")
 
 
-def _member_filter(nodes: DataFrame) -> tuple[int, np.ndarray]:
-    """(mask, words) of a Bloom filter over nodes, of 64 MB at most; it only saves work."""
-    count = nodes.count()
-    mask = (1 << int(min(29, max(16, np.ceil(np.log2(8 * max(count, 1))))))) - 1
-    bit = F.explode(F.array(F.col("node").bitwiseAND(F.lit(mask)), F.shiftrightunsigned("node", 30).bitwiseAND(F.lit(mask))))
-    words = nodes.select(bit.alias("p")).groupBy(F.shiftright("p", 6).alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(p & 63 as int)))").alias("bits")).toArrow()
-    table = np.zeros((mask + 1) >> 6, dtype=np.int64)
-    table[words.column("w").to_numpy()] = words.column("bits").to_numpy()
-    return mask, table
-
-
-def _set_table(docs: DataFrame, words: int, wanted: tuple[int, np.ndarray]) -> DataFrame:
+def _set_table(docs: DataFrame, words: int, wanted: KeyFilter) -> DataFrame:
     """(node, n, low, high): 40-bit codes of the sets of wanted nodes, once each."""
-    mask, table = wanted
-
-    def has(node: int) -> bool:
-        return all(int(table[p >> 6]) >> (p & 63) & 1 for p in (node & mask, ((node % (1 << 64)) >> 30) & mask))
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
         for batch in batches:
             out = []
             for _, s in _sets(batch, words):
                 node = _node(s)
-                if len(s) and node not in seen and has(node):
+                if len(s) and node not in seen and wanted.has(np.array([node]))[0]:
                     seen.add(node)
                     code = s >> np.uint64(24)
                     out.append((node, len(s), code.astype(np.uint32).tobytes(), (code >> np.uint64(32)).astype(np.uint8).tobytes()))
@@ -276,7 +261,7 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     postings = work.keep(prefixes.join(met, "token").dropDuplicates(["token", "node"]), "postings")
     nodes = work.keep(postings.select("node").distinct(), "nodes")
     wanted = nodes.count()
-    sets = work.keep(_set_table(named, words, _member_filter(nodes)), "sets")
+    sets = work.keep(_set_table(named, words, key_filter(nodes, "node")), "sets")
 
     known = facts.where("n > 0 AND doc_id IS NOT NULL")
     first = known.groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z")

@@ -27,7 +27,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .frames import Workspace, add_columns
+from .frames import Workspace
+from .key_filter import KeyFilter, key_filter
 from .textkernel import _BASE, _BASE_INVERSE, Words, _powers, gram_hashes, mix64, row_slices, string_buffers
 
 
@@ -102,6 +103,16 @@ def _windows(docs: DataFrame, window: int) -> DataFrame:
     return docs.mapInArrow(run, "window long, doc_id long, mark int, first int")
 
 
+def _listed(docs: DataFrame, listed: KeyFilter) -> DataFrame:
+    """Documents (doc_id, text, mark) whose id may be listed; the others need not travel."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(listed.has(batch.column(3).to_numpy()))).select([0, 1, 2])
+
+    return docs.select("doc_id", "text", "mark", F.xxhash64("doc_id").alias("h")).mapInArrow(run, "doc_id long, text string, mark int")
+
+
 def find_repeats(docs: DataFrame, window: int, anchor: int, work: Workspace) -> DataFrame:
     """(doc_id, mark, spans): runs of windows (first, n) that a smaller id holds too."""
     seeds = _scan(docs, window, anchor, False).groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
@@ -111,8 +122,9 @@ def find_repeats(docs: DataFrame, window: int, anchor: int, work: Workspace) ->
     matched = whole.where("doc_id > lo").select("doc_id", "mark", "first", "n")
     # first documents of stretches around anchors with several different stretches
     several = classes.groupBy("anchor").agg(F.min("context").alias("a"), F.max("context").alias("b")).where("a <> b").select("anchor")
-    heads = whole.where("doc_id = lo").join(several, "anchor").groupBy("doc_id", "mark").agg(F.collect_set(F.struct("first", "n")).alias("s"))
-    windows = work.keep(_windows(docs.join(heads, ["doc_id", "mark"]).select("doc_id", "text", "mark", "s"), window), "windows")
+    heads = work.keep(whole.where("doc_id = lo").join(several, "anchor").groupBy("doc_id", "mark").agg(F.collect_set(F.struct("first", "n")).alias("s")), "heads")
+    listed = _listed(docs, key_filter(heads.select(F.xxhash64("doc_id").alias("h")), "h"))
+    windows = work.keep(_windows(listed.join(heads, ["doc_id", "mark"]).select("doc_id", "text", "mark", "s"), window), "windows")
     least = windows.groupBy("window").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi")
     single = windows.join(least, "window").where("doc_id > lo").select("doc_id", "mark", "first", F.lit(1).cast("byte").alias("n"))
     return matched.unionByName(single).groupBy("doc_id", "mark").agg(F.collect_list(F.struct("first", "n")).alias("spans"))
@@ -142,27 +154,42 @@ def remove_repeats(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.hash(F.col(text_col).cast("string")).alias("mark"))
     work = Workspace(df.sparkSession, "repeats")
     found = work.keep(find_repeats(docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()), window, anchor, work), "spans")
-    work.forget("shared", "classes", "windows")
-    rows = docs.join(found, ["doc_id", "mark"], "left").select("doc_id", "text", "spans")
+    work.forget("shared", "classes", "heads", "windows")
+    listed = key_filter(found.select(F.xxhash64("doc_id").alias("h")), "h")
     fields = [("n_words", T.LongType()), ("n_removed", T.LongType()), ("kept_sha256", T.StringType())]
     if with_text:
         fields += [("repeats", T.ArrayType(T.StructType([T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())]))), ("kept_text", T.StringType())]
+    types = (pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])), pa.string())[: len(fields)]
+
+    def judged(text: str | None, spans: list) -> tuple:
+        words = (text or "").encode().split()
+        repeats = merged([(s["first"], s["n"]) for s in spans], window)
+        kept, at = [], 0
+        for a, b in repeats:
+            kept += words[at:a]
+            at = b
+        body = b" ".join(kept + words[at:])
+        return len(words), sum(b - a for a, b in repeats), hashlib.sha256(body).hexdigest(), [{"start": a, "end": b} for a, b in repeats], body.decode() if with_text else None
+
+    def early(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # rows without repeats are finished here and travel without their text
+        for batch in batches:
+            wait = listed.has(batch.column(3).to_numpy()) & ~np.asarray(batch.column(0).is_null())
+            texts = [x.as_py() for x in batch.column(1)]
+            done = [None if w else judged(t, []) for w, t in zip(wait.tolist(), texts, strict=True)]
+            columns = [batch.column(0), batch.column(2), pa.array([t if w else None for w, t in zip(wait.tolist(), texts, strict=True)], pa.string()), pa.array(wait)]
+            columns += [pa.array([d and d[i] for d in done], t) for i, t in enumerate(types)]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "mark", "text", "wait", *[n for n, _ in fields]])
+
+    first = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("mark", T.IntegerType()), T.StructField("text", T.StringType()), T.StructField("wait", T.BooleanType()), *[T.StructField(n, t) for n, t in fields]])
+    rows = docs.select("doc_id", "text", "mark", F.xxhash64("doc_id").alias("h")).mapInArrow(early, first).join(found, ["doc_id", "mark"], "left")
+
+    def late(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            col = dict(zip(batch.schema.names, batch.columns, strict=True))
+            out = []
+            for k, wait in enumerate(col["wait"].to_pylist()):
+                out.append(judged(col["text"][k].as_py(), col["spans"][k].as_py() or []) if wait else tuple(col[n][k].as_py() for n, _ in fields))
+            yield pa.RecordBatch.from_arrays([col["doc_id"], *[pa.array([o[i] for o in out], t) for i, t in enumerate(types)]], names=["doc_id", *[n for n, _ in fields]])
 
-    def make(batch: pa.RecordBatch) -> list:
-        out = []
-        for text, spans in zip(batch.column(1), batch.column(2), strict=True):
-            words = (text.as_py() or "").encode().split()
-            repeats = merged([(s["first"], s["n"]) for s in spans.as_py() or []], window)
-            kept = words
-            if repeats:
-                kept, at = [], 0
-                for a, b in repeats:
-                    kept += words[at:a]
-                    at = b
-                kept += words[at:]
-            body = b" ".join(kept)
-            out.append((len(words), len(words) - len(kept), hashlib.sha256(body).hexdigest(), [{"start": a, "end": b} for a, b in repeats], body.decode() if with_text else None))
-        types = (pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])), pa.string())
-        return [pa.array([o[i] for o in out], t) for i, t in enumerate(types[: len(fields)])]
-
-    return add_columns(rows, fields, make).drop("text", "spans")
+    return rows.mapInArrow(late, T.StructType([first["doc_id"], *[T.StructField(n, t) for n, t in fields]]))
