@@ -68,8 +68,8 @@ class Workspace:
     """Written intermediate tables of one run, in the folder all machines share.
 
     ``keep`` writes a frame and reads it again, which cuts its lineage: a lost
-    executor costs no recomputation.  Shuffle files of finished steps are released
-    at once rather than at the next garbage collection of the driver.
+    executor costs no recomputation.  After large steps (``release``) the shuffle files
+    behind them go at once rather than at the next garbage collection of the driver.
     """
 
     def __init__(self, spark: SparkSession, purpose: str):
@@ -79,12 +79,13 @@ class Workspace:
         path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.base}/{name}")
         return path, path.getFileSystem(self.spark._jsc.hadoopConfiguration())
 
-    def keep(self, df: DataFrame, name: str) -> DataFrame:
+    def keep(self, df: DataFrame, name: str, *, release: bool = False) -> DataFrame:
         df.write.parquet(f"{self.base}/{name}")
         schema = df.schema
-        del df
-        gc.collect()
-        self.spark._jvm.System.gc()
+        if release:
+            del df
+            gc.collect()
+            self.spark._jvm.System.gc()
         return self.spark.read.schema(schema).parquet(f"{self.base}/{name}")
 
     def forget(self, *names: str) -> None:

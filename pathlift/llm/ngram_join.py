@@ -6,11 +6,13 @@ similar they share at least t(x) = ceil(s * |x|) shingles, so the first
 |x| - t(x) + l shingles of both hold l common ones at least.  Each document chooses
 its own l: a longer prefix costs more postings but demands more matches, and the l
 with the least estimated cost, from the document counts of the prefix, is taken.  A
-pair has to share min(l(x), l(y)) prefix shingles before it is verified.
+pair that needs an overlap of o by its sizes has to share, in the two prefixes,
+min(o - t(x) + l(x), o - t(y) + l(y)) shingles before it is verified.
 
 Copies.  Equal shingle sets are one node.  Near copies would meet in all pairs, so
 before the join each node is compared with one centre, the node most of its
-shared prefix shingles elect.  Verified pairs are contracted to components, and only
+shared prefix shingles elect: each elects the most typical of its nodes, whose
+shingles most documents have (in later rounds, any).  Verified pairs are contracted to components, and only
 shingles that still join different components emit pairs.  Every pair of different
 components that shares enough prefix shingles is verified, so no link between
 components is lost; pairs inside a component cannot change the result.
@@ -157,7 +159,7 @@ def chosen_prefix(shingles: np.ndarray, counts: np.ndarray, similarity: Similari
 
 
 def _prefixes(docs: DataFrame, similarity: Similarity, frequent: tuple[int, np.ndarray, np.ndarray]) -> DataFrame:
-    """(token, node, n, l) of every node's prefix; a task emits a node once."""
+    """(token, node, n, l, w) of every node's prefix, w being how typical its shingles are; a task emits a node once."""
     bits, codes, often = frequent
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -175,7 +177,7 @@ def _prefixes(docs: DataFrame, similarity: Similarity, frequent: tuple[int, np.n
                         at = np.minimum(np.searchsorted(codes, own), len(codes) - 1)
                         counts = np.where(codes[at] == own, often[at], 0)
                     prefix, demanded = chosen_prefix(s, counts, similarity)
-                    out.append((prefix, node, len(s), demanded))
+                    out.append((prefix, node, len(s), demanded, int(min(16 * counts.mean(), 2**31 - 1))))
                     size += len(prefix)
                 if size > 500_000:
                     yield packed(out)
@@ -186,9 +188,9 @@ def _prefixes(docs: DataFrame, similarity: Similarity, frequent: tuple[int, np.n
     def packed(out: list[tuple]) -> pa.RecordBatch:
         lengths = [len(o[0]) for o in out]
         spread = lambda i, t: pa.array(np.repeat(np.array([o[i] for o in out], dtype=t), lengths))
-        return pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[0] for o in out]).view(np.int64)), spread(1, np.int64), spread(2, np.int32), spread(3, np.int8)], names=["token", "node", "n", "l"])
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[0] for o in out]).view(np.int64)), spread(1, np.int64), spread(2, np.int32), spread(3, np.int8), spread(4, np.int32)], names=["token", "node", "n", "l", "w"])
 
-    return docs.mapInArrow(run, "token long, node long, n int, l byte")
+    return docs.mapInArrow(run, "token long, node long, n int, l byte, w int")
 
 
 def _set_table(docs: DataFrame, words: int, wanted: KeyFilter) -> DataFrame:
@@ -239,6 +241,13 @@ def _in_range(n: str, m: str, similarity: Similarity):
     return low * 100 >= high * similarity.percent
 
 
+def _demanded(similarity: Similarity):
+    """Common prefix shingles that a similar pair of sizes n, m and own demands l, k must have."""
+    own = lambda n: f"ceil({n} * {similarity.percent} / 100.0D)"
+    overlap = f"ceil((n + m) * {similarity.percent} / {100.0 + similarity.percent}D - 1e-9D)"
+    return F.expr(f"least({overlap} - {own('n')} + l, {overlap} - {own('m')} + k)")
+
+
 def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, words: int = 5, percent: int = 80, rounds: int = 4, pairs_per_node: int = 4) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row.
 
@@ -258,35 +267,41 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     total = facts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     prefixes = _prefixes(named, similarity, frequent_shingles(named, words, total))
     met = prefixes.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("token")
-    postings = work.keep(prefixes.join(met, "token").dropDuplicates(["token", "node"]), "postings")
-    nodes = work.keep(postings.select("node").distinct(), "nodes")
+    postings = work.keep(prefixes.join(met, "token").dropDuplicates(["token", "node"]), "postings", release=True)
+    # c met prefix shingles bound the size of a similar partner: o - t + l <= c
+    share = f"{(100.0 + percent) / percent}D"
+    reach = F.expr(f"cast(floor((count(1) + ceil(first(n) * {percent} / 100.0D) - first(l)) * {share} + 1e-6D) as bigint) - first(n)")
+    nodes = work.keep(postings.groupBy("node").agg(reach.alias("most")), "nodes")
     wanted = nodes.count()
-    sets = work.keep(_set_table(named, words, key_filter(nodes, "node")), "sets")
+    sets = work.keep(_set_table(named, words, key_filter(nodes, "node")), "sets", release=True)
 
     known = facts.where("n > 0 AND doc_id IS NOT NULL")
     first = known.groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z")
     links = work.keep(known.join(first, "doc_id").where("node <> a").select("a", F.col("node").alias("b")), "links-repeated")
     labels = connected(links, work, "cc-repeated")
-    step = 0
+    step = gained = 0
     while wanted:
-        placed = postings.join(labels, "node", "left").select("token", "node", "n", "l", F.coalesce("root", "node").alias("root"))
+        known_nodes = nodes.join(labels, "node", "left").select("node", "most", F.coalesce("root", "node").alias("root"))
+        placed = postings.join(known_nodes, "node").select("token", "node", "n", "l", "w", "most", "root")
         counted = placed.groupBy("token", "root").count().groupBy("token").agg(F.sum("count").alias("n"), F.sum(F.col("count") * F.col("count")).alias("s"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
         open_tokens = work.keep(counted.select("token", ((F.col("n") * F.col("n") - F.col("s")) / 2).alias("pairs")), f"open-{step}")
         ahead = open_tokens.agg(F.coalesce(F.sum("pairs"), F.lit(0))).first()[0]
-        rows = work.keep(placed.join(open_tokens.select("token"), "token"), f"rows-{step}")
+        rows = work.keep(placed.join(open_tokens.select("token"), "token"), f"rows-{step}", release=True)
         if not ahead:
             break
-        last = step >= rounds or ahead <= pairs_per_node * wanted
+        last = step >= rounds or ahead <= pairs_per_node * wanted or (step > 0 and gained < wanted // 100)
         if last:
-            other = rows.select("token", F.col("node").alias("b"), F.col("n").alias("m"), F.col("l").alias("k"), F.col("root").alias("other"))
-            met = rows.withColumnRenamed("node", "a").join(other, "token").where("a < b AND root <> other").where(_in_range("n", "m", similarity))
-            pairs = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"), F.first(F.least("l", "k")).alias("demanded")).where("common >= demanded")
+            other = rows.select("token", F.col("node").alias("b"), F.col("n").alias("m"), F.col("l").alias("k"), F.col("root").alias("other"), F.col("most").alias("reach"))
+            met = rows.withColumnRenamed("node", "a").join(other, "token").where("a < b AND root <> other AND m <= most AND n <= reach").where(_in_range("n", "m", similarity))
+            pairs = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"), F.first(_demanded(similarity)).alias("demanded")).where("common >= demanded")
         else:
-            centre = rows.groupBy("token").agg(F.max_by(F.struct("node", "n", "root"), F.xxhash64("node", F.lit(step))).alias("c"))
-            near = rows.join(centre, "token").where("root <> c.root").where(_in_range("n", "c.n", similarity))
+            typical = F.col("w") if step < 2 else F.lit(0)
+            centre = rows.groupBy("token").agg(F.max_by(F.struct("node", "n", "root", "most"), F.struct(typical, F.xxhash64("node", F.lit(step)))).alias("c"))
+            near = rows.join(centre, "token").where("root <> c.root AND c.n <= most AND n <= c.most").where(_in_range("n", "c.n", similarity))
             votes = near.groupBy("node", F.col("c.node").alias("centre")).count()
             pairs = votes.groupBy(F.col("node").alias("a")).agg(F.max_by("centre", F.struct("count", "centre")).alias("b"))
         found = work.keep(_verified(work.keep(pairs.select("a", "b"), f"pairs-{step}"), sets, similarity), f"links-{step}")
+        gained = found.count()
         links = work.keep(links.unionByName(found), f"all-{step}")
         labels = connected(links, work, f"cc-{step}")
         work.forget(f"rows-{step}", f"pairs-{step}")

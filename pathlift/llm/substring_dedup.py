@@ -116,15 +116,15 @@ def _listed(docs: DataFrame, listed: KeyFilter) -> DataFrame:
 def find_repeats(docs: DataFrame, window: int, anchor: int, work: Workspace) -> DataFrame:
     """(doc_id, mark, spans): runs of windows (first, n) that a smaller id holds too."""
     seeds = _scan(docs, window, anchor, False).groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
-    shared = work.keep(_scan(docs, window, anchor, True).join(seeds, "anchor"), "shared")
-    classes = work.keep(shared.groupBy("anchor", "context").agg(F.min("doc_id").alias("lo")), "classes")
+    shared = work.keep(_scan(docs, window, anchor, True).join(seeds, "anchor"), "shared", release=True)
+    classes = work.keep(shared.groupBy("anchor", "context").agg(F.min("doc_id").alias("lo")), "classes", release=True)
     whole = shared.join(classes.select("context", "anchor", "lo"), ["anchor", "context"])
     matched = whole.where("doc_id > lo").select("doc_id", "mark", "first", "n")
     # first documents of stretches around anchors with several different stretches
     several = classes.groupBy("anchor").agg(F.min("context").alias("a"), F.max("context").alias("b")).where("a <> b").select("anchor")
     heads = work.keep(whole.where("doc_id = lo").join(several, "anchor").groupBy("doc_id", "mark").agg(F.collect_set(F.struct("first", "n")).alias("s")), "heads")
     listed = _listed(docs, key_filter(heads.select(F.xxhash64("doc_id").alias("h")), "h"))
-    windows = work.keep(_windows(listed.join(heads, ["doc_id", "mark"]).select("doc_id", "text", "mark", "s"), window), "windows")
+    windows = work.keep(_windows(listed.join(heads, ["doc_id", "mark"]).select("doc_id", "text", "mark", "s"), window), "windows", release=True)
     least = windows.groupBy("window").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi")
     single = windows.join(least, "window").where("doc_id > lo").select("doc_id", "mark", "first", F.lit(1).cast("byte").alias("n"))
     return matched.unionByName(single).groupBy("doc_id", "mark").agg(F.collect_list(F.struct("first", "n")).alias("spans"))
@@ -153,7 +153,7 @@ def remove_repeats(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.hash(F.col(text_col).cast("string")).alias("mark"))
     work = Workspace(df.sparkSession, "repeats")
-    found = work.keep(find_repeats(docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()), window, anchor, work), "spans")
+    found = work.keep(find_repeats(docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()), window, anchor, work), "spans", release=True)
     work.forget("shared", "classes", "heads", "windows")
     listed = key_filter(found.select(F.xxhash64("doc_id").alias("h")), "h")
     fields = [("n_words", T.LongType()), ("n_removed", T.LongType()), ("kept_sha256", T.StringType())]
