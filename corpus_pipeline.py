@@ -1,16 +1,80 @@
-"""The corpus pipeline: stages over documents, each written and read again."""
+"""The corpus pipeline: stages over documents, each written and read again by its caller.
+
+toxicity, n-gram Jaccard join, secret scan and source mixing return the columns of
+documents; the last stage encodes what is left.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from pathlift.llm.frames import Workspace, held_out, table
+from pathlift.llm.mixing import mix_documents
+from pathlift.llm.ngram_join import similar_groups
+from pathlift.llm.pieces import encode_documents, load_pieces
+from pathlift.llm.queries import PIECE_MODEL
+from pathlift.llm.secret_scan import scan_secrets
+from pathlift.llm.toxicity import fit_toxicity, score_toxicity
+
+COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the toxicity model does not reject; labels of the held-out quarter teach nothing."""
+    labels = table(spark, sf_dir, "labels").select("doc_id", "toxic").where(~held_out())
+    model = fit_toxicity(docs.select("doc_id", "text"), labels)
+    return score_toxicity(docs.select(*COLUMNS), model).where("predicted = 0").select(*COLUMNS)
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document, the one with the smallest id, of each group of near copies (5 words, 0.8).
+
+    Rows that repeat an id count as one document; documents without an id stay.
+    """
+    groups = similar_groups(docs.select("doc_id", "text"), words=5, percent=80)
+    kept = groups.where("doc_id = component_id").select("doc_id").distinct()
+    named = docs.select(*COLUMNS).join(kept, "doc_id").dropDuplicates(["doc_id"])
+    return named.unionByName(docs.where(F.col("doc_id").isNull()).select(*COLUMNS)).select(*COLUMNS)
+
+
+def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every document, with the secrets of its text (nested encodings too) replaced by a mark."""
+    found = scan_secrets(docs.select(*COLUMNS), redacted_col="text")
+    return found.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))).select(*COLUMNS)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents drawn so that sources, languages and topics near their target shares.
+
+    The stage keeps all but a twentieth of the tokens: it trims what is over target.
+    """
+    mixed = mix_documents(docs.select(*COLUMNS), budget_share=0.95)
+    return mixed.where("sampled OR n_tokens = 0").select(*COLUMNS)
+
+
+def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Piece ids of every document with the scores of its best segmentations."""
+    encoded = encode_documents(docs.select("doc_id", "text", "lang", "source"), load_pieces(PIECE_MODEL))
+    return encoded.select("doc_id", "lang", "source", "n_pieces", "ids", "nbest_scores", "decoded")
+
 
-STAGES: list = []
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("n-gram Jaccard join", drop_near_copies),
+    ("secret scans", redact_secrets),
+    ("mixing sources", mix_sources),
+    ("sentencepiece encoding", encode_pieces),
+]
+#: A learned model and an iterative join have no SQL form; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages in order to the documents table."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    """Applies the stages in order to documents; all but the last are written and read again."""
+    docs, work = table(spark, sf_dir, "documents"), Workspace(spark, "pipeline")
+    for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if k + 1 < len(STAGES):
+            docs = work.keep(docs, f"stage-{k}", release=True)
     return docs

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import os
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,6 +11,9 @@ from pyspark.sql import functions as F
 from .frames import held_out, table
 from .mixing import oracle_sql as mixing_sql
 
+#: A public vocabulary file; set another path where it lies elsewhere.
+PIECE_MODEL = os.environ.get("PATHLIFT_PIECE_MODEL", "/opt/tokenizers/piece_bpe_32k.model")
+
 
 def op1_ann_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ann_forest import nearest
@@ -54,6 +58,13 @@ def op6_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "source", "lang", "topic", "n_tokens", F.round("probability", 9).alias("probability"), "sampled")
 
 
+def op7_sentencepiece_nbest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pieces import encode_documents, load_pieces
+
+    found = encode_documents(table(spark, sf_dir, "documents").select("doc_id", "text"), load_pieces(PIECE_MODEL), with_ids=False)
+    return found.select("doc_id", "n_pieces", F.get("nbest_scores", F.lit(0)).alias("best_score"), "nbest_scores", "ids_digest", "decoded")
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .quality_rules import judge
 
@@ -85,6 +96,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         op4_substring_dedup,
         op5_secret_scan,
         op6_source_mixing,
+        op7_sentencepiece_nbest,
         op8_quality_rules,
         op9_warc,
         op10_language_id,
