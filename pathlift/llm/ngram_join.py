@@ -77,7 +77,7 @@ def _code(shingles: np.ndarray, bits: int) -> np.ndarray:
     return shingles >> np.uint64(32 - bits)
 
 
-def frequent_shingles(docs: DataFrame, words: int, total: int, *, least: int = 16, most: int = 1 << 18, flush: int = 1 << 22) -> tuple[int, np.ndarray, np.ndarray]:
+def frequent_shingles(docs: DataFrame, words: int, total: int, *, least: int = 16, most: int = 1 << 18, flush: int = 1 << 20) -> tuple[int, np.ndarray, np.ndarray]:
     """(bits, codes, counts) of the shingles that most documents have.
 
     Counts are exact over all documents, by code.  Map tasks count what they have
@@ -179,7 +179,7 @@ def _prefixes(docs: DataFrame, similarity: Similarity, frequent: tuple[int, np.n
                     prefix, demanded = chosen_prefix(s, counts, similarity)
                     out.append((prefix, node, len(s), demanded, int(min(16 * counts.mean(), 2**31 - 1))))
                     size += len(prefix)
-                if size > 500_000:
+                if size > 200_000:
                     yield packed(out)
                     out, size = [], 0
             if out:

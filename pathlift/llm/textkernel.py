@@ -51,11 +51,11 @@ def string_buffers(column) -> tuple[np.ndarray, np.ndarray]:
         column = column.combine_chunks() if column.num_chunks != 1 else column.chunk(0)
     if column.null_count:
         column = column.fill_null("")
-    column = column.cast(pa.large_string()) if not pa.types.is_large_string(column.type) else column
     if not len(column):
         return np.zeros(1, np.int64), np.zeros(0, np.uint8)
     _, offsets, data = column.buffers()
-    ends = np.frombuffer(offsets, dtype=np.int64)[column.offset : column.offset + len(column) + 1]
+    width = np.int64 if pa.types.is_large_string(column.type) else np.int32
+    ends = np.frombuffer(offsets, dtype=width)[column.offset : column.offset + len(column) + 1].astype(np.int64)
     raw = np.frombuffer(data, dtype=np.uint8) if data is not None else np.zeros(0, np.uint8)
     return ends, raw
 
