@@ -28,7 +28,7 @@ from pyspark.sql import types as T
 
 from .frames import add_columns
 
-_BITS = 16
+_BITS = 15
 _SPAN = 6
 _DECAY = 0.6
 _MIX = np.array([0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D, 0x27D4EB2F], dtype=np.uint64)
@@ -80,18 +80,19 @@ def _scale(lengths: np.ndarray) -> np.ndarray:
 
 
 def _maps(words: list[str]) -> np.ndarray:
-    """Dense run vectors of a few words."""
-    out = np.zeros((len(words), 1 << _BITS), dtype=np.float32)
+    """Run vectors of a few words, as runs by words."""
+    out = np.zeros((1 << _BITS, len(words)), dtype=np.float32)
     for owner, run, weight in _runs(words):
-        np.add.at(out, (owner, run), weight)
-    return out / _scale(np.array([len(w) + 2 for w in words]))[:, None]
+        np.add.at(out, (run, owner), weight)
+    out /= _scale(np.array([len(w) + 2 for w in words])).astype(np.float32)
+    return out
 
 
 def kernel(words: list[str], landmarks: np.ndarray) -> np.ndarray:
     """Kernel values of words with landmark vectors (runs by landmarks)."""
     out = np.zeros((len(words), landmarks.shape[1]), dtype=np.float32)
-    for low in range(0, len(words), 2000):
-        part = words[low : low + 2000]
+    for low in range(0, len(words), 500):
+        part = words[low : low + 500]
         for owner, run, weight in _runs(part):
             rows, first = np.unique(owner, return_index=True)
             out[low + rows] += np.float32(weight) * np.add.reduceat(landmarks[run], first, axis=0)
@@ -148,36 +149,42 @@ def _changed(words: list[str], rng: np.random.Generator) -> list[str]:
     return [w for w in out if len(w) > 3]
 
 
-def without_copies(bags: list[set[str]]) -> list[set[str]]:
+def without_copies(words: list[str], bags: list[np.ndarray]) -> list[np.ndarray]:
     """The bags, one of each group that shares the two least long words under one of four orders."""
+    hashes = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in words), np.uint64, len(words))
+    long = np.fromiter((len(w) > 7 for w in words), bool, len(words))
     kept, seen = [], set()
     for bag in bags:
-        long = [w for w in bag if len(w) > 7]
-        hashes = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in (long if len(long) > 4 else bag)), np.uint64)
-        marks = set()
-        for k in range(4):
-            order = np.sort(hashes ^ np.uint64(0x9E3779B97F4A7C15 * k % 2**64)) if len(long) > 4 else np.sort(hashes)
-            marks.add((k, *(order[:2].tolist() if len(long) > 4 else order.tolist())))
-        if bag and not marks & seen:
+        own = hashes[bag[long[bag]]]
+        if len(own) > 4:
+            marks = {(k, *np.sort(own ^ np.uint64(0x9E3779B97F4A7C15 * k % 2**64))[:2].tolist()) for k in range(4)}
+        else:
+            marks = {tuple(np.sort(hashes[bag]).tolist())}
+        if len(bag) and not marks & seen:
             kept.append(bag)
         seen |= marks
     return kept
 
 
-def train(positive: list[set[str]], negative: list[set[str]], *, landmarks: int = 320, most_words: int = 8_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
-    """A model from the word sets of toxic and clean documents.
+def indexed(*groups: list[set[str]]) -> tuple[list[str], list[list[np.ndarray]]]:
+    """(distinct words, word numbers of each bag of each group)."""
+    words = sorted(set(chain.from_iterable(chain.from_iterable(groups))))
+    number = {w: i for i, w in enumerate(words)}
+    return words, [[np.fromiter((number[w] for w in sorted(b)), np.int64, len(b)) for b in g] for g in groups]
+
+
+def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarray], *, landmarks: int = 256, most_words: int = 6_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
+    """A model from the distinct words and the word numbers of toxic and clean documents.
 
     With a class missing, the model answers the share of toxic documents for all.
     """
     share = (len(positive) + 0.5) / (len(positive) + len(negative) + 1.0)
     constant = ToxicityModel(np.zeros(1 << _BITS, np.float32), 0.0, 0.0, float(np.log(share / (1 - share))))
+    positive, negative = without_copies(words, positive), without_copies(words, negative)
     if not positive or not negative:
         return constant
-    positive, negative = without_copies(positive), without_copies(negative)
     rng = np.random.default_rng(seed)
-    words = sorted(set(chain.from_iterable(positive)) | set(chain.from_iterable(negative)))
-    number = {w: i for i, w in enumerate(words)}
-    bags = {1: [np.fromiter((number[w] for w in b), np.int64, len(b)) for b in positive], 0: [np.fromiter((number[w] for w in b), np.int64, len(b)) for b in negative]}
+    bags = {1: positive, 0: negative}
     df = {k: np.bincount(np.concatenate([*v, np.zeros(0, np.int64)]), minlength=len(words)).astype(float) for k, v in bags.items()}
     n1, n0 = len(positive), len(negative)
     expected = (df[1] + df[0]) * n1 / (n1 + n0)
@@ -211,7 +218,7 @@ def train(positive: list[set[str]], negative: list[set[str]], *, landmarks: int
         ranked = sorted(witness, key=lambda i: (-gain[i], words[i]))
         centre = [words[i] for i in ranked[: landmarks // 2]]
         centre += [words[i] for i in np.concatenate([hard, clean])[: landmarks - len(centre)].tolist()]
-        mapped = _maps(centre).T.copy()
+        mapped = _maps(centre)
         values, vectors = np.linalg.eigh((mapped.T @ mapped).astype(np.float64))
         fine = values > 1e-6 * values.max()
         root = vectors[:, fine] / np.sqrt(values[fine])
@@ -225,7 +232,7 @@ def train(positive: list[set[str]], negative: list[set[str]], *, landmarks: int
         weight[len(bad) : len(bad) + len(extra)] = 0.4 * len(clean) / max(1, len(extra))
         w, bias = _machine(z, y, weight, ridge)
         model = ToxicityModel((mapped @ (root @ w)).astype(np.float32), bias, 1.0, 0.0)
-        scores = np.concatenate([model.word_scores(words[low : low + 50_000]) for low in range(0, len(words), 50_000)])
+        scores = np.concatenate([model.word_scores(words[low : low + 20_000]) for low in range(0, len(words), 20_000)])
         if step + 1 < rounds:
             witness.update(i for i in strong if scores[i] > 0.5)
             for bag in bags[1]:
@@ -238,7 +245,11 @@ def train(positive: list[set[str]], negative: list[set[str]], *, landmarks: int
             near = near[np.sort(np.unique(near, return_index=True)[1])]
             hard = np.array([i for i in near.tolist() if i not in witness][:most_words], dtype=np.int64)
     top = {k: np.array([scores[b].max() if len(b) else model.bias for b in v]) for k, v in bags.items()}
-    slope, shift = _curve(np.concatenate([top[1], top[0]]), np.concatenate([np.ones(n1), np.zeros(n0)]))
+    # documents whose insults are disguised belong to the curve as well
+    disguised = {i: float(np.median(model.word_scores(made))) for i in sorted(witness) if (made := _changed([words[i]], rng))}
+    hidden = [max((disguised[i] for i in b.tolist() if i in disguised), default=model.bias) for b in bags[1]]
+    told = np.concatenate([top[1], np.array(hidden), top[0]])
+    slope, shift = _curve(told, np.concatenate([np.ones(2 * len(hidden)), np.zeros(len(top[0]))]))
     return ToxicityModel(model.weights, model.bias, slope, shift)
 
 
@@ -257,7 +268,7 @@ def _curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(max(beta[0], 0.0)), float(beta[1])
 
 
-def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: tuple[int, int] = (3000, 6000), **settings) -> ToxicityModel:
+def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: tuple[int, int] = (2000, 4000), **settings) -> ToxicityModel:
     """A model from labelled documents.
 
     At most ``per_class`` toxic and clean documents, taken by a hash of their id, are
@@ -277,9 +288,18 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_
             bags = [sorted(words_of(x.as_py())) for x in batch.column(2)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(bags, pa.list_(pa.string()))], names=["id", "y", "words"])
 
-    rows = texts.mapInArrow(sets, T.StructType([T.StructField("id", texts.schema["id"].dataType), T.StructField("y", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType()))])).toArrow().to_pylist()
-    rows.sort(key=lambda r: (r["id"], r["words"]))
-    return train([set(r["words"]) for r in rows if r["y"] > 0], [set(r["words"]) for r in rows if not r["y"] > 0], **settings)
+    found = texts.mapInArrow(sets, T.StructType([T.StructField("id", texts.schema["id"].dataType), T.StructField("y", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType()))])).toArrow()
+    lists = found.column("words").combine_chunks()
+    coded = lists.flatten().dictionary_encode()
+    order = np.argsort(np.asarray(coded.dictionary.to_pylist() or [""], dtype=object), kind="stable")
+    words = [coded.dictionary[int(i)].as_py() for i in order] if len(coded.dictionary) else []
+    number = np.empty(len(order), dtype=np.int64)
+    number[order] = np.arange(len(order))
+    codes, ends = number[coded.indices.to_numpy()] if len(coded) else np.zeros(0, np.int64), np.concatenate([[0], np.cumsum([len(x) for x in lists])])
+    told = found.column("y").to_pylist()
+    rows = sorted(range(len(told)), key=lambda r: (found.column("id")[r].as_py(), int(ends[r + 1] - ends[r])))
+    bag = lambda r: np.sort(codes[ends[r] : ends[r + 1]])
+    return train(words, [bag(r) for r in rows if told[r] > 0], [bag(r) for r in rows if not told[r] > 0], **settings)
 
 
 def score_toxicity(df: DataFrame, model: ToxicityModel, text_col: str = "text", *, threshold: float = 0.3, cache_words: int = 400_000) -> DataFrame:
