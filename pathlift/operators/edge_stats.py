@@ -53,9 +53,10 @@ def edge_statistics(repo: Repository, edges: Iterable[JoinEdge]) -> DataFrame:
     rows = joined_histogram(repo, edges).withColumn("j", (F.col("l") * F.col("r")).cast("double"))
     k = F.col("k").cast("double")
     met = (F.col("l") > 0) & (F.col("r") > 0)
+    l, r = F.col("l").cast("double"), F.col("r").cast("double")  # noqa: E741
     one = lambda c: F.sum(F.when(c, 1.0).otherwise(0.0))
     totals = rows.groupBy("edge_id").agg(
-        F.sum("j").alias("n"), F.sum(F.col("r").cast("double")).alias("right_rows"), one(F.col("r") > 0).alias("right_keys"), one(F.col("l") > 0).alias("left_keys"), one(met).alias("met_keys"), (F.sum(F.col("j") * k) / F.sum("j")).alias("mean"), F.coalesce(F.corr(F.col("l").cast("double"), F.col("r").cast("double")), F.lit(0.0)).alias("pc"),
+        F.sum("j").alias("n"), F.sum(F.col("r").cast("double")).alias("right_rows"), one(F.col("r") > 0).alias("right_keys"), one(F.col("l") > 0).alias("left_keys"), one(met).alias("met_keys"), (F.sum(F.col("j") * k) / F.sum("j")).alias("mean"), F.covar_pop(l, r).alias("cov"), F.var_pop(l).alias("vl"), F.var_pop(r).alias("vr"),
         (F.max("l") == F.min("l")).alias("flat_l"), (F.max("r") == F.min("r")).alias("flat_r"),
     )
     both = rows.join(F.broadcast(totals), "edge_id")  # one row an edge
@@ -70,7 +71,7 @@ def edge_statistics(repo: Repository, edges: Iterable[JoinEdge]) -> DataFrame:
         F.sum(F.when(joined, -p * F.log(F.greatest(1 - p, F.lit(CLIP))))).alias("entropy_printed"),
         F.sum(F.when(joined, -p * F.log(p))).alias("entropy_shannon"),
         F.sum(F.when(F.col("r") > 0, before * F.log(before / after))).alias("kl"),
-        F.first(F.when(F.col("flat_l") | F.col("flat_r"), 0.0).otherwise(F.col("pc"))).alias("pearson_key_counts"),
+        F.first(F.when(F.col("flat_l") | F.col("flat_r"), 0.0).otherwise(F.try_divide("cov", F.sqrt(F.col("vl") * F.col("vr"))))).alias("pearson_key_counts"),
         F.first("n").cast("long").alias("n_joined"),
     )
     return stats.fillna(0.0)

@@ -11,7 +11,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 #: Modules that register queries when imported.
-MODULES: tuple[str, ...] = ()
+MODULES: tuple[str, ...] = ("pathlift.plans.edges", "pathlift.plans.augmentation")
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
