@@ -84,10 +84,14 @@ class Workspace:
         schema = df.schema
         if release:
             del df
-            gc.collect()
-            self.spark._jvm.System.gc()
+            self.release()
         return self.spark.read.schema(schema).parquet(f"{self.base}/{name}")
 
+    def release(self) -> None:
+        """Lets the driver notice which shuffles nothing refers to any more."""
+        gc.collect()
+        self.spark._jvm.System.gc()
+
     def forget(self, *names: str) -> None:
         """Removes tables that nothing reads any more."""
         for name in names:

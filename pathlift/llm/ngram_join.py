@@ -248,7 +248,52 @@ def _demanded(similarity: Similarity):
     return F.expr(f"least({overlap} - {own('n')} + l, {overlap} - {own('m')} + k)")
 
 
-def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, words: int = 5, percent: int = 80, rounds: int = 4, pairs_per_node: int = 4) -> DataFrame:
+def _hot_pairs(rows: DataFrame, hot: DataFrame, similarity: Similarity, block: int = 512) -> DataFrame:
+    """Candidates (a, b) that meet in hot shingles, judged in blocks of nodes before any pair is emitted.
+
+    Each node brings its open prefix shingles; a block of nodes meets another of the
+    same shingle in one matrix product, which gives all common counts at once.
+    """
+    brought = rows.join(hot.select("token", "pairs"), "token")
+    held = rows.groupBy("node").agg(F.collect_list("token").alias("tokens"))
+    spread = F.greatest(F.lit(1), F.ceil(F.sqrt(2 * F.col("pairs")) / block)).cast("int")
+    member = brought.join(held, "node").select("token", F.pmod(F.xxhash64("node"), spread).alias("block"), F.struct("node", "n", "l", "root", "most", "tokens").alias("m"))
+    blocks = member.groupBy("token", "block").agg(F.collect_list("m").alias("m"))
+    both = blocks.join(blocks.select("token", F.col("block").alias("other"), F.col("m").alias("m2")), "token").where("block <= other").select("m", "m2")
+    share = similarity.percent / (100.0 + similarity.percent)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                sides = []
+                for c in (0, 1):
+                    m = batch.column(c)[k].values
+                    field_of = lambda name, m=m: m.field(name).to_numpy(zero_copy_only=False)
+                    lists = m.field("tokens")
+                    sides.append(({n: field_of(n) for n in ("node", "n", "l", "root", "most")}, lists.flatten().to_numpy(), np.diff(np.asarray(lists.offsets))))
+                (x, x_tokens, x_sizes), (y, y_tokens, y_sizes) = sides
+                common = np.intersect1d(x_tokens, y_tokens)
+                grid = []
+                for tokens, sizes in ((x_tokens, x_sizes), (y_tokens, y_sizes)):
+                    at = np.minimum(np.searchsorted(common, tokens), len(common) - 1)
+                    hit = common[at] == tokens
+                    g = np.zeros((len(sizes), len(common)), dtype=np.float32)
+                    g[np.repeat(np.arange(len(sizes)), sizes)[hit], at[hit]] = 1
+                    grid.append(g)
+                met = grid[0] @ grid[1].T
+                n, m = x["n"][:, None].astype(np.int64), y["n"][None, :].astype(np.int64)
+                overlap = np.ceil((n + m) * share - 1e-9)
+                own = lambda v: np.ceil(v * similarity.percent / 100.0)
+                needed = np.minimum(overlap - own(n) + x["l"][:, None], overlap - own(m) + y["l"][None, :])
+                fits = (met >= needed) & (x["root"][:, None] != y["root"][None, :]) & (np.minimum(n, m) * 100 >= np.maximum(n, m) * similarity.percent) & (m <= x["most"][:, None]) & (n <= y["most"][None, :])
+                i, j = np.nonzero(fits)
+                a, b = x["node"][i], y["node"][j]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["a", "b"])
+
+    return both.mapInArrow(run, "a long, b long").distinct()
+
+
+def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, words: int = 5, percent: int = 80, rounds: int = 4, pairs_per_node: int = 4, hot_pairs: int = 10_000) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row.
 
     Words are runs of characters outside 0x20 and 0x09-0x0D, A-Z in lower case.  A
@@ -265,7 +310,9 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     facts = work.keep(_facts(docs, words), "facts")
     named = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
     total = facts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    prefixes = _prefixes(named, similarity, frequent_shingles(named, words, total))
+    frequent = frequent_shingles(named, words, total)
+    work.release()
+    prefixes = _prefixes(named, similarity, frequent)
     met = prefixes.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("token")
     postings = work.keep(prefixes.join(met, "token").dropDuplicates(["token", "node"]), "postings", release=True)
     # c met prefix shingles bound the size of a similar partner: o - t + l <= c
@@ -291,9 +338,12 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             break
         last = step >= rounds or ahead <= pairs_per_node * wanted or (step > 0 and gained < wanted // 100)
         if last:
-            other = rows.select("token", F.col("node").alias("b"), F.col("n").alias("m"), F.col("l").alias("k"), F.col("root").alias("other"), F.col("most").alias("reach"))
-            met = rows.withColumnRenamed("node", "a").join(other, "token").where("a < b AND root <> other AND m <= most AND n <= reach").where(_in_range("n", "m", similarity))
+            hot = open_tokens.where(F.col("pairs") >= hot_pairs)
+            cold = rows.join(hot.select("token"), "token", "left_anti")
+            other = cold.select("token", F.col("node").alias("b"), F.col("n").alias("m"), F.col("l").alias("k"), F.col("root").alias("other"), F.col("most").alias("reach"))
+            met = cold.withColumnRenamed("node", "a").join(other, "token").where("a < b AND root <> other AND m <= most AND n <= reach").where(_in_range("n", "m", similarity))
             pairs = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"), F.first(_demanded(similarity)).alias("demanded")).where("common >= demanded")
+            pairs = pairs.select("a", "b").unionByName(_hot_pairs(rows, hot, similarity)).distinct()
         else:
             typical = F.col("w") if step < 2 else F.lit(0)
             centre = rows.groupBy("token").agg(F.max_by(F.struct("node", "n", "root", "most"), F.struct(typical, F.xxhash64("node", F.lit(step)))).alias("c"))

@@ -128,7 +128,7 @@ def _shard_of(pages: DataFrame, shard_bytes: int):
     return F.element_at(F.split(F.lit(",".join(shards)), ","), bucket + 1).cast("int"), shard + 1
 
 
-def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", *, revisit_bytes: int = 1000, shard_bytes: int = 1 << 28, roll_bytes: int = 1 << 26, date: str = "2024-01-01T00:00:00Z") -> DataFrame:
+def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", *, revisit_bytes: int = 1000, shard_bytes: int = 1 << 26, roll_bytes: int = 1 << 26, date: str = "2024-01-01T00:00:00Z") -> DataFrame:
     """Writes every row as a record and returns the manifest (file, records, bytes, sha1).
 
     Of rows with equal payloads of at least ``revisit_bytes`` bytes, the one with the
