@@ -11,6 +11,7 @@ from collections.abc import Sequence
 from dataclasses import dataclass, field
 
 import numpy as np
+import pandas as pd
 
 #: Statistics of a join step, in order.
 INPUTS = ("variance", "entropy_printed", "kl", "pearson", "mutual_info")
@@ -120,7 +121,6 @@ class SequenceModel:
 
 def predict_frame(model: SequenceModel, paths, sequence_col: str = "steps"):
     """The frame of paths (with array<array<double>> steps) and iq_lstm, estimated in Arrow batches."""
-    import pandas as pd
     from pyspark.sql import functions as F
 
     @F.pandas_udf("double")
