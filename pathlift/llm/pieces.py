@@ -18,6 +18,7 @@ Byte-pair vocabularies carry merge ranks, which do not add up along a path;
 
 from __future__ import annotations
 
+import hashlib
 import heapq
 import itertools
 from collections.abc import Iterator
@@ -29,11 +30,26 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .frames import add_columns
+from .textkernel import mix64
+
 SPACE = "▁"
 #: Stands for a literal SPACE character of a text, which is spelled by bytes.
 _LITERAL = "\U0010fffd"
 _MOST = 48  # words up to this many characters go through the vectorised pass
 _BASE = np.uint64(0x9E3779B97F4A7C15)
+_BUCKET_BITS = 18
+
+
+@dataclass(frozen=True)
+class Segmented:
+    """Best ways of many words: scores, and their ids in one body."""
+
+    best: np.ndarray
+    second: np.ndarray
+    body: np.ndarray
+    starts: np.ndarray
+    sizes: np.ndarray
 
 
 @dataclass(frozen=True)
@@ -46,7 +62,7 @@ class Pieces:
     byte_ids: list[int]
     byte_score: float
     longest: int
-    table: tuple[np.ndarray, np.ndarray, np.ndarray] = field(repr=False, default=())
+    table: tuple[np.ndarray, ...] = field(repr=False, default=())
 
     # --- one text -----------------------------------------------------------
 
@@ -86,35 +102,69 @@ class Pieces:
     # --- many words ---------------------------------------------------------
 
     def _lookup(self, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(score, id) of pieces by hash; -inf where there is none."""
-        keys, scores, ids = self.table
-        at = np.minimum(np.searchsorted(keys, codes), len(keys) - 1)
-        hit = keys[at] == codes
-        return np.where(hit, scores[at], -np.inf), np.where(hit, ids[at], -1)
-
-    def many(self, words: list[str]) -> list[tuple[float, float, tuple[int, ...]]]:
-        """(best score, second best score, best ids) of each word; the second is -inf if there is one way only."""
-        out: list = [None] * len(words)
-        by_length: dict[int, list[int]] = {}
-        for i, w in enumerate(words):
-            if len(w) <= _MOST:
-                by_length.setdefault(len(w), []).append(i)
+        """(score, id) of pieces by hash; -inf and -1 where there is none."""
+        keys, scores, ids, first = self.table
+        codes = mix64(codes)
+        bucket = (codes >> np.uint64(64 - _BUCKET_BITS)).astype(np.int64)
+        at, stop = first[bucket], first[bucket + 1]
+        score, piece = np.full(len(codes), -np.inf), np.full(len(codes), -1, dtype=np.int64)
+        live = np.flatnonzero(at < stop)
+        while len(live):
+            hit = keys[at[live]] == codes[live]
+            found = live[hit]
+            score[found], piece[found] = scores[at[found]], ids[at[found]]
+            live = live[~hit]
+            at[live] += 1
+            live = live[at[live] < stop[live]]
+        return score, piece
+
+    def many(self, words: list[str]) -> Segmented:
+        """Best score, second best score (-inf if there is one way only) and best ids of each word."""
+        n = len(words)
+        best, second = np.zeros(n), np.full(n, -np.inf)
+        parts: list[np.ndarray | None] = [None] * n
+        sizes = np.zeros(n, dtype=np.int64)
+        lengths = np.fromiter(map(len, words), np.int64, n)
+        order = np.argsort(lengths, kind="stable")
+        flat: list[np.ndarray] = []
+        placed: list[int] = []
+        for members in np.split(order, np.flatnonzero(np.diff(lengths[order])) + 1) if n else []:
+            length = int(lengths[members[0]])
+            if length > _MOST:
+                for i in members.tolist():
+                    two = self.nbest(words[i], 2)
+                    best[i], second[i] = two[0][0], two[1][0] if len(two) > 1 else -np.inf
+                    parts[i] = np.array(two[0][1], dtype=np.int32)
             else:
-                two = self.nbest(w, 2)
-                out[i] = (two[0][0], two[1][0] if len(two) > 1 else -np.inf, two[0][1])
-        for length, members in by_length.items():
-            for low in range(0, len(members), 20_000):
-                self._same_length([words[i] for i in members[low : low + 20_000]], length, members[low : low + 20_000], out)
-        return out
-
-    def _same_length(self, words: list[str], length: int, members: list[int], out: list) -> None:
+                for low in range(0, len(members), 8_000):
+                    part = members[low : low + 8_000]
+                    best[part], second[part], ids, count, odd = self._same_length([words[i] for i in part.tolist()], length)
+                    for k in odd.tolist():  # characters that several bytes spell
+                        i = int(part[k])
+                        parts[i] = np.array(self.nbest(words[i], 1)[0][1], dtype=np.int32)
+                    plain = np.ones(len(part), dtype=bool)
+                    plain[odd] = False
+                    sizes[part] = count
+                    flat.append(ids[np.repeat(plain, count)])
+                    placed += part[plain].tolist()
+        body = np.concatenate([*flat, np.zeros(0, np.int32)])
+        ends = np.cumsum(sizes[placed]) if placed else np.zeros(0, np.int64)
+        starts = np.zeros(n, dtype=np.int64)
+        starts[placed] = ends - sizes[placed] if placed else 0
+        for i, own in enumerate(parts):
+            if own is not None:
+                starts[i], sizes[i] = len(body), len(own)
+                body = np.concatenate([body, own])
+        return Segmented(best, second, body, starts, sizes)
+
+    def _same_length(self, words: list[str], length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(best, second, ids of all words in a row, ids by word, words with characters of several bytes)."""
         n = len(words)
-        codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype=np.uint32).reshape(n, length).astype(np.uint64)
+        codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype=np.uint32).reshape(n, length).T.astype(np.uint64)
         prefix = np.zeros((length + 1, n), dtype=np.uint64)
-        power = np.ones(length + 1, dtype=np.uint64)
+        power = [pow(int(_BASE), k, 2**64) for k in range(length + 1)]
         for k in range(length):
-            prefix[k + 1] = prefix[k] * _BASE + codes[:, k] + np.uint64(1)
-            power[k + 1 :] *= _BASE
+            prefix[k + 1] = prefix[k] * _BASE + codes[k] + np.uint64(1)
         spelled = np.where(codes < 0x80, 1, np.where(codes < 0x800, 2, np.where(codes < 0x10000, 3, 4)))
         spelled[codes == ord(_LITERAL)] = 3
         first = np.full((length + 1, n), -np.inf)
@@ -124,27 +174,31 @@ class Pieces:
         first[0] = 0.0
         for end in range(1, length + 1):
             for start in range(max(0, end - self.longest), end):
-                score, piece = self._lookup(prefix[end] - prefix[start] * power[end - start])
+                score, piece = self._lookup(prefix[end] - prefix[start] * np.uint64(power[end - start]))
                 if end - start == 1:
-                    score = np.where(piece < 0, self.byte_score * spelled[:, start], score)
+                    score = np.where(piece < 0, self.byte_score * spelled[start], score)
+                elif not np.isfinite(score).any():
+                    continue
                 a, b = first[start] + score, second[start] + score
                 better = a > first[end]
                 second[end] = np.maximum(np.minimum(first[end], a), np.maximum(second[end], b))
                 first[end] = np.where(better, a, first[end])
                 back[end] = np.where(better, start, back[end])
                 used[end] = np.where(better, piece, used[end])
-        for k in range(n):
-            ids: list[int] = []
-            node = length
-            while node:
-                piece, start = int(used[node, k]), int(back[node, k])
-                if piece >= 0:
-                    ids.append(piece)
-                else:
-                    c = words[k][start]
-                    ids += [self.byte_ids[b] for b in reversed((SPACE if c == _LITERAL else c).encode("utf-8", "surrogatepass"))]
-                node = start
-            out[members[k]] = (float(first[length, k]), float(second[length, k]), tuple(reversed(ids)))
+        node, rows = np.full(n, length), np.arange(n)
+        taken = np.full((length, n), -2, dtype=np.int64)  # from the end backward
+        odd = np.zeros(n, dtype=bool)
+        for step in range(length):
+            piece, start = used[node, rows], back[node, rows]
+            spell = (piece < 0) & (node > 0)
+            letter = codes[np.minimum(start, length - 1), rows]
+            odd |= spell & (letter >= 0x80)
+            piece = np.where(spell, self.byte_ids[0] + np.minimum(letter, np.uint64(127)).astype(np.int64), piece)
+            taken[step] = np.where(node > 0, piece, -2)
+            node = np.where(node > 0, start, 0)
+        ids = taken[::-1].T  # by word, in order; -2 where a word has fewer pieces
+        real = ids != -2
+        return first[length], second[length], ids[real].astype(np.int32), real.sum(axis=1), np.flatnonzero(odd)
 
     def decode(self, ids) -> str:
         """The text of ids; its leading mark goes, and bytes that are no UTF-8 become U+FFFD."""
@@ -192,8 +246,10 @@ def load_pieces(path: str, score: str = "zipf") -> Pieces:
         for c in piece:
             h = (h * int(_BASE) + ord(c) + 1) % 2**64
         found[k] = h
+    found = mix64(found)
     order = np.argsort(found)
-    table = found[order], np.array(list(scores.values()))[order], np.array(list(ids.values()), dtype=np.int64)[order]
+    buckets = np.searchsorted(found[order] >> np.uint64(64 - _BUCKET_BITS), np.arange((1 << _BUCKET_BITS) + 1, dtype=np.uint64)).astype(np.int32)
+    table = found[order], np.array(list(scores.values()))[order], np.array(list(ids.values()), dtype=np.int64)[order], buckets
     return Pieces(ids, scores, texts, byte_ids, worst - 5.0, max(map(len, ids)), table)
 
 
@@ -202,57 +258,89 @@ def marked_words(text: str) -> list[str]:
     return [SPACE + w for w in text.replace(SPACE, _LITERAL).split(" ")] if text else []
 
 
-def combined(words: list[tuple[float, float, str]], pieces: Pieces, n: int, cache: dict[str, list]) -> list[float]:
-    """The n best scores of a text from (best, second best, word) of its words.
+def combined(best: float, losses: np.ndarray, words: list[str], pieces: Pieces, n: int, cache: dict[str, list]) -> list[float]:
+    """The n best scores of a text from its best one and what each word's second best way loses.
 
     A way among the n best departs from the best one only in words whose second best
     loses least: n - 1 of them suffice.  Those are searched backward for their own n best.
     """
-    best = sum(w[0] for w in words)
-    places = heapq.nsmallest(n - 1, ((w[0] - w[1], i) for i, w in enumerate(words) if w[1] > -np.inf))
+    few = np.argpartition(losses, n - 2)[: n - 1] if len(losses) >= n else np.arange(len(losses))
     ways = [0.0]
-    for _, i in places:
-        word = words[i][2]
+    for i in few[np.isfinite(losses[few])].tolist():
+        word = words[i]
         if word not in cache:
-            cache[word] = [s for s, _ in pieces.nbest(word, n)]
-        losses = [cache[word][0] - s for s in cache[word]]
-        ways = heapq.nsmallest(n, (a + b for a, b in itertools.product(ways, losses)))
+            scores = [s for s, _ in pieces.nbest(word, n)]
+            cache[word] = [scores[0] - s for s in scores]
+        ways = heapq.nsmallest(n, (a + b for a, b in itertools.product(ways, cache[word])))
     return [best - w for w in ways]
 
 
-def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n: int = 4, with_ids: bool = True, cache_words: int = 300_000) -> DataFrame:
+class _Store:
+    """Segmentations of the words met by one Python worker, as flat arrays by word number."""
+
+    def __init__(self, pieces: Pieces):
+        self.pieces = pieces
+        self.clear()
+
+    def clear(self) -> None:
+        self.number: dict[str, int] = {}
+        self.searched: dict[str, list] = {}
+        self.best, self.loss, self.body, self.starts, self.sizes, self.exact = (np.zeros(0, t) for t in (float, float, np.int32, np.int64, np.int64, bool))
+
+    def add(self, words: list[str]) -> None:
+        found = self.pieces.many(words)
+        self.number.update(zip(words, range(len(self.number), len(self.number) + len(words)), strict=True))
+        low = self.pieces.byte_ids[0]
+        texts = self.pieces.texts
+        exact = np.empty(len(words), dtype=bool)
+        body = found.body.tolist()
+        spelled = np.concatenate([[0], np.cumsum((found.body >= low) & (found.body < low + 256))])
+        plain = (spelled[found.starts + found.sizes] == spelled[found.starts]).tolist()
+        for k, (w, a, m) in enumerate(zip(words, found.starts.tolist(), found.sizes.tolist(), strict=True)):
+            own = body[a : a + m]
+            # what the ids spell, against the word: pieces without bytes need no decoder
+            exact[k] = ("".join([texts[i] for i in own]) if plain[k] else " " + self.pieces.decode(own)) == w.replace(SPACE, " ").replace(_LITERAL, SPACE)
+        self.best = np.concatenate([self.best, found.best])
+        self.loss = np.concatenate([self.loss, found.best - found.second])
+        self.starts = np.concatenate([self.starts, found.starts + len(self.body)])
+        self.body = np.concatenate([self.body, found.body])
+        self.sizes = np.concatenate([self.sizes, found.sizes])
+        self.exact = np.concatenate([self.exact, exact])
+
+    def ids(self, at: np.ndarray) -> np.ndarray:
+        sizes = self.sizes[at]
+        ends = np.cumsum(sizes)
+        return self.body[np.repeat(self.starts[at] - ends + sizes, sizes) + np.arange(int(ends[-1]) if len(ends) else 0)]
+
+
+def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n: int = 4, with_ids: bool = True, cache_words: int = 500_000) -> DataFrame:
     """Adds n_pieces, [ids,] nbest_scores (best first, n at most), ids_digest and decoded.
 
     ``decoded`` says whether the ids give back the whole text.  Null and empty texts
     have no pieces, no scores and decode to themselves.  Columns of these names are
     replaced, others kept; repeated rows encode alike.
     """
-    import hashlib
-
-    from .frames import add_columns
-
     fields = [("n_pieces", T.LongType()), *([("ids", T.ArrayType(T.IntegerType()))] if with_ids else []), ("nbest_scores", T.ArrayType(T.DoubleType())), ("ids_digest", T.StringType()), ("decoded", T.BooleanType())]
-    known: dict[str, tuple] = {}  # kept by each Python worker for its tasks
-    searched: dict[str, list] = {}
+    store: list[_Store] = []  # made in the worker
 
     def make(batch: pa.RecordBatch) -> list:
+        if not store:
+            store.append(_Store(pieces))
+        known = store[0]
         column = batch.column(batch.schema.names.index(text_col))
         rows = []
-        for low in range(0, len(column), 128):
-            texts = [x.as_py() or "" for x in column[low : low + 128]]
+        for low in range(0, len(column), 1024):
+            texts = [x.as_py() or "" for x in column[low : low + 1024]]
             split = [marked_words(t) for t in texts]
-            if len(known) > cache_words:
+            if len(known.number) > cache_words:
                 known.clear()
-                searched.clear()
-            new = list(set(itertools.chain.from_iterable(split)) - known.keys())
-            for w, (a, b, ids) in zip(new, pieces.many(new), strict=True):
-                known[w] = (a, b, w, np.array(ids, dtype=np.int32), pieces.decode((pieces.ids[SPACE], *ids)) if ids else "")
-            for text, words in zip(texts, split, strict=True):
-                found = list(map(known.__getitem__, words))
-                ids = np.concatenate([f[3] for f in found]) if found else np.zeros(0, np.int32)
-                scores = combined(found, pieces, n, searched) if found else []
-                decoded = "".join([f[4] for f in found])[1:] == text
-                rows.append((len(ids), *([ids] if with_ids else []), scores, hashlib.sha1(ids.tobytes()).hexdigest(), decoded))
+            if new := list(set(itertools.chain.from_iterable(split)) - known.number.keys()):
+                known.add(new)
+            for words in split:
+                at = np.fromiter(map(known.number.__getitem__, words), np.int64, len(words))
+                ids = known.ids(at)
+                scores = combined(float(known.best[at].sum()), known.loss[at], words, pieces, n, known.searched) if words else []
+                rows.append((len(ids), *([ids] if with_ids else []), scores, hashlib.sha1(ids.tobytes()).hexdigest(), bool(known.exact[at].all())))
         types = [pa.int64(), *([pa.list_(pa.int32())] if with_ids else []), pa.list_(pa.float64()), pa.string(), pa.bool_()]
         return [pa.array([r[i] for r in rows], t) for i, t in enumerate(types)]
 
