@@ -56,13 +56,13 @@ def edge_statistics(repo: Repository, edges: Iterable[JoinEdge]) -> DataFrame:
     l, r = F.col("l").cast("double"), F.col("r").cast("double")  # noqa: E741
     one = lambda c: F.sum(F.when(c, 1.0).otherwise(0.0))
     totals = rows.groupBy("edge_id").agg(
-        F.sum("j").alias("n"), F.sum(F.col("r").cast("double")).alias("right_rows"), one(F.col("r") > 0).alias("right_keys"), one(F.col("l") > 0).alias("left_keys"), one(met).alias("met_keys"), (F.sum(F.col("j") * k) / F.sum("j")).alias("mean"), F.covar_pop(l, r).alias("cov"), F.var_pop(l).alias("vl"), F.var_pop(r).alias("vr"),
+        F.sum("j").alias("n"), F.sum(F.col("r").cast("double")).alias("right_rows"), one(F.col("r") > 0).alias("right_keys"), one(F.col("l") > 0).alias("left_keys"), one(met).alias("met_keys"), F.try_divide(F.sum(F.col("j") * k), F.sum("j")).alias("mean"), F.covar_pop(l, r).alias("cov"), F.var_pop(l).alias("vl"), F.var_pop(r).alias("vr"),
         (F.max("l") == F.min("l")).alias("flat_l"), (F.max("r") == F.min("r")).alias("flat_r"),
     )
     both = rows.join(F.broadcast(totals), "edge_id")  # one row an edge
-    p = F.col("j") / F.col("n")
-    before = (F.col("r") / F.col("right_rows") + SMOOTHING) / (1 + F.col("right_keys") * SMOOTHING)
-    after = (F.coalesce(F.try_divide("j", "n"), F.lit(0.0)) + SMOOTHING) / (F.when(F.col("n") > 0, 1.0).otherwise(0.0) + F.col("right_keys") * SMOOTHING)
+    p = F.try_divide("j", "n")
+    before = (F.coalesce(F.try_divide("r", "right_rows"), F.lit(0.0)) + SMOOTHING) / (1 + F.col("right_keys") * SMOOTHING)
+    after = (F.coalesce(F.try_divide("j", "n"), F.lit(0.0)) + SMOOTHING) / (F.when(F.col("n") > 0, 1.0).otherwise(0.0) + F.greatest(F.col("right_keys"), F.lit(1.0)) * SMOOTHING)
     joined = F.col("j") > 0
     stats = both.groupBy("edge_id").agg(
         F.first(F.try_divide("met_keys", "right_keys")).alias("transitivity"),

@@ -48,10 +48,13 @@ op("pivot", "SELECT event_type, count(*) FILTER (user_id % 3 = 0) AS g0, count(*
 
 # --- joins ----------------------------------------------------------------------
 
-_ON = F.col("o_custkey") == F.col("c_custkey")
+def _on():
+    return F.col("o_custkey") == F.col("c_custkey")
+
+
 for _how, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
     op(f"join_{_how}", f"SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 3 < 2) {_sql} (SELECT * FROM orders WHERE o_totalprice > 250000) ON o_custkey = c_custkey")(
-        lambda r, how=_how: r.table("customer").where("c_custkey % 3 < 2").join(r.table("orders").where("o_totalprice > 250000"), _ON, how).select("c_custkey", "o_orderkey")
+        lambda r, how=_how: r.table("customer").where("c_custkey % 3 < 2").join(r.table("orders").where("o_totalprice > 250000"), _on(), how).select("c_custkey", "o_orderkey")
     )
 for _how, _sql in (("left_semi", ""), ("left_anti", "NOT ")):
     op(f"join_{_how}", f"SELECT c_custkey, c_name FROM customer WHERE {_sql}EXISTS (SELECT 1 FROM events WHERE user_id = c_custkey AND value > 100)")(
@@ -117,15 +120,18 @@ op("aggregate_approximate")(
 
 # --- windows ------------------------------------------------------------------------
 
-_USER = W.partitionBy("user_id").orderBy("ts", "event_id")
+def _user():
+    return W.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 op("window_ranks", "SELECT event_id, row_number() OVER w AS rn, rank() OVER (PARTITION BY user_id ORDER BY event_type) AS rk, dense_rank() OVER (PARTITION BY user_id ORDER BY event_type) AS dr, ntile(4) OVER w AS quarter, round(cume_dist() OVER w, 6) AS cd, round(percent_rank() OVER w, 6) AS pr FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")(
-    lambda r: r.table("events").select("event_id", F.row_number().over(_USER).alias("rn"), F.rank().over(W.partitionBy("user_id").orderBy("event_type")).alias("rk"), F.dense_rank().over(W.partitionBy("user_id").orderBy("event_type")).alias("dr"), F.ntile(4).over(_USER).alias("quarter"), F.round(F.cume_dist().over(_USER), 6).alias("cd"), F.round(F.percent_rank().over(_USER), 6).alias("pr"))
+    lambda r: r.table("events").select("event_id", F.row_number().over(_user()).alias("rn"), F.rank().over(W.partitionBy("user_id").orderBy("event_type")).alias("rk"), F.dense_rank().over(W.partitionBy("user_id").orderBy("event_type")).alias("dr"), F.ntile(4).over(_user()).alias("quarter"), F.round(F.cume_dist().over(_user()), 6).alias("cd"), F.round(F.percent_rank().over(_user()), 6).alias("pr"))
 )
 op("window_offsets", "SELECT event_id, lag(event_type) OVER w AS before, lead(event_id) OVER w AS after, first_value(event_id) OVER w AS head, nth_value(event_id, 2) OVER w AS second FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")(
-    lambda r: r.table("events").select("event_id", F.lag("event_type").over(_USER).alias("before"), F.lead("event_id").over(_USER).alias("after"), F.first("event_id").over(_USER).alias("head"), F.nth_value("event_id", 2).over(_USER).alias("second"))
+    lambda r: r.table("events").select("event_id", F.lag("event_type").over(_user()).alias("before"), F.lead("event_id").over(_user()).alias("after"), F.first("event_id").over(_user()).alias("head"), F.nth_value("event_id", 2).over(_user()).alias("second"))
 )
 op("window_frames", "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING), 3) AS running, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS 2 PRECEDING), 4) AS moving, round(value / sum(value) OVER (PARTITION BY user_id), 6) AS share FROM events")(
-    lambda r: r.table("events").select("event_id", F.round(F.sum("value").over(_USER.rowsBetween(W.unboundedPreceding, 0)), 3).alias("running"), F.round(F.avg("value").over(_USER.rowsBetween(-2, 0)), 4).alias("moving"), F.round(F.col("value") / F.sum("value").over(W.partitionBy("user_id")), 6).alias("share"))
+    lambda r: r.table("events").select("event_id", F.round(F.sum("value").over(_user().rowsBetween(W.unboundedPreceding, 0)), 3).alias("running"), F.round(F.avg("value").over(_user().rowsBetween(-2, 0)), 4).alias("moving"), F.round(F.col("value") / F.sum("value").over(W.partitionBy("user_id")), 6).alias("share"))
 )
 op("window_range_frame", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY day RANGE BETWEEN 90 PRECEDING AND CURRENT ROW) AS recent FROM (SELECT *, datediff('day', TIMESTAMP '1970-01-01', o_orderdate) AS day FROM orders)")(
     lambda r: r.table("orders").withColumn("day", F.datediff("o_orderdate", F.lit("1970-01-01").cast("date"))).select("o_orderkey", F.count(F.lit(1)).over(W.partitionBy("o_custkey").orderBy("day").rangeBetween(-90, 0)).alias("recent"))
