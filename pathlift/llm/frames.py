@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import gc
 import uuid
 from collections.abc import Callable, Iterator
@@ -64,6 +65,18 @@ def keep(df: DataFrame, purpose: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+@contextlib.contextmanager
+def small_batches(spark: SparkSession, rows: int = 1000) -> Iterator[None]:
+    """Arrow batches of fewer rows while a step runs: texts are long, and batches are held twice."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(min(rows, int(before)) if int(before) > 0 else rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 class Workspace:
     """Written intermediate tables of one run, in the folder all machines share.
 
@@ -80,7 +93,8 @@ class Workspace:
         return path, path.getFileSystem(self.spark._jsc.hadoopConfiguration())
 
     def keep(self, df: DataFrame, name: str, *, release: bool = False) -> DataFrame:
-        df.write.parquet(f"{self.base}/{name}")
+        with small_batches(self.spark):
+            df.write.parquet(f"{self.base}/{name}")
         schema = df.schema
         if release:
             del df

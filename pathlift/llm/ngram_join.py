@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected
-from .frames import Workspace
+from .frames import Workspace, small_batches
 from .key_filter import KeyFilter, key_filter
 from .textkernel import Words, row_slices, shingle_sets, string_buffers
 
@@ -310,7 +310,8 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     facts = work.keep(_facts(docs, words), "facts")
     named = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
     total = facts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    frequent = frequent_shingles(named, words, total)
+    with small_batches(spark):
+        frequent = frequent_shingles(named, words, total)
     work.release()
     prefixes = _prefixes(named, similarity, frequent)
     met = prefixes.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("token")

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .frames import add_columns
+from .frames import add_columns, small_batches
 
 _BITS = 15
 _SPAN = 6
@@ -173,7 +173,7 @@ def indexed(*groups: list[set[str]]) -> tuple[list[str], list[list[np.ndarray]]]
     return words, [[np.fromiter((number[w] for w in sorted(b)), np.int64, len(b)) for b in g] for g in groups]
 
 
-def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarray], *, landmarks: int = 256, most_words: int = 6_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
+def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarray], *, landmarks: int = 224, most_words: int = 5_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
     """A model from the distinct words and the word numbers of toxic and clean documents.
 
     With a class missing, the model answers the share of toxic documents for all.
@@ -268,7 +268,7 @@ def _curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(max(beta[0], 0.0)), float(beta[1])
 
 
-def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: tuple[int, int] = (2000, 4000), **settings) -> ToxicityModel:
+def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: tuple[int, int] = (1500, 3000), **settings) -> ToxicityModel:
     """A model from labelled documents.
 
     At most ``per_class`` toxic and clean documents, taken by a hash of their id, are
@@ -288,7 +288,9 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_
             bags = [sorted(words_of(x.as_py())) for x in batch.column(2)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(bags, pa.list_(pa.string()))], names=["id", "y", "words"])
 
-    found = texts.mapInArrow(sets, T.StructType([T.StructField("id", texts.schema["id"].dataType), T.StructField("y", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType()))])).toArrow()
+    found = texts.mapInArrow(sets, T.StructType([T.StructField("id", texts.schema["id"].dataType), T.StructField("y", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType()))]))
+    with small_batches(documents.sparkSession):
+        found = found.toArrow()
     lists = found.column("words").combine_chunks()
     coded = lists.flatten().dictionary_encode()
     order = np.argsort(np.asarray(coded.dictionary.to_pylist() or [""], dtype=object), kind="stable")
@@ -296,8 +298,9 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_
     number = np.empty(len(order), dtype=np.int64)
     number[order] = np.arange(len(order))
     codes, ends = number[coded.indices.to_numpy()] if len(coded) else np.zeros(0, np.int64), np.concatenate([[0], np.cumsum([len(x) for x in lists])])
-    told = found.column("y").to_pylist()
-    rows = sorted(range(len(told)), key=lambda r: (found.column("id")[r].as_py(), int(ends[r + 1] - ends[r])))
+    told, ids = found.column("y").to_pylist(), found.column("id").to_pylist()
+    del found, lists, coded
+    rows = sorted(range(len(told)), key=lambda r: (ids[r], int(ends[r + 1] - ends[r])))
     bag = lambda r: np.sort(codes[ends[r] : ends[r + 1]])
     return train(words, [bag(r) for r in rows if told[r] > 0], [bag(r) for r in rows if not told[r] > 0], **settings)
 
