@@ -137,11 +137,11 @@ def _machine(z: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float) ->
 
 
 def _changed(words: list[str], rng: np.random.Generator) -> list[str]:
-    """Each word with a character put in (twice), doubled, and left out, at random places."""
+    """Each word with a character put in (four times), doubled, and left out, at random places."""
     letters = "abcdefghijklmnopqrstuvwxyz"
     out = []
     for w in words:
-        for _ in range(2):
+        for _ in range(4):
             a = int(rng.integers(1, max(2, len(w))))
             out.append(w[:a] + letters[int(rng.integers(26))] + w[a:])
         a, b = (int(x) for x in rng.integers(0, len(w), 2))
@@ -173,7 +173,7 @@ def indexed(*groups: list[set[str]]) -> tuple[list[str], list[list[np.ndarray]]]
     return words, [[np.fromiter((number[w] for w in sorted(b)), np.int64, len(b)) for b in g] for g in groups]
 
 
-def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarray], *, landmarks: int = 224, most_words: int = 5_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
+def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarray], *, landmarks: int = 256, most_words: int = 5_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
     """A model from the distinct words and the word numbers of toxic and clean documents.
 
     With a class missing, the model answers the share of toxic documents for all.
@@ -268,7 +268,7 @@ def _curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(max(beta[0], 0.0)), float(beta[1])
 
 
-def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: tuple[int, int] = (1500, 3000), **settings) -> ToxicityModel:
+def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: tuple[int, int] = (2000, 3500), **settings) -> ToxicityModel:
     """A model from labelled documents.
 
     At most ``per_class`` toxic and clean documents, taken by a hash of their id, are
