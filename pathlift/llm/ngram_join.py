@@ -158,57 +158,67 @@ def chosen_prefix(shingles: np.ndarray, counts: np.ndarray, similarity: Similari
     return shingles[order[: n - t + best]], best
 
 
-def _prefixes(docs: DataFrame, similarity: Similarity, frequent: tuple[int, np.ndarray, np.ndarray]) -> DataFrame:
-    """(token, node, n, l, w) of every node's prefix, w being how typical its shingles are; a task emits a node once."""
-    bits, codes, often = frequent
+class _Order:
+    """Prefixes of shingle sets in the global order."""
+
+    def __init__(self, similarity: Similarity, frequent: tuple[int, np.ndarray, np.ndarray]):
+        self.similarity, (self.bits, self.codes, self.often) = similarity, frequent
+
+    def prefix(self, shingles: np.ndarray) -> tuple[np.ndarray, int, int]:
+        """(prefix shingles, demanded matches l, how typical the set is: 16 times its mean document count)."""
+        counts = np.zeros(len(shingles), np.int64)
+        if len(self.codes):
+            own = _code(shingles, self.bits)
+            at = np.minimum(np.searchsorted(self.codes, own), len(self.codes) - 1)
+            counts = np.where(self.codes[at] == own, self.often[at], 0)
+        prefix, demanded = chosen_prefix(shingles, counts, self.similarity)
+        return prefix, demanded, int(min(16 * counts.mean(), 2**31 - 1))
+
+
+def _prefixes(docs: DataFrame, order: _Order) -> DataFrame:
+    """(token, node) of every node's prefix; a task emits a node once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
         for batch in batches:
-            out: list[tuple] = []
+            out: list[np.ndarray] = []
+            nodes: list[int] = []
             size = 0
-            for _, s in _sets(batch, similarity.words):
+            for _, s in _sets(batch, order.similarity.words):
                 node = _node(s)
                 if len(s) and node not in seen:
                     seen.add(node)
-                    counts = np.zeros(len(s), np.int64)
-                    if len(codes):
-                        own = _code(s, bits)
-                        at = np.minimum(np.searchsorted(codes, own), len(codes) - 1)
-                        counts = np.where(codes[at] == own, often[at], 0)
-                    prefix, demanded = chosen_prefix(s, counts, similarity)
-                    out.append((prefix, node, len(s), demanded, int(min(16 * counts.mean(), 2**31 - 1))))
-                    size += len(prefix)
+                    out.append(order.prefix(s)[0])
+                    nodes.append(node)
+                    size += len(out[-1])
                 if size > 200_000:
-                    yield packed(out)
-                    out, size = [], 0
+                    yield packed(out, nodes)
+                    out, nodes, size = [], [], 0
             if out:
-                yield packed(out)
+                yield packed(out, nodes)
 
-    def packed(out: list[tuple]) -> pa.RecordBatch:
-        lengths = [len(o[0]) for o in out]
-        spread = lambda i, t: pa.array(np.repeat(np.array([o[i] for o in out], dtype=t), lengths))
-        return pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[0] for o in out]).view(np.int64)), spread(1, np.int64), spread(2, np.int32), spread(3, np.int8), spread(4, np.int32)], names=["token", "node", "n", "l", "w"])
+    def packed(out: list[np.ndarray], nodes: list[int]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.repeat(np.array(nodes, dtype=np.int64), [len(o) for o in out]))], names=["token", "node"])
 
-    return docs.mapInArrow(run, "token long, node long, n int, l byte, w int")
+    return docs.mapInArrow(run, "token long, node long")
 
 
-def _set_table(docs: DataFrame, words: int, wanted: KeyFilter) -> DataFrame:
-    """(node, n, low, high): 40-bit codes of the sets of wanted nodes, once each."""
+def _set_table(docs: DataFrame, order: _Order, wanted: KeyFilter) -> DataFrame:
+    """(node, n, l, w, low, high) of wanted nodes, once each: size, demand, weight and 40-bit codes."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
         for batch in batches:
             out = []
-            for _, s in _sets(batch, words):
+            for _, s in _sets(batch, order.similarity.words):
                 node = _node(s)
                 if len(s) and node not in seen and wanted.has(np.array([node]))[0]:
                     seen.add(node)
                     code = s >> np.uint64(24)
-                    out.append((node, len(s), code.astype(np.uint32).tobytes(), (code >> np.uint64(32)).astype(np.uint8).tobytes()))
+                    out.append((node, len(s), *order.prefix(s)[1:], code.astype(np.uint32).tobytes(), (code >> np.uint64(32)).astype(np.uint8).tobytes()))
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t) for i, t in enumerate((pa.int64(), pa.int64(), pa.binary(), pa.binary()))], names=["node", "n", "low", "high"])
+                yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t) for i, t in enumerate((pa.int64(), pa.int32(), pa.int8(), pa.int32(), pa.binary(), pa.binary()))], names=["node", "n", "l", "w", "low", "high"])
 
-    return docs.mapInArrow(run, "node long, n long, low binary, high binary").dropDuplicates(["node"])
+    return docs.mapInArrow(run, "node long, n int, l byte, w int, low binary, high binary").dropDuplicates(["node"])
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, similarity: Similarity) -> DataFrame:
@@ -313,15 +323,17 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     with small_batches(spark):
         frequent = frequent_shingles(named, words, total)
     work.release()
-    prefixes = _prefixes(named, similarity, frequent)
+    order = _Order(similarity, frequent)
+    prefixes = _prefixes(named, order)
     met = prefixes.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("token")
     postings = work.keep(prefixes.join(met, "token").dropDuplicates(["token", "node"]), "postings", release=True)
-    # c met prefix shingles bound the size of a similar partner: o - t + l <= c
+    met_counts = work.keep(postings.groupBy("node").agg(F.count(F.lit(1)).alias("met")), "met")
+    wanted = met_counts.count()
+    sets = work.keep(_set_table(named, order, key_filter(met_counts, "node")), "sets", release=True)
+    # met prefix shingles bound the size of a similar partner: o - t + l <= met
     share = f"{(100.0 + percent) / percent}D"
-    reach = F.expr(f"cast(floor((count(1) + ceil(first(n) * {percent} / 100.0D) - first(l)) * {share} + 1e-6D) as bigint) - first(n)")
-    nodes = work.keep(postings.groupBy("node").agg(reach.alias("most")), "nodes")
-    wanted = nodes.count()
-    sets = work.keep(_set_table(named, words, key_filter(nodes, "node")), "sets", release=True)
+    reach = F.expr(f"cast(floor((met + ceil(n * {percent} / 100.0D) - l) * {share} + 1e-6D) as bigint) - n")
+    nodes = work.keep(met_counts.join(sets.select("node", "n", "l", "w"), "node").select("node", "n", "l", "w", reach.alias("most")), "nodes")
 
     known = facts.where("n > 0 AND doc_id IS NOT NULL")
     first = known.groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z")
@@ -329,7 +341,7 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     labels = connected(links, work, "cc-repeated")
     step = gained = 0
     while wanted:
-        known_nodes = nodes.join(labels, "node", "left").select("node", "most", F.coalesce("root", "node").alias("root"))
+        known_nodes = nodes.join(labels, "node", "left").select("node", "n", "l", "w", "most", F.coalesce("root", "node").alias("root"))
         placed = postings.join(known_nodes, "node").select("token", "node", "n", "l", "w", "most", "root")
         counted = placed.groupBy("token", "root").count().groupBy("token").agg(F.sum("count").alias("n"), F.sum(F.col("count") * F.col("count")).alias("s"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
         open_tokens = work.keep(counted.select("token", ((F.col("n") * F.col("n") - F.col("s")) / 2).alias("pairs")), f"open-{step}")
