@@ -18,7 +18,7 @@ from ..operators.paths import JoinGraph, enumerate_paths, enumerate_paths_sql, m
 from ..operators.selection import Coverage, Pair, select_pairs
 from ..operators.sequence_model import EXTENDED, INPUTS, SequenceModel, predict_frame
 from ..registry import query
-from ..sources.repository import EDGES, Repository, both_ways, path_of
+from ..sources.repository import EDGES, JoinEdge, JoinPath, Repository, path_of
 from . import sqltext
 from .augmentation import quality_base, region_base, spend_base
 
@@ -308,37 +308,32 @@ def greedy_selection(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- the sequence model -------------------------------------------------------
 
 def training_sequences(spark: SparkSession, sf_dir: str) -> tuple[list[str], list[np.ndarray], np.ndarray, np.ndarray]:
-    """(path ids, step statistics, exact quality, product estimate) of paths of all bases with thinned last bridges.
+    """(path ids, step statistics, exact quality, product estimate) of paths of all bases with thinned last tables.
 
-    Thinning keeps far keys whose value modulo 10 lies below a level, which gives many
-    different qualities at small scale.
+    Thinned views keep far keys whose value modulo 10 lies below a level, which gives
+    many different qualities at small scale; all statistics are those of the views.
+    Pearson is of the two key count vectors; mutual information is of the key columns
+    aligned by joined row, where it equals the Shannon entropy of the key.
     """
     repo = Repository(spark, sf_dir)
     graph = JoinGraph(EDGES)
-    statistics = {r["edge_id"]: r for r in edge_stats.edge_statistics(repo, both_ways(EDGES)).collect()}
-    names, sequences, product = [], [], []
-    plans = []
+    paths: list[JoinPath] = []
     for base in ("orders", "customer", "documents", "labels", "part"):
         for path in graph.paths(base, 2)[:14]:
+            last = path.edges[-1]
             for level in (2, 5, 10):
-                last = path.edges[-1]
-                thin = repo.table(last.right).where(F.pmod(F.col(last.right_col).cast("long"), F.lit(10)) < level)
-                own = Repository(spark, sf_dir, extra={**repo.extra, last.right: thin})
-                plans.append((f"{base}|{path.path_id}|{level}", quality.exact_iq(own, repo.table(base), [(path, None)])))
-                steps = []
-                estimate = 1.0
-                for e in path.edges:
-                    r = statistics[e.edge_id]
-                    share = level / 10 if e is last else 1.0
-                    t = r["transitivity"] if share == 1.0 else min(1.0, r["transitivity"])
-                    estimate *= t
-                    steps.append([r["variance"] * share, r["entropy_printed"], r["kl"], r["pearson_key_counts"], r["entropy_shannon"] * share, t, r["containment"] * share])
-                names.append(plans[-1][0])
-                sequences.append(np.array(steps, dtype=float))
-                product.append(estimate)
-    rows = reduce(DataFrame.unionByName, [d.select(F.lit(n).alias("name"), "iq") for n, d in plans]).collect()
+                view = f"{last.right}@{last.right_col}@{level}"
+                repo.extra[view] = repo.table(last.right).where(F.pmod(F.col(last.right_col).cast("long"), F.lit(10)) < level)
+                paths.append(JoinPath((*path.edges[:-1], JoinEdge(f"{last.edge_id}@{level}", last.left, last.left_col, view, last.right_col))))
+    edges = {e.edge_id: e for p in paths for e in p.edges}
+    statistics = {r["edge_id"]: r for r in edge_stats.edge_statistics(repo, edges.values()).collect()}  # one row an edge
+    keys = ("variance", "entropy_printed", "kl", "pearson_key_counts", "entropy_shannon", "transitivity", "containment")
+    sequences = [np.array([[statistics[e.edge_id][k] for k in keys] for e in p.edges], dtype=float) for p in paths]
+    product = np.array([np.prod([statistics[e.edge_id]["transitivity"] for e in p.edges]) for p in paths])
+    names = [f"{p.base}|{p.path_id}" for p in paths]
+    rows = reduce(DataFrame.unionByName, [quality.exact_iq(repo, repo.table(p.base), [(p, None)]).select(F.lit(n).alias("name"), "iq") for n, p in zip(names, paths, strict=True)]).collect()
     exact = {r["name"]: r["iq"] for r in rows}
-    return names, sequences, np.array([exact[n] for n in names]), np.array(product)
+    return names, sequences, np.array([exact[n] for n in names]), product
 
 
 @query("lstm_iq")

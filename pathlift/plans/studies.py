@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.measures import abs_moment_bounds
 from ..operators import representation, utility
 from ..operators import search as searching
 from ..operators.augment import augment
@@ -17,7 +18,7 @@ from ..registry import query
 from ..sources.repository import Repository, path_of
 from . import sqltext
 from .augmentation import region_base
-from .searching import _progressive, end_to_end
+from .searching import _progressive, end_to_end, threshold_clusters
 
 _DAYS = f"(SELECT user_id, day, v, lag(v) OVER (PARTITION BY user_id ORDER BY day) AS before FROM {sqltext.view_sql('user_day')})"
 
@@ -115,3 +116,21 @@ def method_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
     runs = end_to_end(spark, sf_dir)
     best = runs.where("method <> 'the method'").groupBy("task", "budget").agg(F.max("gain").alias("other"))
     return runs.join(best, ["task", "budget"]).groupBy("method").agg(F.round(F.avg("rank"), 3).alias("mean_rank"), F.round(F.avg("gain"), 6).alias("mean_gain"), F.round(F.avg(F.try_divide(F.col("gain") - F.col("other"), F.col("other"))), 6).alias("relative_gain"), F.round(F.avg("fits"), 2).alias("mean_fits"))
+
+
+@query("cluster_report")
+def cluster_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Clusters, singletons, members and closeness to the centroid."""
+    sizes = threshold_clusters(spark, sf_dir).groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n"), F.min("cos_to_centroid").alias("low"), F.avg("cos_to_centroid").alias("mean"))
+    return sizes.agg(F.count(F.lit(1)).alias("clusters"), F.sum((F.col("n") == 1).cast("int")).alias("singletons"), F.max("n").alias("largest"), F.min("low").alias("least_cosine"), F.avg("mean").alias("mean_cosine"), F.max(1 - F.col("low")).alias("radius"))
+
+
+@query("moment_bounds")
+def moment_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Moments of the absolute value of a centred, scaled column beside their bounds."""
+    values = Repository(spark, sf_dir).table("events").select("value")
+    ends = values.agg(F.avg("value").alias("m"), F.max(F.abs("value")).alias("top"))
+    x = values.crossJoin(F.broadcast(ends)).select(((F.col("value") - F.col("m")) / (2 * F.col("top"))).alias("x"))  # one row
+    row = x.agg(F.var_pop("x").alias("eps"), F.avg(F.abs("x")).alias("mean_abs"), F.var_pop(F.abs("x")).alias("var_abs")).first()
+    bounds = abs_moment_bounds(row["eps"])
+    return spark.createDataFrame([(row["eps"], row["mean_abs"], bounds["mean_abs"], row["var_abs"], bounds["var_abs"])], "eps double, mean_abs double, mean_abs_bound double, var_abs double, var_abs_bound double")
