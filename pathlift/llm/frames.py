@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import contextlib
+import ctypes
 import gc
 import uuid
 from collections.abc import Callable, Iterator
@@ -30,6 +31,22 @@ def without(df: DataFrame, names: list[str]) -> DataFrame:
     return df.select(*[F.col(f"`{c}`") for c in df.columns if c.lower() not in gone])
 
 
+def tidied(run: Callable) -> Callable:
+    """A function over batches that gives its memory back to the system when it ends.
+
+    Python workers are reused by later stages; what their allocators keep would add up.
+    """
+
+    def wrapped(batches: Iterator) -> Iterator:
+        yield from run(batches)
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        with contextlib.suppress(OSError, AttributeError):  # not glibc
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+    return wrapped
+
+
 def add_columns(df: DataFrame, fields: list[tuple[str, T.DataType]], make: Callable[[pa.RecordBatch], list]) -> DataFrame:
     """The frame with columns that ``make`` computes from each Arrow batch.
 
@@ -42,7 +59,7 @@ def add_columns(df: DataFrame, fields: list[tuple[str, T.DataType]], make: Calla
         for batch in batches:
             yield pa.RecordBatch.from_arrays([*batch.columns, *make(batch)], names=[*batch.schema.names, *[n for n, _ in fields]])
 
-    return kept.mapInArrow(run, schema)
+    return kept.mapInArrow(tidied(run), schema)
 
 
 def shared_dir(spark: SparkSession, purpose: str) -> str:

@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected
-from .frames import Workspace, small_batches
+from .frames import Workspace, small_batches, tidied
 from .key_filter import KeyFilter, key_filter
 from .textkernel import Words, row_slices, shingle_sets, string_buffers
 
@@ -69,7 +69,7 @@ def _facts(docs: DataFrame, words: int) -> DataFrame:
             found = [(len(s), _node(s)) for _, s in _sets(batch, words)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], names=["doc_id", "n", "node"])
 
-    return docs.mapInArrow(run, "doc_id long, n long, node long")
+    return docs.mapInArrow(tidied(run), "doc_id long, n long, node long")
 
 
 def _code(shingles: np.ndarray, bits: int) -> np.ndarray:
@@ -130,7 +130,7 @@ def frequent_shingles(docs: DataFrame, words: int, total: int, *, least: int = 1
         high = np.int64(part.column("range")[0].as_py()) << np.int64(32)
         return pa.table({"code": pa.array(tails[at][often].astype(np.int64) + high), "df": pa.array(sums[often])})
 
-    found = docs.mapInArrow(count, "range int, tails binary, counts binary").groupBy("range").applyInArrow(total_up, "code long, df long")
+    found = docs.mapInArrow(tidied(count), "range int, tails binary, counts binary").groupBy("range").applyInArrow(total_up, "code long, df long")
     top = found.orderBy(F.desc("df"), "code").limit(most).toArrow()
     codes, counts = top.column("code").to_numpy(), top.column("df").to_numpy()
     order = np.argsort(codes)
@@ -200,7 +200,7 @@ def _prefixes(docs: DataFrame, order: _Order) -> DataFrame:
     def packed(out: list[np.ndarray], nodes: list[int]) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.repeat(np.array(nodes, dtype=np.int64), [len(o) for o in out]))], names=["token", "node"])
 
-    return docs.mapInArrow(run, "token long, node long")
+    return docs.mapInArrow(tidied(run), "token long, node long")
 
 
 def _set_table(docs: DataFrame, order: _Order, wanted: KeyFilter) -> DataFrame:
@@ -218,7 +218,7 @@ def _set_table(docs: DataFrame, order: _Order, wanted: KeyFilter) -> DataFrame:
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t) for i, t in enumerate((pa.int64(), pa.int32(), pa.int8(), pa.int32(), pa.binary(), pa.binary()))], names=["node", "n", "l", "w", "low", "high"])
 
-    return docs.mapInArrow(run, "node long, n int, l byte, w int, low binary, high binary").dropDuplicates(["node"])
+    return docs.mapInArrow(tidied(run), "node long, n int, l byte, w int, low binary, high binary").dropDuplicates(["node"])
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, similarity: Similarity) -> DataFrame:
@@ -242,7 +242,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, similarity: Similarity) -> Data
             keep = pa.array(similar, pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], names=["a", "b"])
 
-    return both.mapInArrow(run, "a long, b long")
+    return both.mapInArrow(tidied(run), "a long, b long")
 
 
 def _in_range(n: str, m: str, similarity: Similarity):
@@ -300,7 +300,7 @@ def _hot_pairs(rows: DataFrame, hot: DataFrame, similarity: Similarity, block: i
                 a, b = x["node"][i], y["node"][j]
                 yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["a", "b"])
 
-    return both.mapInArrow(run, "a long, b long").distinct()
+    return both.mapInArrow(tidied(run), "a long, b long").distinct()
 
 
 def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, words: int = 5, percent: int = 80, rounds: int = 4, pairs_per_node: int = 4, hot_pairs: int = 10_000) -> DataFrame:

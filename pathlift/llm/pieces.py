@@ -313,7 +313,7 @@ class _Store:
         return self.body[np.repeat(self.starts[at] - ends + sizes, sizes) + np.arange(int(ends[-1]) if len(ends) else 0)]
 
 
-def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n: int = 4, with_ids: bool = True, cache_words: int = 500_000) -> DataFrame:
+def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n: int = 4, with_ids: bool = True, cache_words: int = 400_000) -> DataFrame:
     """Adds n_pieces, [ids,] nbest_scores (best first, n at most), ids_digest and decoded.
 
     ``decoded`` says whether the ids give back the whole text.  Null and empty texts

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .frames import add_columns, small_batches
+from .frames import add_columns, small_batches, tidied
 
 _BITS = 15
 _SPAN = 6
@@ -288,7 +288,7 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_
             bags = [sorted(words_of(x.as_py())) for x in batch.column(2)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(bags, pa.list_(pa.string()))], names=["id", "y", "words"])
 
-    found = texts.mapInArrow(sets, T.StructType([T.StructField("id", texts.schema["id"].dataType), T.StructField("y", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType()))]))
+    found = texts.mapInArrow(tidied(sets), T.StructType([T.StructField("id", texts.schema["id"].dataType), T.StructField("y", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType()))]))
     with small_batches(documents.sparkSession):
         found = found.toArrow()
     lists = found.column("words").combine_chunks()
@@ -305,7 +305,7 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_
     return train(words, [bag(r) for r in rows if told[r] > 0], [bag(r) for r in rows if not told[r] > 0], **settings)
 
 
-def score_toxicity(df: DataFrame, model: ToxicityModel, text_col: str = "text", *, threshold: float = 0.3, cache_words: int = 400_000) -> DataFrame:
+def score_toxicity(df: DataFrame, model: ToxicityModel, text_col: str = "text", *, threshold: float = 0.3, cache_words: int = 150_000) -> DataFrame:
     """Adds score (0 to 1) and predicted (1 from the threshold on) from whole texts.
 
     Null and empty texts get the score of a text without any word.  Columns of these
