@@ -54,9 +54,13 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Piece ids of every document with the scores of its best segmentations."""
-    encoded = encode_documents(docs.select("doc_id", "text", "lang", "source"), load_pieces(PIECE_MODEL))
-    return encoded.select("doc_id", "lang", "source", "n_pieces", "ids", "nbest_scores", "decoded")
+    """Piece ids of every document with the scores of its best segmentations.
+
+    They are written here, in small Arrow batches, so that texts and ids of few
+    documents at a time are in memory.
+    """
+    encoded = encode_documents(docs.select("doc_id", "text", "lang", "source"), load_pieces(PIECE_MODEL), cache_words=120_000)
+    return Workspace(spark, "pieces").keep(encoded.select("doc_id", "lang", "source", "n_pieces", "ids", "nbest_scores", "decoded"), "encoded")
 
 
 STAGES = [
