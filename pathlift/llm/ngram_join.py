@@ -7,7 +7,10 @@ similar they share at least t(x) = ceil(s * |x|) shingles, so the first
 its own l: a longer prefix costs more postings but demands more matches, and the l
 with the least estimated cost, from the document counts of the prefix, is taken.  A
 pair that needs an overlap of o by its sizes has to share, in the two prefixes,
-min(o - t(x) + l(x), o - t(y) + l(y)) shingles before it is verified.
+min(o - t(x) + l(x), o - t(y) + l(y)) shingles before it is verified.  Neither can
+share more than it meets with any node, so a pair whose demand is above that is left
+out before its common shingles are counted; one side alone bounds nothing, as the
+other prefix may end first.
 
 Copies.  Equal shingle sets are one node.  Near copies would meet in all pairs, so
 before the join each node is compared with one centre, the node most of its
@@ -267,7 +270,7 @@ def _hot_pairs(rows: DataFrame, hot: DataFrame, similarity: Similarity, block: i
     brought = rows.join(hot.select("token", "pairs"), "token")
     held = rows.groupBy("node").agg(F.collect_list("token").alias("tokens"))
     spread = F.greatest(F.lit(1), F.ceil(F.sqrt(2 * F.col("pairs")) / block)).cast("int")
-    member = brought.join(held, "node").select("token", F.pmod(F.xxhash64("node"), spread).alias("block"), F.struct("node", "n", "l", "root", "most", "tokens").alias("m"))
+    member = brought.join(held, "node").select("token", F.pmod(F.xxhash64("node"), spread).alias("block"), F.struct("node", "n", "l", "root", "met", "tokens").alias("m"))
     blocks = member.groupBy("token", "block").agg(F.collect_list("m").alias("m"))
     both = blocks.join(blocks.select("token", F.col("block").alias("other"), F.col("m").alias("m2")), "token").where("block <= other").select("m", "m2")
     share = similarity.percent / (100.0 + similarity.percent)
@@ -280,7 +283,7 @@ def _hot_pairs(rows: DataFrame, hot: DataFrame, similarity: Similarity, block: i
                     m = batch.column(c)[k].values
                     field_of = lambda name, m=m: m.field(name).to_numpy(zero_copy_only=False)
                     lists = m.field("tokens")
-                    sides.append(({n: field_of(n) for n in ("node", "n", "l", "root", "most")}, lists.flatten().to_numpy(), np.diff(np.asarray(lists.offsets))))
+                    sides.append(({n: field_of(n) for n in ("node", "n", "l", "root", "met")}, lists.flatten().to_numpy(), np.diff(np.asarray(lists.offsets))))
                 (x, x_tokens, x_sizes), (y, y_tokens, y_sizes) = sides
                 common = np.intersect1d(x_tokens, y_tokens)
                 grid = []
@@ -295,7 +298,7 @@ def _hot_pairs(rows: DataFrame, hot: DataFrame, similarity: Similarity, block: i
                 overlap = np.ceil((n + m) * share - 1e-9)
                 own = lambda v: np.ceil(v * similarity.percent / 100.0)
                 needed = np.minimum(overlap - own(n) + x["l"][:, None], overlap - own(m) + y["l"][None, :])
-                fits = (met >= needed) & (x["root"][:, None] != y["root"][None, :]) & (np.minimum(n, m) * 100 >= np.maximum(n, m) * similarity.percent) & (m <= x["most"][:, None]) & (n <= y["most"][None, :])
+                fits = (met >= needed) & (x["root"][:, None] != y["root"][None, :]) & (np.minimum(n, m) * 100 >= np.maximum(n, m) * similarity.percent)
                 i, j = np.nonzero(fits)
                 a, b = x["node"][i], y["node"][j]
                 yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["a", "b"])
@@ -330,10 +333,8 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     met_counts = work.keep(postings.groupBy("node").agg(F.count(F.lit(1)).alias("met")), "met")
     wanted = met_counts.count()
     sets = work.keep(_set_table(named, order, key_filter(met_counts, "node")), "sets", release=True)
-    # met prefix shingles bound the size of a similar partner: o - t + l <= met
-    share = f"{(100.0 + percent) / percent}D"
-    reach = F.expr(f"cast(floor((met + ceil(n * {percent} / 100.0D) - l) * {share} + 1e-6D) as bigint) - n")
-    nodes = work.keep(met_counts.join(sets.select("node", "n", "l", "w"), "node").select("node", "n", "l", "w", reach.alias("most")), "nodes")
+    nodes = work.keep(met_counts.join(sets.select("node", "n", "l", "w"), "node").select("node", "n", "l", "w", "met"), "nodes")
+    possible = _demanded(similarity) <= F.least("met", "reach")
 
     known = facts.where("n > 0 AND doc_id IS NOT NULL")
     first = known.groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z")
@@ -341,8 +342,8 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     labels = connected(links, work, "cc-repeated")
     step = gained = 0
     while wanted:
-        known_nodes = nodes.join(labels, "node", "left").select("node", "n", "l", "w", "most", F.coalesce("root", "node").alias("root"))
-        placed = postings.join(known_nodes, "node").select("token", "node", "n", "l", "w", "most", "root")
+        known_nodes = nodes.join(labels, "node", "left").select("node", "n", "l", "w", "met", F.coalesce("root", "node").alias("root"))
+        placed = postings.join(known_nodes, "node").select("token", "node", "n", "l", "w", "met", "root")
         counted = placed.groupBy("token", "root").count().groupBy("token").agg(F.sum("count").alias("n"), F.sum(F.col("count") * F.col("count")).alias("s"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
         open_tokens = work.keep(counted.select("token", ((F.col("n") * F.col("n") - F.col("s")) / 2).alias("pairs")), f"open-{step}")
         ahead = open_tokens.agg(F.coalesce(F.sum("pairs"), F.lit(0))).first()[0]
@@ -353,15 +354,16 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         if last:
             hot = open_tokens.where(F.col("pairs") >= hot_pairs)
             cold = rows.join(hot.select("token"), "token", "left_anti")
-            other = cold.select("token", F.col("node").alias("b"), F.col("n").alias("m"), F.col("l").alias("k"), F.col("root").alias("other"), F.col("most").alias("reach"))
-            met = cold.withColumnRenamed("node", "a").join(other, "token").where("a < b AND root <> other AND m <= most AND n <= reach").where(_in_range("n", "m", similarity))
+            other = cold.select("token", F.col("node").alias("b"), F.col("n").alias("m"), F.col("l").alias("k"), F.col("root").alias("other"), F.col("met").alias("reach"))
+            met = cold.withColumnRenamed("node", "a").join(other, "token").where("a < b AND root <> other").where(_in_range("n", "m", similarity)).where(possible)
             pairs = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"), F.first(_demanded(similarity)).alias("demanded")).where("common >= demanded")
             pairs = pairs.select("a", "b").unionByName(_hot_pairs(rows, hot, similarity)).distinct()
         else:
             typical = F.col("w") if step < 2 else F.lit(0)
-            centre = rows.groupBy("token").agg(F.max_by(F.struct("node", "n", "root", "most"), F.struct(typical, F.xxhash64("node", F.lit(step)))).alias("c"))
-            near = rows.join(centre, "token").where("root <> c.root AND c.n <= most AND n <= c.most").where(_in_range("n", "c.n", similarity))
-            votes = near.groupBy("node", F.col("c.node").alias("centre")).count()
+            centre = rows.groupBy("token").agg(F.max_by(F.struct("node", "n", "l", "root", "met"), F.struct(typical, F.xxhash64("node", F.lit(step)))).alias("c"))
+            facing = rows.join(centre, "token").where("root <> c.root").select("node", "n", "l", "met", F.col("c.node").alias("centre"), F.col("c.n").alias("m"), F.col("c.l").alias("k"), F.col("c.met").alias("reach"))
+            near = facing.where(_in_range("n", "m", similarity)).where(possible)
+            votes = near.groupBy("node", "centre").count()
             pairs = votes.groupBy(F.col("node").alias("a")).agg(F.max_by("centre", F.struct("count", "centre")).alias("b"))
         found = work.keep(_verified(work.keep(pairs.select("a", "b"), f"pairs-{step}"), sets, similarity), f"links-{step}")
         gained = found.count()

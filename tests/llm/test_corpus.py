@@ -103,6 +103,21 @@ def test_join_of_a_hot_group_in_blocks(spark):
         assert got == groups_of(rows, 4, 85)
 
 
+@pytest.mark.parametrize(("rounds", "hot"), [(0, 10**9), (0, 1), (4, 10_000)])
+def test_join_keeps_contained_pairs_and_pairs_of_unequal_demands(spark, rounds, hot):
+    rng = random.Random(11)
+    shared = sentence(rng, 24, 5000)
+    rows = []
+    for i in range(40):  # a text and the same text with words added, at the threshold: 40 of 50 shingles
+        long = sentence(rng, 54, 10**6)
+        rows += [(2 * i, " ".join(long.split()[:44])), (2 * i + 1, long)]
+    for i in range(40, 70):  # one side has a frequent passage more
+        own = sentence(rng, 100, 10**6)
+        rows += [(2 * i, own), (2 * i + 1, f"{own} {shared}" if i % 2 else f"{shared} {own}")]
+    got = sorted((tuple(r) for r in similar_groups(frame(spark, rows), words=5, percent=80, rounds=rounds, pairs_per_node=0, hot_pairs=hot).collect()), key=str)
+    assert got == groups_of(rows, 5, 80)
+
+
 def test_join_of_nothing(spark):
     assert similar_groups(frame(spark, [])).count() == 0
 
