@@ -5,6 +5,7 @@ import bz2
 import collections
 import gzip
 import hashlib
+import lzma
 import os
 import random
 import re
@@ -13,6 +14,7 @@ import zlib
 
 import numpy as np
 import pytest
+import zstandard
 from pyspark.sql import functions as F
 
 from pathlift.llm import pieces as pc
@@ -179,6 +181,37 @@ def test_secrets_in_nested_layers(wrapped):
     assert kind == "assign" and 7 <= a < b <= 7 + len(wrapped)
 
 
+def _packed(raw, times=1):
+    for _ in range(times):
+        raw = gzip.compress(raw)
+    return raw
+
+
+@pytest.mark.parametrize(
+    "wrapped",
+    [
+        *[base64.b64encode(f"{c}{SECRET}{c}".encode()).decode() for c in ("\xa0", "\ufeff", "\u200b", "\f", "\0")], base64.b64encode(b"\xff" + SECRET.encode() + b"\xe2\x82").decode(),
+        base64.b64encode(_packed(b"\xff\0" + SECRET.encode())).decode(), base64.b64encode(_packed(b"\xff" + base64.b64encode(SECRET.encode()))).decode(), base64.b64encode(_packed(SECRET.encode(), 12)).decode(),
+        base64.b64encode(_packed(b"first member ") + _packed(SECRET.encode())).decode(), base64.b64encode(_packed(SECRET.encode()[:14]) + _packed(SECRET.encode()[14:])).decode(), base64.b64encode(bz2.compress(b"one ") + bz2.compress(SECRET.encode())).decode(),
+        base64.b64encode(lzma.compress(b"one ") + lzma.compress(SECRET.encode())).decode(), base64.b64encode(zstandard.compress(b"one ") + zstandard.compress(SECRET.encode())).decode(),
+        base64.b64encode(_packed(b"plain ") + _packed(_packed(SECRET.encode()))).decode(), base64.b64encode(_packed(b"a, " * 6_000_000 + SECRET.encode())).decode(), base64.b64encode(zstandard.compress(b"a, " * 6_000_000 + SECRET.encode())).decode(),
+        "\n".join(re.findall(".{1,10}", base64.b64encode(SECRET.encode()).decode())), "\r\n  ".join(re.findall(".{1,64}", base64.b64encode(_packed(SECRET.encode())).decode())), "x/" + base64.b64encode(SECRET.encode()).decode(), "id-" + base64.b64encode(_packed(SECRET.encode())).decode().rstrip("="),
+    ],
+    ids=range(21),
+)
+def test_secrets_in_layers_that_are_not_plain(wrapped):
+    base, found = scan(f"before {wrapped} after")
+    assert base == [] and any(kind == "assign" and 7 <= a < b <= 7 + len(wrapped) for a, b, kind in found)
+
+
+def test_secrets_across_windows():
+    body = "".join(f"{i:07d}\n" for i in range(999)) + " ".join(["word"] * 500) + "\n" + "\n".join(re.findall(".{1,76}", base64.b64encode(b"-" * 900 + SECRET.encode()).decode()))
+    raw = base64.b64encode(_packed(f"{SECRET}{body}".encode())).decode()
+    for most in (1, 50, 1000, 3001, 1 << 24):
+        assert {k for *_, k in scan(base64.b64encode(_packed(body.encode())).decode(), most)[1]} == {"assign"}
+        assert scan(raw, most) == scan(raw)
+
+
 def test_base_patterns():
     text = 'x token: "aaaaaaaaaaaa" token=short secret=0123456789abcdef AKIA' + "Z" * 14 + " AKIAZZ deadbeefdeadbeef API_KEY=AbCdEfGhIjKl ſecret=abcdefghijkl token=secret: abcdefghijklmnop"
     kinds = collections.Counter(k for *_, k in base_spans(text))
