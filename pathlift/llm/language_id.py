@@ -71,29 +71,34 @@ class LanguageModel:
 def fit_language_model(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id", *, rows_per_language: int = 400, max_languages: int = 64, dictionary_bytes: int = 96 * 1024, excerpt_chars: int = 1500, **settings) -> LanguageModel:
     """Dictionaries from a bounded, deterministic sample of labelled rows.
 
-    Bounds: the ``max_languages`` most frequent labels, ``rows_per_language`` rows of
-    each in the order of a hash of their id, of which the first ``excerpt_chars``
-    characters enter the dictionary.  Rows with null text or null label teach
-    nothing.  An empty table gives a model that answers ``und``.
+    Every label gets a dictionary.  Bounds: ``rows_per_language`` rows of each label in
+    the order of a hash of their id, of which ``excerpt_chars`` characters from a
+    hashed position enter the dictionary.  Beyond ``max_languages`` labels, all share
+    the rows and bytes of that many.  Rows with null text or null label teach nothing.
+    An empty table gives a model that answers ``und``.
     """
     named = labelled.where(F.col(lang_col).isNotNull())
-    counted = named.groupBy(F.col(lang_col).alias("lang")).count().orderBy(F.desc("count"), "lang").limit(max_languages).collect()
+    counted = named.groupBy(F.col(lang_col).alias("lang")).agg(F.count(F.lit(1)).alias("rows")).orderBy("lang").collect()
     langs = [r[0] for r in counted]
-    # only hashes below this level of a language reach the sort: about four times the rows wanted
-    level = [F.when(F.col("lang") == r[0], F.lit(int(min(1.0, 4 * rows_per_language / r[1]) * 2**62))) for r in counted]
+    part = min(1.0, max_languages / max(1, len(langs)))
+    rows_per_language, dictionary_bytes = max(1, round(rows_per_language * part)), max(256, round(dictionary_bytes * part))
+    # only hashes below this level of a language reach the sort: about four times the rows wanted, and 16 at least
+    level = named.sparkSession.createDataFrame([(r[0], int(min(1.0, max(16, 4 * rows_per_language) / r[1]) * 2**62)) for r in counted], "lang string, level long")
     order = Window.partitionBy("lang").orderBy("h", "id")
     picked = (
-        named.where(F.col(lang_col).isin(langs))
-        .select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id"), F.pmod(F.xxhash64(F.col(id_col)), F.lit(2**62)).alias("h"))
-        .where(F.col("h") <= F.coalesce(*level, F.lit(-1)))
+        named.select(F.col(lang_col).alias("lang"), F.col(id_col).alias("id"), F.pmod(F.xxhash64(F.col(id_col)), F.lit(2**62)).alias("h"))
+        .join(F.broadcast(level), "lang")  # one row a label
+        .where("h <= level")
         .withColumn("n", F.row_number().over(order))
         .where(F.col("n") <= rows_per_language)
         .select("id", "lang", "n")
     )
+    start = 1 + F.pmod(F.xxhash64("id", F.lit(1)), F.greatest(F.lit(1), F.length("text") - excerpt_chars + 1))
     texts = (
-        named.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.substring(text_col, 1, excerpt_chars).alias("text"))
-        .join(F.broadcast(picked), ["id", "lang"])  # at most max_languages * rows_per_language rows
+        named.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
+        .join(F.broadcast(picked), ["id", "lang"])  # at most max_languages * rows_per_language rows, or one a label
         .where(F.col("text").isNotNull())
+        .select("lang", "n", F.substr("text", start.cast("int"), F.lit(excerpt_chars)).alias("text"))
         .collect()
     )
     contents = dict.fromkeys(langs, b"")

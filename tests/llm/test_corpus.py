@@ -426,6 +426,19 @@ def test_language_by_compression(spark):
 # --- the pipeline ------------------------------------------------------------------------------------------
 
 
+def test_every_label_is_learned_beyond_the_first_characters(spark):
+    rng = random.Random(5)
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    words = [["".join(rng.choices(letters, k=6)) for _ in range(30)] for _ in range(72)]
+    header = " ".join("".join(rng.choices(letters, k=6)) for _ in range(230))
+    text = lambda k, n: " ".join(rng.choices(words[k], k=n))
+    rows = [(100 * k + i, f"{header} {text(k, 900)}", f"l{k:02d}") for k in range(72) for i in range(3)]
+    model = fit_language_model(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    asked = spark.createDataFrame([(k, text(k, 60)) for k in range(72)], "doc_id long, text string")
+    out = {r["doc_id"]: r["lang_pred"] for r in identify_language(asked, model).collect()}
+    assert len(model.dictionaries) == 72 and sum(out[k] == f"l{k:02d}" for k in out) >= 70
+
+
 def test_pipeline_stages(spark, data):
     import corpus_pipeline as cp
     from pathlift.llm.frames import table
