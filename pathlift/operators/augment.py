@@ -14,7 +14,7 @@ from collections.abc import Mapping, Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.repository import JoinEdge, JoinPath, Repository
+from ..sources.repository import JoinEdge, JoinPath, Repository, as_key
 
 #: Ways of collapsing the matches of a key; ties of mode and first go to the smallest value.
 POLICIES = ("first", "mean", "max", "min", "sum", "count", "mode", "latest")
@@ -35,18 +35,18 @@ def collapse(column: Column, policy: str, latest_by: Column | None = None) -> Co
     raise ValueError(f"unknown policy {policy}")
 
 
-def _fold(repo: Repository, path: Sequence[JoinEdge], features: Mapping[str, Column], policy: str, latest_by: str | None) -> DataFrame:
+def _fold(repo: Repository, path: Sequence[JoinEdge], features: Mapping[str, Column], policy: str, latest_by: str | None, kind: str | None = None) -> DataFrame:
     """(key, features): what the path leads to from each value of its first edge's right column."""
     edge, rest = path[0], path[1:]
     table = repo.table(edge.right)
-    key = F.col(edge.right_col).cast("long").alias("key")
+    key = as_key(edge.right_col, kind or repo.kind(edge)).alias("key")
     if not rest:
         by = F.col(latest_by) if latest_by else None
         rows = table.where(F.col(edge.right_col).isNotNull())
         out = rows.groupBy(key).agg(*[collapse(c, policy, by).alias(n) for n, c in features.items()])
         return out.where(F.coalesce(*[F.col(n).cast("string") for n in features]).isNotNull())
     ahead = _fold(repo, rest, features, policy, latest_by).withColumnRenamed("key", "onward")
-    bridge = table.select(key, F.col(rest[0].left_col).cast("long").alias("onward")).where("key IS NOT NULL AND onward IS NOT NULL")
+    bridge = table.select(key, as_key(rest[0].left_col, repo.kind(rest[0])).alias("onward")).where("key IS NOT NULL AND onward IS NOT NULL")
     # the bridge row with the smallest onward key that leads to a value
     return bridge.join(ahead, "onward").groupBy("key").agg(*[F.min_by(n, F.when(F.col(n).isNotNull(), F.col("onward"))).alias(n) for n in features])
 
@@ -58,9 +58,10 @@ def augment(repo: Repository, base: DataFrame, path: JoinPath, feature: str, *,
     full also keep far keys that no base row has (their base columns are null).
     """
     name = name or f"{path.last}__{feature}"
-    frame = _fold(repo, path.edges, {name: F.col(feature)}, policy, latest_by)
+    kind = repo.kind(path.edges[0], base)
+    frame = _fold(repo, path.edges, {name: F.col(feature)}, policy, latest_by, kind)
     first = path.edges[0].left_col
-    joined = base.withColumn("__k", F.col(first).cast("long")).join(frame.withColumnRenamed("key", "__k"), "__k", how)
+    joined = base.withColumn("__k", as_key(first, kind)).join(frame.withColumnRenamed("key", "__k"), "__k", how)
     return joined.drop("__k")
 
 
@@ -79,17 +80,17 @@ def integrate(repo: Repository, base: DataFrame, plan: Sequence[tuple[JoinPath,
         node.setdefault("features", []).append((f"{path.last}__{feature}__{rank}", feature))
     joins = 0
 
-    def frame(edge: JoinEdge, node: dict) -> tuple[DataFrame, list[str]]:
+    def frame(edge: JoinEdge, node: dict, kind: str) -> tuple[DataFrame, list[str]]:
         nonlocal joins
         own = node.get("features", [])
         children = [(e, n) for e, n in node.items() if e != "features"]
-        key = F.col(edge.right_col).cast("long").alias("key")
+        key = as_key(edge.right_col, kind).alias("key")
         onward = {e: f"__on{i}" for i, (e, _) in enumerate(children)}
-        rows = repo.table(edge.right).where(F.col(edge.right_col).isNotNull()).select(key, *[F.col(f).alias(n) for n, f in own], *[F.col(e.left_col).cast("long").alias(c) for e, c in onward.items()])
+        rows = repo.table(edge.right).where(F.col(edge.right_col).isNotNull()).select(key, *[F.col(f).alias(n) for n, f in own], *[as_key(e.left_col, repo.kind(e)).alias(c) for e, c in onward.items()])
         aggregates = [collapse(F.col(n), policy).alias(n) for n, _ in own]
         names = [n for n, _ in own]
         for e, n in children:
-            ahead, carried = frame(e, n)
+            ahead, carried = frame(e, n, repo.kind(e))
             joins += 1
             rows = rows.join(ahead.withColumnRenamed("key", onward[e]), onward[e], "left")
             aggregates += [F.min_by(c, F.when(F.col(c).isNotNull(), F.col(onward[e]))).alias(c) for c in carried]
@@ -98,9 +99,10 @@ def integrate(repo: Repository, base: DataFrame, plan: Sequence[tuple[JoinPath,
 
     out = base
     for edge, node in tree.items():
-        ahead, _ = frame(edge, node)
+        kind = repo.kind(edge, base)
+        ahead, _ = frame(edge, node, kind)
         joins += 1
-        out = out.withColumn("__k", F.col(edge.left_col).cast("long")).join(ahead.withColumnRenamed("key", "__k"), "__k", "left").drop("__k")
+        out = out.withColumn("__k", as_key(edge.left_col, kind)).join(ahead.withColumnRenamed("key", "__k"), "__k", "left").drop("__k")
     return out, joins
 
 

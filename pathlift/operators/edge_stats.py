@@ -9,35 +9,52 @@ grouped sums by edge.
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterable, Sequence
+from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..sources.repository import JoinEdge, Repository
+from ..sources.repository import JoinEdge, Repository, as_key, key_kind, key_struct
+from .quality import LEVELS, least_level
 
 SMOOTHING = 1e-6
 CLIP = 1e-12
 
 
-def key_histogram(repo: Repository, columns: Iterable[tuple[str, str]]) -> DataFrame:
-    """(col, k, c): rows by value of the key columns; nulls never join and are left out."""
+def _number(column: str, kind: str) -> Column:
+    """What a key is in moments: numbers and times as numbers, text as nothing."""
+    c = F.col(column)
+    if kind == "date":
+        return F.unix_date(c.cast("date")).cast("double")
+    if kind == "timestamp_ntz":
+        return F.unix_seconds(c.cast("timestamp")).cast("double")
+    return F.lit(None).cast("double") if kind == "string" else c.cast("double")
+
+
+def key_histogram(repo: Repository, columns: Iterable[tuple[str, str, str]]) -> DataFrame:
+    """(col, key, x, c): rows by value of key columns (table, column, kind); nulls never join and are left out.
+
+    ``key`` is comparable across columns of one kind; ``x`` is its number, if it is one.
+    """
     parts = []
-    for table, column in sorted(set(columns)):
-        k = F.col(column).cast("long")
-        parts.append(repo.table(table).where(F.col(column).isNotNull()).groupBy(k.alias("k")).agg(F.count(F.lit(1)).alias("c")).select(F.lit(f"{table}.{column}").alias("col"), "k", "c"))
+    for table, column, kind in sorted(set(columns)):
+        rows = repo.table(table).where(F.col(column).isNotNull()).groupBy(key_struct(column, kind).alias("key")).agg(F.min(_number(column, kind)).alias("x"), F.count(F.lit(1)).alias("c"))
+        parts.append(rows.select(F.lit(f"{table}.{column}:{kind}").alias("col"), "key", "x", "c"))
     return reduce(DataFrame.unionByName, parts)
 
 
 def joined_histogram(repo: Repository, edges: Iterable[JoinEdge]) -> DataFrame:
-    """(edge_id, k, l, r): left and right rows by key of each edge, 0 where there are none."""
+    """(edge_id, key, x, l, r): left and right rows by key of each edge, 0 where there are none."""
     edges = list(edges)
-    hist = key_histogram(repo, [c for e in edges for c in ((e.left, e.left_col), (e.right, e.right_col))])
-    spec = repo.spark.createDataFrame([(e.edge_id, f"{e.left}.{e.left_col}", f"{e.right}.{e.right_col}") for e in edges], "edge_id string, lcol string, rcol string")
-    left = hist.join(F.broadcast(spec), F.col("col") == F.col("lcol")).select("edge_id", "k", F.col("c").alias("l"))
-    right = hist.join(F.broadcast(spec), F.col("col") == F.col("rcol")).select("edge_id", "k", F.col("c").alias("r"))
-    return left.join(right, ["edge_id", "k"], "full").fillna(0, ["l", "r"])
+    kinds = {e: repo.kind(e) for e in edges}
+    hist = key_histogram(repo, [c for e in edges for c in ((e.left, e.left_col, kinds[e]), (e.right, e.right_col, kinds[e]))])
+    spec = F.broadcast(repo.spark.createDataFrame([(e.edge_id, f"{e.left}.{e.left_col}:{kinds[e]}", f"{e.right}.{e.right_col}:{kinds[e]}") for e in edges], "edge_id string, lcol string, rcol string"))  # metadata
+    left = hist.join(spec, F.col("col") == F.col("lcol")).select("edge_id", "key", F.col("x").alias("lx"), F.col("c").alias("l"))
+    right = hist.join(spec, F.col("col") == F.col("rcol")).select("edge_id", "key", F.col("x").alias("rx"), F.col("c").alias("r"))
+    return left.join(right, ["edge_id", "key"], "full").select("edge_id", "key", F.coalesce("lx", "rx").alias("x"), F.coalesce("l", F.lit(0)).alias("l"), F.coalesce("r", F.lit(0)).alias("r"))
 
 
 def edge_statistics(repo: Repository, edges: Iterable[JoinEdge]) -> DataFrame:
@@ -48,10 +65,11 @@ def edge_statistics(repo: Repository, edges: Iterable[JoinEdge]) -> DataFrame:
     entropy: of the key in the joined rows, in the printed form -sum(p ln(1 - p)) and
     in Shannon's.  kl: of the far column before the join against after it, with
     additive smoothing over its values.  pearson_key_counts: correlation of the two
-    count vectors over all keys, 0 where a vector is constant.
+    count vectors over all keys, 0 where a vector is constant.  Keys may be numbers,
+    dates, times or text; the variance of text is 0.
     """
     rows = joined_histogram(repo, edges).withColumn("j", (F.col("l") * F.col("r")).cast("double"))
-    k = F.col("k").cast("double")
+    k = F.col("x")
     met = (F.col("l") > 0) & (F.col("r") > 0)
     l, r = F.col("l").cast("double"), F.col("r").cast("double")  # noqa: E741
     one = lambda c: F.sum(F.when(c, 1.0).otherwise(0.0))
@@ -83,14 +101,15 @@ def passage_statistics(repo: Repository, edge: JoinEdge, out_column: str, out_ta
     Rows of the far table count as often as the near side has their key.  Values of
     the leaving column are the cells; without joined rows both are 0.
     """
-    near = repo.table(edge.left).where(F.col(edge.left_col).isNotNull()).groupBy(F.col(edge.left_col).cast("long").alias("x")).agg(F.count(F.lit(1)).cast("double").alias("w"))
-    far = repo.table(out_table or edge.right).select(F.col(edge.right_col).cast("long").alias("x"), F.col(out_column).alias("y")).where("x IS NOT NULL AND y IS NOT NULL")
+    kind = repo.kind(edge)
+    near = repo.table(edge.left).where(F.col(edge.left_col).isNotNull()).groupBy(as_key(edge.left_col, kind).alias("x")).agg(F.count(F.lit(1)).cast("double").alias("w"))
+    far = repo.table(out_table or edge.right).select(as_key(edge.right_col, kind).alias("x"), F.col(out_column).alias("y")).where("x IS NOT NULL AND y IS NOT NULL")
     cells = far.groupBy("x", "y").count().join(near, "x").select("x", "y", (F.col("w") * F.col("count")).alias("w"))
     total = cells.agg(F.sum("w").alias("n"))
     by_x = cells.groupBy("x").agg(F.sum("w").alias("wx"))
     by_y = cells.groupBy("y").agg(F.sum("w").alias("wy"))
     full = cells.join(by_x, "x").join(by_y, "y").crossJoin(F.broadcast(total))  # one row
-    x, y, w = F.col("x").cast("double"), F.expr("try_cast(y AS double)"), F.col("w")
+    x, y, w = F.expr("try_cast(x AS double)"), F.expr("try_cast(y AS double)"), F.col("w")
     s = lambda e: F.sum(w * e)
     n = F.sum("w")
     cov = s(x * y) / n - s(x) / n * (s(y) / n)
@@ -101,25 +120,141 @@ def passage_statistics(repo: Repository, edge: JoinEdge, out_column: str, out_ta
     )
 
 
-def discover_edges(repo: Repository, columns: list[tuple[str, str]], min_containment: float = 0.1) -> DataFrame:
+@dataclass(frozen=True)
+class Leaving:
+    """A way through a table: the edge that enters it and the column that leaves it, or that a path ends in."""
+
+    edge: JoinEdge
+    column: str
+
+
+def leaving_statistics(repo: Repository, ways: Iterable[Leaving], levels: Sequence[int] = (LEVELS,), bins: int = 20) -> DataFrame:
+    """(edge_id, column, level, variance, entropy_printed, entropy_shannon, kl, pearson, mutual_info, transitivity, containment, n_joined).
+
+    The statistics of an edge with the column in place of the join column: it is the
+    column of the far table by which a path goes on, or the feature in which it ends.
+    Rows of the far table count as often as the near side has their key.  Variance and
+    entropies are of the column in the joined rows; kl compares it before and after the
+    join; Pearson and mutual information pair it with the entering key.  Numbers of more
+    than ``bins`` values are cut into that many equal widths where they stand for
+    categories.  A row counts only where the column has a value, so transitivity is the
+    share of such far keys that the near side has, and containment the share of near
+    keys that find a value.  At a level, the far table holds only the keys that a hash
+    puts below it.
+
+    One pass a far table: its columns are unpivoted, folded to cells (key, bin) and met
+    with the near side's key histogram.  Everything else is sums over cells that carry
+    the least level of their key, so all levels come out of one pass.
+    """
+    ways = list(dict.fromkeys(ways))
+    kinds = {w.edge: repo.kind(w.edge) for w in ways}
+    near = key_histogram(repo, {(e.left, e.left_col, k) for e, k in kinds.items()})
+    spec = repo.spark.createDataFrame([(e.edge_id, f"{e.left}.{e.left_col}:{k}") for e, k in kinds.items()], "edge_id string, col string")
+    near = near.join(F.broadcast(spec), "col").select("edge_id", "key", F.col("x"), F.col("c").cast("double").alias("w"))  # metadata
+    parts = []
+    for edge, kind in kinds.items():
+        table = repo.table(edge.right)
+        columns = [w.column for w in ways if w.edge == edge]
+        numeric = {c for c in columns if isinstance(table.schema[c].dataType, T.NumericType)}
+        text = lambda c: F.col(c).cast("string")
+        long = F.explode(F.array(*[F.struct(F.lit(c).alias("column"), text(c).alias("v"), (F.col(c).cast("double") if c in numeric else F.lit(None).cast("double")).alias("y")) for c in columns]))
+        rows = table.where(F.col(edge.right_col).isNotNull()).select(key_struct(edge.right_col, kind).alias("key"), long.alias("p"))
+        parts.append(rows.where("p.v IS NOT NULL").select(F.lit(edge.edge_id).alias("edge_id"), "key", "p.*"))
+    far = reduce(DataFrame.unionByName, parts)
+    way = ["edge_id", "column"]
+    span = far.groupBy(*way).agg(F.min("y").alias("low"), F.max("y").alias("high"), F.approx_count_distinct("y").alias("values"))
+    width = (F.col("high") - F.col("low")) / bins
+    binned = F.when((F.col("values") > bins) & (width > 0), F.least(F.lit(bins - 1), F.floor((F.col("y") - F.col("low")) / width)).cast("string")).otherwise(F.col("v"))
+    cells = far.join(F.broadcast(span), way).select(*way, "key", binned.alias("bin"), "y").groupBy(*way, "key", "bin").agg(F.count(F.lit(1)).cast("double").alias("r"), F.sum("y").alias("sy"), F.sum(F.col("y") * F.col("y")).alias("syy"))  # metadata
+    met = cells.join(near, ["edge_id", "key"], "left").select(*way, "key", "bin", "r", "sy", "syy", "x", F.coalesce("w", F.lit(0.0)).alias("w"), least_level(F.col("key")).alias("least"))
+    at_levels = lambda df: df.withColumn("level", F.explode(F.array(*[F.lit(x) for x in levels]))).where("least <= level")
+    weight = F.col("r") * F.col("w")
+    log = lambda c: F.when(c > 0, c * F.log(c)).otherwise(0.0)
+    # by key: sums that only need the key
+    keys = met.groupBy(*way, "key", "least").agg(F.first("x").alias("x"), F.first("w").alias("w"), F.sum(weight).alias("j"), F.sum(log(weight)).alias("cell_log"), F.sum(F.col("sy") * F.col("w")).alias("jy"), F.sum(F.col("syy") * F.col("w")).alias("jyy"))
+    by_key = keys.groupBy(*way, "least").agg(
+        F.count(F.lit(1)).alias("far_keys"), F.sum((F.col("w") > 0).cast("long")).alias("met_keys"), F.sum("j").alias("j"), F.sum("cell_log").alias("cell_log"), F.sum(log(F.col("j"))).alias("key_log"),
+        F.sum(F.col("j") * F.col("x")).alias("jx"), F.sum(F.col("j") * F.col("x") * F.col("x")).alias("jxx"), F.sum("jy").alias("jy"), F.sum("jyy").alias("jyy"), F.sum(F.col("x") * F.col("jy")).alias("jxy"),
+    )
+    sums = [c for c in by_key.columns if c not in (*way, "least")]
+    totals = at_levels(by_key).groupBy(*way, "level").agg(*[F.sum(c).alias(c) for c in sums])
+    # by bin: the column's distribution before and after the join
+    bins_at = at_levels(met.groupBy(*way, "bin", "least").agg(F.sum("r").alias("r"), F.sum(weight).alias("j"))).groupBy(*way, "level", "bin").agg(F.sum("r").alias("r"), F.sum("j").alias("j"))
+    whole = bins_at.groupBy(*way, "level").agg(F.sum("r").alias("all_r"), F.sum("j").alias("all_j"), F.count(F.lit(1)).alias("n_bins"))
+    share = bins_at.join(whole, [*way, "level"])
+    p = F.coalesce(F.try_divide("j", "all_j"), F.lit(0.0))
+    smooth = 1 + F.col("n_bins") * SMOOTHING
+    before = (F.col("r") / F.col("all_r") + SMOOTHING) / smooth
+    after = (p + SMOOTHING) / F.when(F.col("all_j") > 0, smooth).otherwise(F.col("n_bins") * SMOOTHING)
+    spread = share.groupBy(*way, "level").agg(
+        F.sum(F.when(p > 0, -p * F.log(F.greatest(1 - p, F.lit(CLIP)))).otherwise(0.0)).alias("entropy_printed"), F.sum(F.when(p > 0, -p * F.log(p)).otherwise(0.0)).alias("entropy_shannon"),
+        F.sum(before * F.log(before / after)).alias("kl"), F.sum(log(F.col("j"))).alias("bin_log"),
+    )
+    near_keys = near.groupBy("edge_id").agg(F.count(F.lit(1)).alias("near_keys"))
+    both = totals.join(spread, [*way, "level"]).join(F.broadcast(near_keys), "edge_id", "left")  # one row an edge
+    mean = lambda c: F.try_divide(c, "j")
+    vx, vy = mean("jxx") - mean("jx") * mean("jx"), mean("jyy") - mean("jy") * mean("jy")
+    cov = mean("jxy") - mean("jx") * mean("jy")
+    # sum p ln(p / (p_x p_y)) over cells, from sums of w ln w
+    shared = mean("cell_log") + F.log("j") - mean("key_log") - mean("bin_log")
+    out = both.select(
+        *way, "level", F.greatest(vy, F.lit(0.0)).alias("variance"), "entropy_printed", "entropy_shannon", F.greatest("kl", F.lit(0.0)).alias("kl"),
+        F.when((vx > 1e-12 * F.greatest(F.lit(1.0), mean("jxx"))) & (vy > 1e-12 * F.greatest(F.lit(1.0), mean("jyy"))), cov / F.sqrt(vx * vy)).alias("pearson"), F.when(F.col("j") > 0, F.greatest(shared, F.lit(0.0))).alias("mutual_info"),
+        F.try_divide("met_keys", "far_keys").alias("transitivity"), F.try_divide("met_keys", "near_keys").alias("containment"), F.col("j").cast("long").alias("n_joined"),
+    )
+    return out.fillna(0.0)
+
+
+def joinable_columns(repo: Repository, tables: Iterable[str], *, most_text: int = 64) -> list[tuple[str, str, str]]:
+    """(table, column, kind) of the columns that keys could be: whole numbers, dates and short text."""
+    out = []
+    for t in tables:
+        df = repo.table(t)
+        kinds = [(f.name, key_kind(f.dataType)) for f in df.schema.fields if isinstance(f.dataType, T.StringType | T.IntegralType | T.DateType)]
+        texts = [c for c, k in kinds if k == "string"]
+        longest = df.agg(*[F.max(F.length(c)).alias(c) for c in texts]).first() if texts else {}
+        out += [(t, c, k) for c, k in kinds if k != "string" or (longest[c] or 0) <= most_text]
+    return out
+
+
+def _kinded(repo: Repository, columns: Iterable[tuple]) -> list[tuple[str, str, str]]:
+    return [c if len(c) == 3 else (*c, key_kind(repo.table(c[0]).schema[c[1]].dataType)) for c in columns]
+
+
+def _overlapping(hist: DataFrame) -> DataFrame:
+    """(col): columns whose range of keys overlaps that of a column of another table; the others can join with nothing."""
+    table = lambda c: F.substring_index(c, ".", 1)
+    ends = hist.groupBy("col").agg(F.min("key").alias("low"), F.max("key").alias("high"))  # one row a column
+    a, b = ends.alias("a"), F.broadcast(ends.alias("b"))
+    meet = (table("a.col") != table("b.col")) & (F.col("a.low") <= F.col("b.high")) & (F.col("b.low") <= F.col("a.high"))
+    return a.join(b, meet, "left_semi").select("col")
+
+
+def discover_edges(repo: Repository, columns: Iterable[tuple], min_containment: float = 0.1) -> DataFrame:
     """(lcol, rcol, shared, containment) of column pairs by exact value containment.
 
-    An inverted index groups the columns of each value (their number is bounded by
-    the columns given); pairs of columns, not of rows, are counted.
+    Columns are (table, column[, kind]); keys of one kind meet, whatever the exact type.
+    Columns whose range meets that of no other table fall away first.  An inverted index
+    groups the columns of each value (their number is bounded by the columns given);
+    pairs of columns, not of rows, are counted.
     """
-    hist = key_histogram(repo, columns)
+    hist = key_histogram(repo, _kinded(repo, columns))
+    hist = hist.join(F.broadcast(_overlapping(hist)), "col")  # one row a column
     sizes = hist.groupBy("col").count()
-    index = hist.groupBy("k").agg(F.sort_array(F.collect_set("col")).alias("cols"))
+    index = hist.groupBy("key").agg(F.sort_array(F.collect_set("col")).alias("cols"))
     pairs = index.groupBy("cols").count().select(F.explode("cols").alias("lcol"), "cols", "count").select("lcol", F.explode("cols").alias("rcol"), "count").where("lcol <> rcol")
     shared = pairs.groupBy("lcol", "rcol").agg(F.sum("count").alias("shared"))
-    found = shared.join(F.broadcast(sizes), F.col("lcol") == F.col("col")).select("lcol", "rcol", "shared", (F.col("shared") / F.col("count")).alias("containment"))
-    return found.where((F.col("containment") >= min_containment) & (F.col("shared") >= 2) & (F.substring_index("lcol", ".", 1) != F.substring_index("rcol", ".", 1)))
+    found = shared.join(F.broadcast(sizes), F.col("lcol") == F.col("col")).select("lcol", "rcol", "shared", (F.col("shared") / F.col("count")).alias("containment"))  # one row a column
+    bare = lambda c: F.substring_index(c, ":", 1)
+    found = found.where((F.col("containment") >= min_containment) & (F.col("shared") >= 2) & (F.substring_index("lcol", ".", 1) != F.substring_index("rcol", ".", 1)))
+    return found.select(bare("lcol").alias("lcol"), bare("rcol").alias("rcol"), "shared", "containment")
 
 
-def discover_edges_sketch(repo: Repository, columns: list[tuple[str, str]], min_containment: float = 0.1) -> DataFrame:
+def discover_edges_sketch(repo: Repository, columns: Iterable[tuple], min_containment: float = 0.1) -> DataFrame:
     """As discover_edges, from one theta sketch a column: mergeable, of fixed size, approximate."""
-    hist = key_histogram(repo, columns).groupBy("col").agg(F.expr("theta_sketch_agg(k)").alias("s"))
-    a, b = hist.select(F.col("col").alias("lcol"), F.col("s").alias("ls")), hist.select(F.col("col").alias("rcol"), F.col("s").alias("rs"))
+    hist = key_histogram(repo, _kinded(repo, columns)).groupBy("col").agg(F.expr("theta_sketch_agg(xxhash64(key))").alias("s"))
+    bare = lambda c: F.substring_index(c, ":", 1)
+    a, b = hist.select(bare("col").alias("lcol"), F.col("s").alias("ls")), hist.select(bare("col").alias("rcol"), F.col("s").alias("rs"))
     both = a.join(b, F.col("lcol") != F.col("rcol"))  # columns, not rows
     shared = F.expr("theta_sketch_estimate(theta_intersection(ls, rs))")
     return both.select("lcol", "rcol", shared.alias("shared"), (shared / F.expr("theta_sketch_estimate(ls)")).alias("containment")).where(F.col("containment") >= min_containment)

@@ -5,7 +5,9 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 from functools import cached_property
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
@@ -23,6 +25,18 @@ VIEWS = {
     "event_label": "SELECT event_id, user_id, ts, event_type, CAST(CASE WHEN value > 100 THEN 1 ELSE 0 END AS INT) AS y FROM events",
     "event_to_session": "SELECT event_id, event_id + 5000000 AS session_id FROM events WHERE event_id % 10 < 6",
     "session_risk": "SELECT event_id + 5000000 AS session_id, CAST(CASE WHEN (value > 100) <> (event_id % 7 = 0) THEN 1 ELSE 0 END AS INT) AS risk FROM events",
+    "doc_counts": "SELECT doc_id + 2000000 AS counts_id, length(text) - length(regexp_replace(text, '[0-9]', ''{g})) AS n_digits, length(text) - length(regexp_replace(text, '[A-Z]', ''{g})) AS n_upper, length(text) - length(replace(text, ' ', '')) AS n_blanks, length(text) - length(regexp_replace(text, '[.,;:!?]', ''{g})) AS n_marks, length(text) - length(regexp_replace(text, '[#*$%&|<>]', ''{g})) AS n_symbols FROM documents",
+    "doc_to_counts": "SELECT doc_id, doc_id + 2000000 AS counts_id FROM documents",
+    "doc_vector": "SELECT vec_id, element_at(embedding, 1) AS e1, element_at(embedding, 2) AS e2, element_at(embedding, 3) AS e3, element_at(embedding, 4) AS e4, element_at(embedding, 5) AS e5, element_at(embedding, 6) AS e6 FROM embeddings",
+    "page_facts": "SELECT page_id, length(html) AS html_chars, length(url) AS url_chars FROM pages",
+    "talk_facts": "SELECT conv_id, count(*) AS turns, max(length(text)) AS longest_turn FROM conversations GROUP BY conv_id",
+    "order_counts": "SELECT o_custkey, count(*) AS n_orders, max(o_totalprice) AS top_price, min(o_totalprice) AS low_price FROM orders GROUP BY o_custkey",
+    "event_facts": "SELECT event_id, hour(ts) AS hour, day(ts) AS day_of_month, length(props) AS props_chars FROM events",
+    "activity": "SELECT user_id, count(*) AS n_events, count(DISTINCT event_type) AS n_types FROM events GROUP BY user_id",
+    "user_days": "SELECT concat(CAST(user_id AS VARCHAR(20)), '/', CAST(CAST(ts AS DATE) AS VARCHAR(20))) AS user_and_day, user_id, CAST(ts AS DATE) AS day, avg(value) AS y FROM events GROUP BY user_id, CAST(ts AS DATE)",
+    "day_before": "SELECT concat(CAST(user_id AS VARCHAR(20)), '/', CAST(CAST(ts AS DATE) + INTERVAL '1' DAY AS VARCHAR(10))) AS user_and_day, avg(value) AS v_before, count(*) AS n_before, max(value) AS top_before FROM events GROUP BY user_id, CAST(ts AS DATE)",
+    "same_day": "SELECT concat(CAST(user_id AS VARCHAR(20)), '/', CAST(CAST(ts AS DATE) AS VARCHAR(20))) AS user_and_day, count(*) AS n_events, count(DISTINCT event_type) AS n_types, min(hour(ts)) AS first_hour, max(event_type) AS last_type FROM events GROUP BY user_id, CAST(ts AS DATE)",
+    "calendar": "SELECT CAST(ts AS DATE) AS day, count(*) AS n_that_day, count(DISTINCT user_id) AS users_that_day FROM events GROUP BY CAST(ts AS DATE)",
     "user_day": "SELECT user_id, CAST(ts AS DATE) AS day, avg(value) AS v, count(*) AS n FROM events GROUP BY user_id, CAST(ts AS DATE)",
 }
 #: Tables that a view reads.
@@ -95,6 +109,50 @@ class JoinPath:
         return len(set(self.tables)) == len(self.tables)
 
 
+_WHOLE = (T.ByteType, T.ShortType, T.IntegerType, T.LongType)
+
+
+def key_kind(data_type: T.DataType) -> str:
+    """What a join key of this type is compared as: long, double, date, timestamp, boolean or string."""
+    if isinstance(data_type, _WHOLE):
+        return "long"
+    if isinstance(data_type, T.NumericType):
+        return "double"
+    if isinstance(data_type, T.TimestampType | T.TimestampNTZType):
+        return "timestamp_ntz"
+    return {T.DateType: "date", T.BooleanType: "boolean"}.get(type(data_type), "string")
+
+
+def common_kind(a: str, b: str) -> str:
+    """The kind as which two key columns are compared; numbers meet as doubles, times as timestamps, all else as text."""
+    if a == b:
+        return a
+    for kinds, met in (({"long", "double"}, "double"), ({"date", "timestamp_ntz"}, "timestamp_ntz")):
+        if {a, b} <= kinds:
+            return met
+    return "string"
+
+
+def as_key(column: Column | str, kind: str) -> Column:
+    """A column as a join key of a kind."""
+    column = F.col(column) if isinstance(column, str) else column
+    return column.cast(kind)
+
+
+def key_struct(column: Column | str, kind: str) -> Column:
+    """A key of any kind in one type, struct<k, t>, for frames that hold keys of several edges; null where the key is."""
+    column = F.col(column) if isinstance(column, str) else column
+    own = column.cast(kind)
+    if kind == "long":
+        made = F.struct(own.alias("k"), F.lit("").alias("t"))
+    elif kind == "date":
+        made = F.struct(F.unix_date(own).cast("long").alias("k"), F.lit("date").alias("t"))
+    else:  # whole doubles read like whole numbers
+        text = F.when(own == F.floor(own), F.format_string("%.0f", own)).otherwise(own.cast("string")) if kind == "double" else own.cast("string")
+        made = F.struct(F.lit(0).cast("long").alias("k"), text.alias("t"))
+    return F.when(own.isNotNull(), made)
+
+
 @dataclass
 class Repository:
     """Tables of a folder; frames are read with the columns that plans ask for."""
@@ -121,6 +179,11 @@ class Repository:
                 self._read[name] = self.spark.read.parquet(f"{self.sf_dir}/{name}.parquet")
         return self._read[name]
 
+    def kind(self, edge: JoinEdge, base: DataFrame | None = None) -> str:
+        """The kind as which the two columns of an edge are compared; ``base`` stands for a left table that is no table."""
+        left = base if base is not None and edge.left_col in base.columns else self.table(edge.left)
+        return common_kind(key_kind(left.schema[edge.left_col].dataType), key_kind(self.table(edge.right).schema[edge.right_col].dataType))
+
     def names(self) -> list[str]:
         return [*TABLES, *VIEWS, *self.extra]
 
