@@ -6,28 +6,32 @@ clusters, at most a thousand training sequences) is decided on the driver.
 
 from __future__ import annotations
 
-from collections.abc import Mapping, Sequence
+import time
+from collections.abc import Iterator, Mapping, Sequence
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..sources.repository import JoinPath, Repository
+from ..sources.repository import JoinEdge, JoinPath, Repository
 from . import edge_stats, quality, representation, search, utility
 from .augment import augment, integrate
 from .paths import JoinGraph
 from .selection import Pair, select_pairs
-from .sequence_model import SequenceModel
+from .sequence_model import EXTENDED, INPUTS, SequenceModel
 
 
 @dataclass(frozen=True)
 class Base:
-    """A base table with its key and label, scored by accuracy over bins."""
+    """A base table with its key, its label and the metric of its task (accuracy, f1, mae or mse)."""
 
     table: str
     key: str
     label: str
+    metric: str = "accuracy"
 
 
 @dataclass
@@ -35,13 +39,20 @@ class Settings:
     budget: int = 10
     heap_factor: int = 5
     training_pairs: int = 40
+    warmup: int = 0
+    selection: str = "greedy"  # or random
     t_iq: float = 0.1
     max_hops: int = 3
     eps: float = 0.7
     least: int = 2
     bins: int = 20
     iq_estimator: str = "sequence"  # sequence, product or exact
+    inputs: str = "paper"  # the five inputs, or extended by transitivity and containment
+    iq_level: str = "feature"  # gains by the quality of the feature column, or of the path alone
+    epochs: int = 150
+    clamp: bool = False
     decay: str = "printed"
+    refine: bool = True
     seed: int = 0
 
 
@@ -54,104 +65,234 @@ class Result:
     base_score: float
 
 
+class StepStatistics:
+    """What the network reads of every join step: edge statistics, and those of the columns that leave a table.
+
+    For a step inside a path, variance, entropy and divergence are those of the join
+    column in the joined rows, correlation and mutual information pair the key that
+    enters the table with the key that leaves it.  For the last step all five are those
+    of the feature column instead; a path without feature ends in its own join column.
+    """
+
+    def __init__(self):
+        self.edges: dict[str, dict] = {}
+        self.leaving: dict[tuple[str, str, int], dict] = {}
+
+    def add(self, repo: Repository, edges: Sequence[JoinEdge], ways: Sequence[edge_stats.Leaving], levels: Sequence[int] = (quality.LEVELS,)) -> None:
+        """Computes what is not there yet; one row an edge and one a way come back."""
+        edges = [e for e in dict.fromkeys(edges) if e.edge_id not in self.edges]
+        ways = [w for w in dict.fromkeys(ways) if any((w.edge.edge_id, w.column, x) not in self.leaving for x in levels)]
+        if edges:
+            self.edges |= {r["edge_id"]: r.asDict() for r in edge_stats.edge_statistics(repo, edges).collect()}
+        if ways:
+            self.leaving |= {(r["edge_id"], r["column"], r["level"]): r.asDict() for r in edge_stats.leaving_statistics(repo, ways, levels).collect()}
+
+    def forget(self, edges: Sequence[JoinEdge]) -> None:
+        gone = {e.edge_id for e in edges}
+        self.edges = {k: v for k, v in self.edges.items() if k not in gone}
+        self.leaving = {k: v for k, v in self.leaving.items() if k[0] not in gone}
+
+    def sequence(self, path: JoinPath, feature: str | None, level: int = quality.LEVELS) -> np.ndarray:
+        """Steps by inputs, in the order of EXTENDED."""
+        rows = []
+        for i, edge in enumerate(path.edges):
+            own = self.edges[edge.edge_id]
+            last = i + 1 == len(path.edges)
+            column = (feature or edge.right_col) if last else path.edges[i + 1].left_col
+            left = self.leaving.get((edge.edge_id, column, level if last else quality.LEVELS), {})
+            main = left if last and feature else own
+            rows.append([main.get("variance", 0.0), main.get("entropy_printed", 0.0), main.get("kl", 0.0), left.get("pearson", 0.0), left.get("mutual_info", 0.0), (left if last else own).get("transitivity", 0.0), (left if last else own).get("containment", 0.0)])
+        return np.array(rows, dtype=float)
+
+
+def ways_of(paths: Sequence[JoinPath], features: Mapping[str, Sequence[str]]) -> list[edge_stats.Leaving]:
+    """The columns by which paths leave their tables, and those in which they end."""
+    out = []
+    for p in paths:
+        out += [edge_stats.Leaving(a, b.left_col) for a, b in zip(p.edges, p.edges[1:], strict=False)]
+        out += [edge_stats.Leaving(p.edges[-1], c) for c in (p.edges[-1].right_col, *features.get(p.last, ()))]
+    return list(dict.fromkeys(out))
+
+
 @dataclass
 class Engine:
-    """explore() fits both estimators; exploit() searches with them; update() reacts to changed tables."""
+    """explore() fits both estimators; exploit() searches with them; update() reacts to changed and new tables."""
 
     repo: Repository
     base: Base
     graph: JoinGraph
     features: Mapping[str, Sequence[str]]
     settings: Settings = field(default_factory=Settings)
+    seconds: dict[str, float] = field(default_factory=dict)  # by stage
+
+    @contextmanager
+    def _timed(self, stage: str) -> Iterator[None]:
+        began = time.perf_counter()
+        yield
+        self.seconds[stage] = self.seconds.get(stage, 0.0) + time.perf_counter() - began
 
     def explore(self) -> Engine:
         s = self.settings
         self.base_frame = self.repo.table(self.base.table)
         self.paths = self.graph.paths(self.base.table, s.max_hops)
-        statistics = edge_stats.edge_statistics(self.repo, [e for e in self.graph.edges if any(e in p.edges for p in self.paths)])
-        self.steps = {r["edge_id"]: r for r in statistics.collect()}  # one row an edge
-        own = {t: self.features[t] for t in {p.last for p in self.paths} if t in self.features}
+        self.steps = StepStatistics()
+        with self._timed("statistics"):
+            self.steps.add(self.repo, [e for p in self.paths for e in p.edges], ways_of(self.paths, self.features))
+        with self._timed("clusters"):
+            self._represent()
+        with self._timed("selection"):
+            pairs = self._pairs()
+            self.selected = select_pairs(pairs, s.training_pairs, seed=s.seed, warmup=s.warmup if s.selection == "greedy" else len(pairs))
+        with self._timed("training"):
+            self._train()
+        return self
+
+    def _represent(self) -> None:
+        s = self.settings
+        own = {t: self.features[t] for t in {p.last for p in self.paths} if self.features.get(t)}
         vectors = representation.represent(representation.serialized_columns(self.repo, own)).persist()
-        near = [tuple(r) for r in representation.neighbours(vectors, s.eps).collect()]
+        near = [tuple(r) for r in representation.neighbours(vectors, s.eps).collect()]  # columns of the repository
         self.vectors = {r["feature_id"]: np.array(r["repr"]) for r in vectors.collect()}  # one row a column
         vectors.unpersist()
         clusters = representation.threshold_cluster(near, sorted(self.vectors), s.least, s.seed)
         self.clusters = {f: c for f, c, _, _ in clusters}
-        pairs = [Pair(f"{p.last}.{c}", tuple(e.edge_id for e in p.edges), self.clusters[f"{p.last}.{c}"]) for p in self.paths for c in own.get(p.last, ())]
-        self.selected = select_pairs(pairs, s.training_pairs, seed=s.seed)
-        by_id = {tuple(e.edge_id for e in p.edges): p for p in self.paths}
-        chosen_paths = list(dict.fromkeys(by_id[p.path] for p in self.selected))
-        truth = quality.exact_iq(self.repo, self.base_frame, [(p, None) for p in chosen_paths]).collect()
-        exact = {r["path_id"]: r["iq"] for r in truth}
-        self.exact = exact
-        self.model = SequenceModel(epochs=150, seed=s.seed).fit([self._sequence(p) for p in chosen_paths], [exact[p.path_id] for p in chosen_paths])
-        self.importance = self._importance(by_id)
-        return self
+        self.centroids = {c: centre for _, c, centre, _ in clusters}
+
+    def _pairs(self) -> list[Pair]:
+        return [Pair(f"{p.last}.{c}", tuple(e.edge_id for e in p.edges), self.clusters[f"{p.last}.{c}"]) for p in self.paths for c in self.features.get(p.last, ())]
 
-    def _sequence(self, path: JoinPath) -> np.ndarray:
-        keys = ("variance", "entropy_printed", "kl", "pearson_key_counts", "entropy_shannon", "transitivity", "containment")
-        return np.array([[self.steps[e.edge_id][k] for k in keys] for e in path.edges], dtype=float)
+    def _train(self) -> None:
+        s = self.settings
+        self.by_id = {tuple(e.edge_id for e in p.edges): p for p in self.paths}
+        chosen = [(self.by_id[p.path], p.feature.split(".", 1)[1]) for p in self.selected]
+        asked = list(dict.fromkeys([*chosen, *[(p, None) for p, _ in chosen]]))
+        truth = quality.exact_iq(self.repo, self.base_frame, asked).collect()  # at most two rows a training pair
+        self.exact = {(r["path_id"], r["feature"]): r["iq"] for r in truth}
+        width = len(INPUTS if s.inputs == "paper" else EXTENDED)
+        self.model = SequenceModel(epochs=s.epochs, seed=s.seed).fit([self.steps.sequence(p, f)[:, :width] for p, f in asked], [self.exact[p.path_id, f] for p, f in asked])
+        self.estimates: dict[tuple[str, str | None], float] = {}
+        self.known = self._measured(chosen)
+        self.importance = self._spread()
 
-    def estimate_iq(self, path: JoinPath) -> float:
-        kind = self.settings.iq_estimator
+    def estimate_iq(self, path: JoinPath, feature: str | None = None) -> float:
+        key, kind = (path.path_id, feature), self.settings.iq_estimator
         if kind == "exact":
-            if path.path_id not in self.exact:
-                self.exact[path.path_id] = quality.exact_iq(self.repo, self.base_frame, [(path, None)]).first()["iq"]
-            return self.exact[path.path_id]
+            if key not in self.exact:
+                asked = [(path, f) for f in (None, *self.features.get(path.last, ()))]
+                self.exact |= {(r["path_id"], r["feature"]): r["iq"] for r in quality.exact_iq(self.repo, self.base_frame, asked).collect()}
+            return self.exact[key]
         if kind == "product":
-            return float(np.prod([self.steps[e.edge_id]["transitivity"] for e in path.edges]))
-        return float(self.model.predict([self._sequence(path)])[0])
+            return float(np.prod([self.steps.edges[e.edge_id]["transitivity"] for e in path.edges]))
+        if key not in self.estimates:
+            width = len(INPUTS if self.settings.inputs == "paper" else EXTENDED)
+            self.estimates[key] = float(self.model.predict([self.steps.sequence(path, feature)[:, :width]])[0])
+        return self.estimates[key]
 
-    def _score(self, df: DataFrame, names: Sequence[str]) -> dict[str, float]:
-        """Closed-form accuracy of columns, numbers in bins; one job for all."""
-        numeric = [n for n in names if dict(df.dtypes)[n] in ("int", "bigint", "double", "float")]
+    def score_columns(self, df: DataFrame, names: Sequence[str]) -> dict[str, float]:
+        """Signed closed-form score of columns alone, numbers in bins; one job for all."""
+        numeric = [n for n in names if isinstance(df.schema[n].dataType, T.NumericType)]
         if numeric:
             ends = df.agg(*[F.min(n).cast("double").alias(f"lo_{n}") for n in numeric], *[F.max(n).cast("double").alias(f"hi_{n}") for n in numeric]).first()
             df = df.withColumns({n: utility.equal_width(F.col(n).cast("double"), ends[f"lo_{n}"] or 0.0, ends[f"hi_{n}"] or 0.0, self.settings.bins) for n in numeric})
-        return {r["feature"]: r["score"] for r in utility.majority_accuracy(df, self.base.label, names).collect()}
+        return {r["feature"]: r["score"] for r in utility.closed_form(df, self.base.label, names, self.base.metric).collect()}
 
-    def _importance(self, by_id: Mapping[tuple[str, ...], JoinPath]) -> dict[str, float]:
-        """Importance of every feature: measured for selected pairs (largest over their paths), estimated elsewhere."""
+    def _measured(self, chosen: Sequence[tuple[JoinPath, str]]) -> dict[str, float]:
+        """Importance of the selected features: gain scaled to full coverage, the largest over their paths."""
+        plan = list(dict.fromkeys(chosen))
+        base = self.base_frame.select(self.base.key, self.base.label, *{p.edges[0].left_col for p, _ in plan} - {self.base.key, self.base.label})
+        table, _ = integrate(self.repo, base, plan)
+        names = {f"{p.last}__{c}__{i}": (p, c) for i, (p, c) in enumerate(plan, 1)}
+        scores = self.score_columns(table.withColumn("nothing known", F.lit("1")), [*names, "nothing known"])
+        self.base_score = scores["nothing known"]
         known: dict[str, float] = {}
-        self.base_score = self._score(self.base_frame.withColumn("__one", F.lit("1")), ["__one"])["__one"]
-        plan = [(by_id[p.path], p.feature.split(".", 1)[1], p.feature) for p in self.selected]
-        table, _ = integrate(self.repo, self.base_frame.select(self.base.key, self.base.label, *{p.edges[0].left_col for p, _, _ in plan} - {self.base.key, self.base.label}), [(p, c) for p, c, _ in plan])
-        names = {f"{p.last}__{c}__{i}": f for i, (p, c, f) in enumerate(plan, 1)}
-        scores = self._score(table, list(names))
-        iq = {r: self.exact[p.path_id] for r, (p, _, _) in zip(names, plan, strict=True)}
-        for column, feature in names.items():
-            gain = (scores[column] - self.base_score) / iq[column] if iq[column] else 0.0  # to full coverage
-            known[feature] = max(known.get(feature, -np.inf), gain)
+        for column, (p, c) in names.items():
+            iq = self.exact[p.path_id, c]
+            gain = (scores[column] - self.base_score) / iq if iq else 0.0
+            known[f"{p.last}.{c}"] = max(known.get(f"{p.last}.{c}", -np.inf), gain)
+        return known
+
+    def _spread(self) -> dict[str, float]:
+        """Importance of every feature: as measured, or the cosine-weighted mean over the measured ones of its cluster."""
         unit = {f: v / (np.linalg.norm(v) or 1.0) for f, v in self.vectors.items()}
         out = {}
         for f in self.vectors:
-            members = [g for g in known if self.clusters[g] == self.clusters[f]]
-            out[f] = known[f] if f in known else float(np.mean([known[g] * float(unit[f] @ unit[g]) for g in members])) if members else 0.0
+            members = [g for g in self.known if self.clusters[g] == self.clusters[f]]
+            out[f] = self.known[f] if f in self.known else float(np.mean([self.known[g] * float(unit[f] @ unit[g]) for g in members])) if members else 0.0
         return out
 
-    def exploit(self, budget: int | None = None) -> Result:
+    def candidates(self, heap_size: int, **options) -> tuple[list[search.Candidate], search.SearchStats]:
+        s = self.settings
+        feature_iq = self.estimate_iq if s.iq_level == "feature" else None
+        return search.search(self.graph, self.base.table, self.features, self.estimate_iq, self.importance, heap_size=heap_size, **({"t_iq": s.t_iq, "max_hops": s.max_hops, "clamp": s.clamp, "feature_iq": feature_iq} | options))
+
+    def plan(self, budget: int | None = None, heap_size: int | None = None) -> tuple[list[tuple[search.Candidate, float]], search.SearchStats]:
+        """(candidates with their gains when taken, search counters): what exploit integrates."""
         s = self.settings
         budget = budget or s.budget
-        found, stats = search.search(self.graph, self.base.table, self.features, self.estimate_iq, self.importance, heap_size=s.heap_factor * budget, t_iq=s.t_iq, max_hops=s.max_hops)
-        plan = search.refine(found, budget, self.clusters, self.vectors, decay=s.decay)
+        with self._timed("search"):
+            found, stats = self.candidates(heap_size or s.heap_factor * budget)
+            if s.refine:
+                return search.refine(found, budget, self.clusters, self.vectors, decay=s.decay), stats
+            once = search.search_exhaustive(found, budget)
+            return [(c, c.gain) for c in once], stats
+
+    def exploit(self, budget: int | None = None) -> Result:
+        plan, stats = self.plan(budget)
         table, joins = integrate(self.repo, self.base_frame, [(c.path, c.feature.split(".", 1)[1]) for c, _ in plan])
         return Result(plan, table, joins, stats, self.base_score)
 
-    def update(self, tables: Mapping[str, DataFrame]) -> bool:
-        """Takes changed tables in; true if the plan by the fitted estimators differs.  Nothing is trained anew."""
-        before = [c.order() for c, _ in self.exploit().plan]
+    def update(self, tables: Mapping[str, DataFrame], features: Mapping[str, Sequence[str]] | None = None, min_containment: float = 0.1) -> bool:
+        """Takes changed and new tables in; true if the plan by the fitted estimators differs.  Nothing is trained anew.
+
+        A table outside the graph is joined in: its key-like columns are compared with
+        the key columns of the graph, edges are added where one contains enough of the
+        other, and its columns (``features``, or all but the keys) are represented, put
+        to the nearest cluster, and given an estimated importance.
+        """
+        before = [c.order() for c, _ in self.plan()[0]]
         self.repo.extra.update(tables)
-        touched = [e for e in self.graph.edges if (e.left in tables or e.right in tables) and e.edge_id in self.steps]
+        new = [t for t in tables if t not in self.graph.tables()]
+        for t in new:
+            self._admit(t, (features or {}).get(t), min_containment)
+        self.paths = self.graph.paths(self.base.table, self.settings.max_hops)
+        self.by_id = {tuple(e.edge_id for e in p.edges): p for p in self.paths}
+        touched = [e for e in self.graph.edges if (e.left in tables or e.right in tables)]
+        self.steps.forget(touched)
+        self.steps.add(self.repo, [e for p in self.paths for e in p.edges], ways_of(self.paths, self.features))
         if touched:
-            self.steps |= {r["edge_id"]: r for r in edge_stats.edge_statistics(self.repo, touched).collect()}
-            self.exact = {}
-        return [c.order() for c, _ in self.exploit().plan] != before
-
+            self.exact, self.estimates = {}, {}
+        return [c.order() for c, _ in self.plan()[0]] != before
 
+    def _admit(self, table: str, columns: Sequence[str] | None, min_containment: float) -> None:
+        """Adds a new table to the graph and its columns to the clusters."""
+        known = {(t, c) for e in self.graph.edges for t, c in ((e.left, e.left_col), (e.right, e.right_col))}
+        own = edge_stats.joinable_columns(self.repo, [table])
+        found = edge_stats.discover_edges(self.repo, [*sorted(known), *own], min_containment).where(F.col("lcol").startswith(f"{table}.")).collect()  # column pairs
+        edges = [JoinEdge(f"new {r['rcol']}={r['lcol']};", *r["rcol"].split(".", 1), *r["lcol"].split(".", 1)) for r in found if not r["rcol"].startswith(f"{table}.")]
+        declared = [e for e in self.graph.edges if not e.edge_id.endswith("r")]
+        self.graph = JoinGraph([*declared, *edges])
+        frame = self.repo.table(table)
+        distinct = frame.agg(F.count(F.lit(1)).alias("rows"), *[F.approx_count_distinct(c, 0.02).alias(c) for c in frame.columns]).first()
+        keys = {e.right_col for e in edges if distinct[e.right_col] >= 0.9 * distinct["rows"]}  # columns of few values may describe as well as join
+        chosen = tuple(columns or [c for c in frame.columns if c not in keys])
+        self.features = {**self.features, table: chosen}
+        if not chosen:
+            return
+        rows = representation.represent(representation.serialized_columns(self.repo, {table: chosen})).collect()  # one row a column
+        unit = lambda v: v / (np.linalg.norm(v) or 1.0)
+        for r in rows:
+            v = np.array(r["repr"])
+            near = [(float(unit(v) @ unit(self.vectors[centre])), c) for c, centre in self.centroids.items()]
+            close = max(near, default=(0.0, -1))
+            if close[0] < self.settings.eps:
+                close = (1.0, max(self.centroids, default=-1) + 1)
+                self.centroids[close[1]] = r["feature_id"]
+            self.vectors[r["feature_id"]], self.clusters[r["feature_id"]] = v, close[1]
+        self.importance = self._spread()
 
 
 def single_gain(repo: Repository, base: DataFrame, label: str, path: JoinPath, feature: str) -> float:
     """Closed-form gain of one feature through one path."""
-    table = augment(repo, base, path, feature, name="__f").withColumn("__one", F.lit("1"))
-    rows = {r["feature"]: r["score"] for r in utility.majority_accuracy(table, label, ["__f", "__one"]).collect()}
-    return rows["__f"] - rows["__one"]
+    table = augment(repo, base, path, feature, name="value found").withColumn("nothing known", F.lit("1"))
+    rows = {r["feature"]: r["score"] for r in utility.majority_accuracy(table, label, ["value found", "nothing known"]).collect()}
+    return rows["value found"] - rows["nothing known"]

@@ -50,13 +50,15 @@ class SearchStats:
     levels: list[int] = field(default_factory=list)
 
 
-def search(graph: JoinGraph, base: str, features: Mapping[str, Sequence[str]], iq: Callable[[JoinPath], float], fi: Mapping[str, float], *, heap_size: int, t_iq: float = 0.0, max_hops: int | None = None, fi_bound: bool = True, clamp: bool = False) -> tuple[list[Candidate], SearchStats]:
+def search(graph: JoinGraph, base: str, features: Mapping[str, Sequence[str]], iq: Callable[[JoinPath], float], fi: Mapping[str, float], *, heap_size: int, t_iq: float = 0.0, max_hops: int | None = None, fi_bound: bool = True, clamp: bool = False, feature_iq: Callable[[JoinPath, str], float] | None = None) -> tuple[list[Candidate], SearchStats]:
     """The heap_size best pairs by estimated gain, level by level.
 
     A path whose estimated quality lies under ``t_iq`` is dropped with all extensions
     (quality never rises along a path; ``clamp`` enforces that on estimates).  A
     feature whose importance lies under the worst gain of a full heap is skipped, for
-    no quality exceeds 1.  Paths never visit a table twice.
+    no quality exceeds 1.  Paths never visit a table twice.  Paths are cut by ``iq`` of
+    the path; ``feature_iq``, if given, is the quality of a feature at its end, which
+    makes the gain.
     """
     heap: list[tuple] = []
     stats = SearchStats()
@@ -83,7 +85,7 @@ def search(graph: JoinGraph, base: str, features: Mapping[str, Sequence[str]], i
                     if fi_bound and importance < bound:
                         stats.skipped_by_bound += 1
                         continue
-                    c = Candidate(f"{e.right}.{name}", path, importance, quality)
+                    c = Candidate(f"{e.right}.{name}", path, importance, min(quality, feature_iq(path, name)) if feature_iq and clamp else feature_iq(path, name) if feature_iq else quality)
                     stats.scored += 1
                     entry = (_Worst(c.order()), c)
                     if len(heap) < heap_size:
@@ -137,11 +139,29 @@ def search_exhaustive(candidates: Sequence[Candidate], budget: int, *, enumerate
         best.setdefault(c.feature, c)
     ranked = [c for c in sorted(best.values(), key=Candidate.order) if c.gain > 0]
     if combination_count(len(ranked), 1, min(budget, len(ranked))) <= enumerate_up_to:
-        plans = (p for k in range(min(budget, len(ranked)) + 1) for p in itertools.combinations(ranked, k))
-        return list(max(plans, key=lambda p: sum(c.gain for c in p)))
+        return enumerate_plans(candidates, budget)[0]
     return ranked[:budget]
 
 
+def enumerate_plans(candidates: Sequence[Candidate], budget: int) -> tuple[list[Candidate], int]:
+    """(best plan, plans scored): every choice of at most ``budget`` features with a path each, literally.
+
+    For small repositories: the number of plans explodes.  Ties go to the first in order.
+    """
+    by_feature: dict[str, list[Candidate]] = {}
+    for c in sorted(candidates, key=Candidate.order):
+        by_feature.setdefault(c.feature, []).append(c)
+    best, value, scored = [], 0.0, 0
+    for n in range(1, min(budget, len(by_feature)) + 1):
+        for chosen in itertools.combinations(by_feature, n):
+            for plan in itertools.product(*[by_feature[f] for f in chosen]):
+                scored += 1
+                gain = sum(c.gain for c in plan)
+                if gain > value + 1e-12:
+                    best, value = list(plan), gain
+    return best, scored
+
+
 def refine(candidates: Sequence[Candidate], budget: int, clusters: Mapping[str, int], vectors: Mapping[str, np.ndarray], *, decay: str = "printed", stop_when_nonpositive: bool = False) -> list[tuple[Candidate, float]]:
     """(candidate, gain when taken): repeatedly the largest gain, then less for what is like it.
 

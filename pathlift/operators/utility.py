@@ -47,6 +47,15 @@ def bin_mean_error(df: DataFrame, label: str, features: Sequence[str]) -> DataFr
     return joined.groupBy("feature").agg(METRICS["mse"]("m", "y").alias("mse"), METRICS["mae"]("m", "y").alias("mae"))
 
 
+def closed_form(df: DataFrame, label: str, features: Sequence[str], metric: str) -> DataFrame:
+    """(feature, score): the signed closed-form score of each feature alone for a metric; higher is better."""
+    if metric == "accuracy":
+        return majority_accuracy(df, label, features)
+    if metric == "f1":
+        return binned_f1(df, label, features)
+    return bin_mean_error(df, label, features).select("feature", (-F.col(metric)).alias("score"))
+
+
 def linear_error(df: DataFrame, label: str, features: Sequence[str]) -> DataFrame:
     """(feature, mse): error of a straight line on rows with a value and of their mean elsewhere, from moments alone."""
     pairs = F.array(*[F.struct(F.lit(f).alias("feature"), F.col(f).cast("double").alias("x")) for f in features])
@@ -66,41 +75,102 @@ def decomposition(df: DataFrame, pred: str, label: str, feature: str) -> DataFra
     return out.withColumn("recombined", F.col("share") * F.col("matched") + (1 - F.col("share")) * F.col("unmatched"))
 
 
-def fit_models(df: DataFrame, label: str, features: Sequence[str], metric: str, *, families: Sequence[str] = ("linear", "forest", "boosted"), key: str | None = None, seed: int = 3) -> dict[str, float]:
+def prepared_features(df: DataFrame, features: Sequence[str], numeric: Sequence[str], *, scale: bool = False) -> tuple[list, str]:
+    """(pipeline stages, name of the vector column): numbers imputed beside an indicator, strings indexed and one-hot encoded, all standardised if asked."""
+    from pyspark.ml.feature import Imputer, OneHotEncoder, StandardScaler, StringIndexer, VectorAssembler
+
+    strings = [f for f in features if f not in numeric]
+    stages = [Imputer(inputCols=list(numeric), outputCols=[f"{f}__num" for f in numeric])] if numeric else []
+    stages += [StringIndexer(inputCol=f, outputCol=f"{f}__index", handleInvalid="keep") for f in strings]
+    if strings:
+        stages.append(OneHotEncoder(inputCols=[f"{f}__index" for f in strings], outputCols=[f"{f}__hot" for f in strings], handleInvalid="keep"))
+    inputs = [*[f"{f}__num" for f in numeric], *[f"{f}__hot" for f in strings], *[f"{f}__none" for f in numeric]]
+    stages.append(VectorAssembler(inputCols=inputs, outputCol="assembled", handleInvalid="keep"))
+    if scale:
+        stages.append(StandardScaler(inputCol="assembled", outputCol="features", withMean=False))
+    return stages, "features" if scale else "assembled"
+
+
+def fit_models(df: DataFrame, label: str, features: Sequence[str], metric: str, *, families: Sequence[str] = ("linear", "forest", "boosted"), key: str | None = None, seed: int = 3, tune: bool = False, neighbour_rows: int = 5000) -> dict[str, float]:
     """Metric by model family and of their average, on a held-out part split by a hash.
 
-    Strings are indexed, missing numbers imputed by the mean with an indicator.  The
-    models are those of pyspark.ml, whose tree aggregates keep rows where they are.
+    Families: linear, forest, boosted, network (classes only) of pyspark.ml, whose tree
+    aggregates keep rows where they are, and neighbours, whose training rows are bounded by
+    ``neighbour_rows`` and travel to the rows that ask.  ``tune`` chooses settings by a
+    validation split.  For classes the ensemble averages the families' probabilities and
+    answers 1 from a half on; for numbers it averages their answers.
     """
     from pyspark.ml import Pipeline
-    from pyspark.ml.classification import GBTClassifier, LogisticRegression, RandomForestClassifier
-    from pyspark.ml.feature import Imputer, StringIndexer, VectorAssembler
+    from pyspark.ml.classification import GBTClassifier, LogisticRegression, MultilayerPerceptronClassifier, RandomForestClassifier
+    from pyspark.ml.evaluation import MulticlassClassificationEvaluator, RegressionEvaluator
+    from pyspark.ml.functions import vector_to_array
     from pyspark.ml.regression import GBTRegressor, LinearRegression, RandomForestRegressor
+    from pyspark.ml.tuning import ParamGridBuilder, TrainValidationSplit
 
     numeric = [f for f in features if isinstance(df.schema[f].dataType, T.NumericType)]
-    strings = [f for f in features if isinstance(df.schema[f].dataType, T.StringType)]
-    rows = df.select(F.col(label).cast("double").alias("label"), *[F.col(f).cast("double").alias(f) for f in numeric], *[F.coalesce(f, F.lit("(missing)")).alias(f) for f in strings], *[F.col(f).isNull().cast("double").alias(f"{f}__none") for f in numeric], (F.pmod(F.xxhash64(*([key] if key else features)), F.lit(10)) < 7).alias("train"))
-    stages = []
-    if numeric:
-        stages.append(Imputer(inputCols=numeric, outputCols=[f"{f}__num" for f in numeric]))
-    stages += [StringIndexer(inputCol=f, outputCol=f"{f}__num", handleInvalid="keep") for f in strings]
-    inputs = [f"{f}__num" for f in (*numeric, *strings)] + [f"{f}__none" for f in numeric]
-    stages.append(VectorAssembler(inputCols=inputs, outputCol="features", handleInvalid="keep"))
+    strings = [f for f in features if f not in numeric]
+    split = F.xxhash64(*([key] if key else features))
+    rows = df.select(
+        F.col(label).cast("double").alias("label"), *[F.col(f).cast("double").alias(f) for f in numeric], *[F.coalesce(F.col(f).cast("string"), F.lit("(missing)")).alias(f) for f in strings],
+        *[F.col(f).isNull().cast("double").alias(f"{f}__none") for f in numeric], (F.pmod(split, F.lit(10)) < 7).alias("train"), split.alias("place"),
+    )
+    stages, vector = prepared_features(rows, features, numeric, scale=True)
     classes = metric in ("accuracy", "f1", "precision", "recall")
-    kinds = {"linear": LogisticRegression(maxIter=20) if classes else LinearRegression(maxIter=20), "forest": (RandomForestClassifier if classes else RandomForestRegressor)(numTrees=20, maxBins=128, seed=seed), "boosted": (GBTClassifier if classes else GBTRegressor)(maxIter=10, maxBins=128, seed=seed)}
-    prepared = Pipeline(stages=stages).fit(rows.where("train")).transform(rows).select("label", "features", "train").persist()
-    scored = prepared.where(~F.col("train")).select("label", "features")
-    out, answers = {}, []
+    prepared = Pipeline(stages=stages).fit(rows.where("train")).transform(rows).select("label", vector, "train", "place").persist()
+    train = prepared.where("train")
+    width = len(prepared.select(vector).first()[0])
+    forest, boosted, linear = (RandomForestClassifier, GBTClassifier, LogisticRegression) if classes else (RandomForestRegressor, GBTRegressor, LinearRegression)
+    kinds = {
+        "linear": lambda: (linear(maxIter=20), {"regParam": [0.0, 0.1]}), "forest": lambda: (forest(numTrees=20, seed=seed), {"maxDepth": [4, 8]}), "boosted": lambda: (boosted(maxIter=10, seed=seed), {"maxDepth": [2, 4]}),
+        "network": lambda: (MultilayerPerceptronClassifier(layers=[width, 8, 2], maxIter=40, seed=seed), {"stepSize": [0.03, 0.3]}),
+    }
+    scored = prepared.where(~F.col("train")).select("label", vector)
+    answers = []
     for name in families:
-        model = kinds[name].fit(prepared.where("train"))
-        scored = model.transform(scored).withColumn(f"p_{name}", F.col("prediction")).drop("prediction", "probability", "rawPrediction")
+        if name == "neighbours":
+            scored = scored.withColumn("p_neighbours", _neighbours(train, vector, neighbour_rows)(vector_to_array(vector)))
+        else:
+            estimator, grid = kinds[name]()
+            estimator = estimator.setFeaturesCol(vector)
+            if tune:
+                builder = ParamGridBuilder()
+                for parameter, values in grid.items():
+                    builder = builder.addGrid(estimator.getParam(parameter), values)
+                judge = MulticlassClassificationEvaluator(metricName="accuracy") if classes else RegressionEvaluator(metricName="rmse")
+                model = TrainValidationSplit(estimator=estimator, estimatorParamMaps=builder.build(), evaluator=judge, trainRatio=0.75, seed=seed, parallelism=2).fit(train).bestModel
+            else:
+                model = estimator.fit(train)
+            said = vector_to_array("probability")[1] if classes else F.col("prediction")
+            scored = model.transform(scored).withColumn(f"p_{name}", said).drop("prediction", "probability", "rawPrediction")
         answers.append(f"p_{name}")
-    mean = sum((F.col(a) for a in answers), F.lit(0.0)) / len(answers)
-    scored = scored.withColumn("p_ensemble", F.round(mean) if classes else mean)
-    row = scored.agg(*[METRICS[metric](a, "label").alias(a) for a in [*answers, "p_ensemble"]]).first()
+    scored = scored.withColumn("p_ensemble", sum((F.col(a) for a in answers), F.lit(0.0)) / len(answers))
+    answer = lambda c: (F.col(c) >= 0.5).cast("double") if classes else F.col(c)
+    row = scored.select("label", *[answer(a).alias(a) for a in [*answers, "p_ensemble"]]).agg(*[METRICS[metric](a, "label").alias(a) for a in [*answers, "p_ensemble"]]).first()
     prepared.unpersist()
-    out = {a[2:]: float(row[a]) if row[a] is not None else float("nan") for a in [*answers, "p_ensemble"]}
-    return out
+    return {a[2:]: float(row[a]) if row[a] is not None else float("nan") for a in [*answers, "p_ensemble"]}
+
+
+def _neighbours(train: DataFrame, vector: str, most: int, k: int = 15):
+    """A vectorised function that gives the mean label of the k nearest of at most ``most`` training rows, taken by hash."""
+    import numpy as np
+    import pandas as pd
+    from pyspark.ml.functions import vector_to_array
+
+    sample = train.orderBy("place", "label").limit(most).select(vector_to_array(vector).alias("x"), "label").toPandas()
+    points, labels = np.stack(sample["x"].to_numpy()).astype(float), sample["label"].to_numpy(dtype=float)
+    norms = (points**2).sum(axis=1)
+
+    @F.pandas_udf("double")
+    def nearest(x: pd.Series) -> pd.Series:
+        out = []
+        for low in range(0, len(x), 1024):
+            part = np.stack(x[low : low + 1024].to_numpy()).astype(float)
+            far = norms - 2 * part @ points.T
+            n = min(k, len(labels))
+            out.append(labels[np.argpartition(far, n - 1, axis=1)[:, :n]].mean(axis=1))
+        return pd.Series(np.concatenate(out) if out else [])
+
+    return nearest
 
 
 def utility_gain(metric: str, augmented: float, base: float) -> float:
