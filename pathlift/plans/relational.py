@@ -39,8 +39,8 @@ op("select_cast_derive", "SELECT o_orderkey, o_custkey::INT AS cust, round(o_tot
 op("predicates", "SELECT o_orderkey FROM orders WHERE o_totalprice BETWEEN 100000 AND 300000 AND o_orderpriority IN ('1-URGENT', '2-HIGH') AND o_orderstatus LIKE 'O%' AND o_orderstatus IS NOT DISTINCT FROM 'O'")(
     lambda r: r.table("orders").where(F.col("o_totalprice").between(100000, 300000) & F.col("o_orderpriority").isin("1-URGENT", "2-HIGH") & F.col("o_orderstatus").like("O%") & F.col("o_orderstatus").eqNullSafe("O")).select("o_orderkey")
 )
-op("unpivot", "SELECT l_orderkey, l_linenumber, feature, value FROM (SELECT l_orderkey, l_linenumber, l_quantity, l_discount, l_tax FROM lineitem WHERE l_orderkey < 500) UNPIVOT (value FOR feature IN (l_quantity, l_discount, l_tax))")(
-    lambda r: r.table("lineitem").where("l_orderkey < 500").unpivot(["l_orderkey", "l_linenumber"], ["l_quantity", "l_discount", "l_tax"], "feature", "value")
+op("unpivot", "SELECT l_orderkey, l_linenumber, feature, value FROM (SELECT l_orderkey, l_linenumber, l_quantity, l_discount, l_tax FROM lineitem) UNPIVOT (value FOR feature IN (l_quantity, l_discount, l_tax))")(
+    lambda r: r.table("lineitem").unpivot(["l_orderkey", "l_linenumber"], ["l_quantity", "l_discount", "l_tax"], "feature", "value")
 )
 op("pivot", "SELECT event_type, count(*) FILTER (user_id % 3 = 0) AS g0, count(*) FILTER (user_id % 3 = 1) AS g1, count(*) FILTER (user_id % 3 = 2) AS g2 FROM events GROUP BY event_type")(
     lambda r: r.table("events").withColumn("g", F.concat(F.lit("g"), (F.col("user_id") % 3).cast("string"))).groupBy("event_type").pivot("g", ["g0", "g1", "g2"]).count().fillna(0)
@@ -53,8 +53,9 @@ def _on():
 
 
 for _how, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
-    op(f"join_{_how}", f"SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 3 < 2) {_sql} (SELECT * FROM orders WHERE o_totalprice > 250000) ON o_custkey = c_custkey")(
-        lambda r, how=_how: r.table("customer").where("c_custkey % 3 < 2").join(r.table("orders").where("o_totalprice > 250000"), _on(), how).select("c_custkey", "o_orderkey")
+    # customers in credit meet large orders: both sides have rows that the other one lacks
+    op(f"join_{_how}", f"SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_acctbal > 0) {_sql} (SELECT * FROM orders WHERE o_totalprice > 250000) ON o_custkey = c_custkey")(
+        lambda r, how=_how: r.table("customer").where("c_acctbal > 0").join(r.table("orders").where("o_totalprice > 250000"), _on(), how).select("c_custkey", "o_orderkey")
     )
 for _how, _sql in (("left_semi", ""), ("left_anti", "NOT ")):
     op(f"join_{_how}", f"SELECT c_custkey, c_name FROM customer WHERE {_sql}EXISTS (SELECT 1 FROM events WHERE user_id = c_custkey AND value > 100)")(
@@ -173,8 +174,8 @@ op("html_url", "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS
 op("dates", "SELECT o_orderkey, year(o_orderdate) AS y, quarter(o_orderdate) AS q, month(o_orderdate) AS m, isodow(o_orderdate) AS dow, dayofyear(o_orderdate) AS doy, date_trunc('month', o_orderdate)::DATE::VARCHAR AS first_day, last_day(o_orderdate)::VARCHAR AS final_day, date_diff('day', o_orderdate::DATE, DATE '2001-01-01') AS age, (o_orderdate::DATE + INTERVAL 2 MONTH)::DATE::VARCHAR AS later FROM orders")(
     lambda r: r.table("orders").select("o_orderkey", F.year("o_orderdate").alias("y"), F.quarter("o_orderdate").alias("q"), F.month("o_orderdate").alias("m"), (F.weekday("o_orderdate") + 1).alias("dow"), F.dayofyear("o_orderdate").alias("doy"), F.date_trunc("month", "o_orderdate").cast("date").cast("string").alias("first_day"), F.last_day("o_orderdate").cast("string").alias("final_day"), F.datediff(F.lit("2001-01-01").cast("date"), F.col("o_orderdate").cast("date")).alias("age"), F.add_months(F.col("o_orderdate").cast("date"), 2).cast("string").alias("later"))
 )
-op("math", "SELECT l_orderkey, l_linenumber, round(ln(l_extendedprice), 6) AS a, round(sqrt(l_quantity), 6) AS b, round(exp(l_discount), 6) AS c, floor(l_extendedprice / 7)::BIGINT AS d, ceil(l_tax * 10)::BIGINT AS e, greatest(l_discount, l_tax) AS f, least(l_discount, l_tax) AS g, sign(l_quantity - 25)::DOUBLE AS h, l_orderkey % 7 AS i FROM lineitem WHERE l_orderkey < 3000")(
-    lambda r: r.table("lineitem").where("l_orderkey < 3000").select("l_orderkey", "l_linenumber", F.round(F.log("l_extendedprice"), 6).alias("a"), F.round(F.sqrt("l_quantity"), 6).alias("b"), F.round(F.exp("l_discount"), 6).alias("c"), F.floor(F.col("l_extendedprice") / 7).alias("d"), F.ceil(F.col("l_tax") * 10).alias("e"), F.greatest("l_discount", "l_tax").alias("f"), F.least("l_discount", "l_tax").alias("g"), F.signum(F.col("l_quantity") - 25).alias("h"), F.pmod("l_orderkey", F.lit(7)).alias("i"))
+op("math", "SELECT l_orderkey, l_linenumber, round(ln(l_extendedprice), 6) AS a, round(sqrt(l_quantity), 6) AS b, round(exp(l_discount), 6) AS c, floor(l_extendedprice / 7)::BIGINT AS d, ceil(l_tax * 10)::BIGINT AS e, greatest(l_discount, l_tax) AS f, least(l_discount, l_tax) AS g, sign(l_quantity - 25)::DOUBLE AS h, l_orderkey % 7 AS i FROM lineitem")(
+    lambda r: r.table("lineitem").select("l_orderkey", "l_linenumber", F.round(F.log("l_extendedprice"), 6).alias("a"), F.round(F.sqrt("l_quantity"), 6).alias("b"), F.round(F.exp("l_discount"), 6).alias("c"), F.floor(F.col("l_extendedprice") / 7).alias("d"), F.ceil(F.col("l_tax") * 10).alias("e"), F.greatest("l_discount", "l_tax").alias("f"), F.least("l_discount", "l_tax").alias("g"), F.signum(F.col("l_quantity") - 25).alias("h"), F.pmod("l_orderkey", F.lit(7)).alias("i"))
 )
 op("arrays", "SELECT o_custkey, len(a) AS n, list_sum(list_transform(list_filter(a, lambda x: x % 2 = 0), lambda x: x * 2))::BIGINT AS twice, array_to_string(list_sort(a)[1:3], ',') AS head, list_contains(a, 7) AS seven FROM (SELECT o_custkey, list(o_orderkey) AS a FROM orders GROUP BY o_custkey)")(
     lambda r: r.table("orders").groupBy("o_custkey").agg(F.collect_list("o_orderkey").alias("a")).select("o_custkey", F.size("a").cast("long").alias("n"), F.when(F.exists("a", lambda x: x % 2 == 0), F.aggregate(F.transform(F.filter("a", lambda x: x % 2 == 0), lambda x: x * 2), F.lit(0).cast("long"), lambda s, x: s + x)).alias("twice"), F.concat_ws(",", F.transform(F.slice(F.sort_array("a"), 1, 3), lambda x: x.cast("string"))).alias("head"), F.array_contains("a", F.lit(7).cast("long")).alias("seven"))

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import hashlib
 import time
-from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -16,11 +15,9 @@ from ..operators import edge_stats, quality, representation
 from ..operators import search as searching
 from ..operators.paths import JoinGraph, enumerate_paths, enumerate_paths_sql, make_pairs, repository_statistics
 from ..operators.selection import Coverage, Pair, select_pairs
-from ..operators.sequence_model import EXTENDED, INPUTS, SequenceModel, predict_frame
 from ..registry import query
-from ..sources.repository import EDGES, JoinEdge, JoinPath, Repository, path_of
+from ..sources.repository import EDGES, Repository, path_of
 from . import sqltext
-from .augmentation import quality_base, region_base, spend_base
 
 STAR = EDGES[:7]
 GRAPH = JoinGraph(STAR)
@@ -95,6 +92,7 @@ _IQ = "iq AS (SELECT path_id, product(transitivity) AS iq FROM (SELECT path_id,
 _ALIVE = f"alive AS (SELECT a.path_id FROM iq a JOIN iq b ON a.path_id = b.path_id OR starts_with(a.path_id, b.path_id || '>') GROUP BY a.path_id HAVING min(b.iq) >= {T_IQ})"
 _SCORED = f"scored AS (SELECT feature_id, path_id, hops, round({sqltext.uniform('feature_id', 1)}, 9) AS fi, iq, round(round({sqltext.uniform('feature_id', 1)}, 9) * iq, 12) AS ug FROM pairs JOIN iq USING (path_id) JOIN alive USING (path_id))"
 _ALL = f"WITH {_PATHS}, {_PAIRS}, {_S}, {_IQ}, {_ALIVE}, {_SCORED}"
+_UNCUT = _ALL.replace(" JOIN alive USING (path_id)", "")
 _OUT = "feature_id, path_id, hops, round(fi, 6) AS fi, round(iq, 6) AS iq, round(ug, 6) AS ug"
 
 
@@ -120,14 +118,14 @@ def search_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(searching.search_levels(*_estimates(spark, sf_dir), heap_size=25, t_iq=T_IQ))
 
 
-def _products(spark: SparkSession, sf_dir: str) -> dict[str, float]:
+def products(spark: SparkSession, sf_dir: str) -> dict[str, float]:
     """Transitivity by edge (metadata)."""
     rows = edge_stats.edge_statistics(Repository(spark, sf_dir), GRAPH.edges).select("edge_id", "transitivity").collect()
     return {r["edge_id"]: r["transitivity"] for r in rows}
 
 
-def _progressive(spark: SparkSession, sf_dir: str, **options) -> tuple[list[searching.Candidate], searching.SearchStats]:
-    step = _products(spark, sf_dir)
+def _progressive(spark: SparkSession, sf_dir: str, step: dict[str, float] | None = None, **options) -> tuple[list[searching.Candidate], searching.SearchStats]:
+    step = step or products(spark, sf_dir)
     iq = lambda p: float(np.prod([step[e.edge_id] for e in p.edges]))
     fi = {f: round(fixed_importance(f), 9) for _, f in _FEATURE_ROWS}
     return searching.search(GRAPH, "orders", FEATURES, iq, fi, max_hops=MAX_HOPS, **options)
@@ -139,32 +137,32 @@ def search_progressive(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _candidate_frame(spark, _progressive(spark, sf_dir, heap_size=25, t_iq=T_IQ)[0])
 
 
-@query("search_greedy", f"{_ALL}, f AS (SELECT *, row_number() OVER (PARTITION BY feature_id ORDER BY hops, round(iq, 12) DESC, path_id) AS place FROM scored) SELECT {_OUT} FROM f WHERE place = 1 ORDER BY round(f.fi, 12) DESC, feature_id LIMIT 5")
+@query("search_greedy", f"{_UNCUT}, f AS (SELECT *, row_number() OVER (PARTITION BY feature_id ORDER BY hops, round(iq, 12) DESC, path_id) AS place FROM scored) SELECT {_OUT} FROM f WHERE place = 1 ORDER BY round(f.fi, 12) DESC, feature_id LIMIT 5")
 def search_greedy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Greedy plan: by importance, each feature over its shortest path."""
-    return _candidate_frame(spark, searching.search_greedy(_progressive(spark, sf_dir, heap_size=10**6, t_iq=T_IQ)[0], 5))
+    """Greedy plan over all candidates: by importance, each feature over its shortest path."""
+    return _candidate_frame(spark, searching.search_greedy(_progressive(spark, sf_dir, heap_size=10**6)[0], 5))
 
 
-@query("search_exhaustive", f"{_ALL}, f AS (SELECT *, row_number() OVER (PARTITION BY feature_id ORDER BY ug DESC, hops, path_id) AS place FROM scored) SELECT {_OUT} FROM f WHERE place = 1 ORDER BY f.ug DESC, hops, path_id, feature_id LIMIT 5")
+@query("search_exhaustive", f"{_UNCUT}, f AS (SELECT *, row_number() OVER (PARTITION BY feature_id ORDER BY ug DESC, hops, path_id) AS place FROM scored) SELECT {_OUT} FROM f WHERE place = 1 ORDER BY f.ug DESC, hops, path_id, feature_id LIMIT 5")
 def search_exhaustive(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Plan of the largest summed gain."""
-    return _candidate_frame(spark, searching.search_exhaustive(_progressive(spark, sf_dir, heap_size=10**6, t_iq=T_IQ)[0], 5))
+    """Plan of the largest summed gain over all candidates."""
+    return _candidate_frame(spark, searching.search_exhaustive(_progressive(spark, sf_dir, heap_size=10**6)[0], 5))
 
 
-@query("plan_objective", f"{_ALL}, f AS (SELECT feature_id, max(ug) AS ug FROM scored GROUP BY feature_id ORDER BY ug DESC LIMIT 10) SELECT count(*) AS features, round(sum(ug), 6) AS objective FROM f")
+@query("plan_objective", f"{_UNCUT}, f AS (SELECT feature_id, max(ug) AS ug FROM scored GROUP BY feature_id ORDER BY ug DESC LIMIT 10) SELECT count(*) AS features, round(sum(ug), 6) AS objective FROM f")
 def plan_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Summed gain of the best plan of ten."""
-    plan = searching.search_exhaustive(_progressive(spark, sf_dir, heap_size=10**6, t_iq=T_IQ)[0], 10)
+    plan = searching.search_exhaustive(_progressive(spark, sf_dir, heap_size=10**6)[0], 10)
     return spark.createDataFrame([(len(plan), round(sum(c.gain for c in plan), 6))], "features long, objective double")
 
 
 @query("search_counters")
 def search_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Work of the search by heap size, and with each pruning left out."""
-    rows = []
+    rows, step = [], products(spark, sf_dir)
     for name, options in (*((f"heap {h}", {"heap_size": h, "t_iq": T_IQ}) for h in (5, 10, 20, 50, 100)), ("no quality threshold", {"heap_size": 25}), ("no importance bound", {"heap_size": 25, "t_iq": T_IQ, "fi_bound": False}), ("monotone clamp", {"heap_size": 25, "t_iq": T_IQ, "clamp": True})):
         began = time.perf_counter()
-        found, s = _progressive(spark, sf_dir, **options)
+        found, s = _progressive(spark, sf_dir, step, **options)
         rows.append((name, len(found), s.expanded, s.cut_by_quality, s.skipped_by_bound, s.scored, s.inserted, time.perf_counter() - began))
     return spark.createDataFrame(rows, "variant string, found int, expanded int, cut_by_quality int, skipped_by_bound int, scored int, inserted int, seconds double")
 
@@ -214,11 +212,9 @@ def cosine_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("threshold_clusters")
 def threshold_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Threshold clusters of the embeddings (stand-ins for features)."""
+    """Threshold clusters of the embeddings (stand-ins for features), decided in rounds without the driver."""
     vectors = _sample_vectors(Repository(spark, sf_dir))
-    near = [tuple(r) for r in representation.neighbours(vectors, 0.35).collect()]
-    names = [r[0] for r in vectors.select("feature_id").collect()]
-    return spark.createDataFrame(representation.threshold_cluster(near, names), "feature_id string, cluster_id int, centroid_id string, cos_to_centroid double")
+    return representation.threshold_clusters(representation.neighbours(vectors, 0.35), vectors.select("feature_id"))
 
 
 _KNOWN = "(SELECT vec_id, label, embedding, round((vec_id % 17) / 17.0::DOUBLE - 0.2, 9) AS fi FROM embeddings WHERE vec_id % 5 = 0)"
@@ -296,159 +292,65 @@ def selection_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(">".join(p), round(state.path(p), 6), round(state.length(len(p)), 6)) for p in sorted(state.paths)], "path_id string, path_coverage double, length_coverage double")
 
 
-@query("greedy_selection")
-def greedy_selection(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Order of pairs: greedy, hybrid (ten at random first), random."""
-    rows = []
-    for name, options in (("greedy", {}), ("hybrid", {"warmup": 10}), ("random", {"warmup": 10**6}), ("summed weights", {"weight": "sum"}), ("counted lengths", {"group": "per_selection"})):
-        rows += [(name, i, p.feature, ">".join(p.path), p.cluster) for i, p in enumerate(select_pairs(_pairs(spark), 40, **options), 1)]
-    return spark.createDataFrame(rows, "variant string, place int, feature_id string, path_id string, cluster_id int")
-
+def _weights(spark: SparkSession, taken: tuple[str, ...]) -> DataFrame:
+    pairs = _pairs(spark)
+    state = Coverage(pairs)
+    for p in pairs:
+        if ">".join(p.path) in taken:
+            state.take(p)
+    return spark.createDataFrame([(p.feature, ">".join(p.path), round(state.weight(p), 6)) for p in pairs], "feature_id string, path_id string, weight double")
 
-# --- the sequence model -------------------------------------------------------
 
-def training_sequences(spark: SparkSession, sf_dir: str) -> tuple[list[str], list[np.ndarray], np.ndarray, np.ndarray]:
-    """(path ids, step statistics, exact quality, product estimate) of paths of all bases with thinned last tables.
+_CLUSTER = "(CASE split_part(feature_id, '.', 1) " + " ".join(f"WHEN '{t}' THEN {i % 3}" for i, t in enumerate(sorted(FEATURES))) + " END)"
+_WEIGHTS = _COVER.replace("SELECT path_id, round(any_value(pc), 6) AS path_coverage, round(any_value(pgc), 6) AS length_coverage FROM path JOIN grp USING (hops) GROUP BY path_id", "") + f""", tested AS (
+    SELECT {_CLUSTER} AS cl, count(DISTINCT feature_id) FILTER (path_id IN ('e1', 'e1>e2'))::DOUBLE / count(DISTINCT feature_id) AS fc FROM q GROUP BY 1)
+SELECT feature_id, q.path_id, round(pc * pgc * fc, 6) AS weight FROM q JOIN path ON path.path_id = q.path_id JOIN grp ON grp.hops = q.hops JOIN tested ON cl = {_CLUSTER}"""
 
-    Thinned views keep far keys whose value modulo 10 lies below a level, which gives
-    many different qualities at small scale; all statistics are those of the views.
-    Pearson is of the two key count vectors; mutual information is of the key columns
-    aligned by joined row, where it equals the Shannon entropy of the key.
-    """
-    repo = Repository(spark, sf_dir)
-    graph = JoinGraph(EDGES)
-    paths: list[JoinPath] = []
-    for base in ("orders", "customer", "documents", "labels", "part"):
-        for path in graph.paths(base, 2)[:14]:
-            last = path.edges[-1]
-            for level in (2, 5, 10):
-                view = f"{last.right}@{last.right_col}@{level}"
-                repo.extra[view] = repo.table(last.right).where(F.pmod(F.col(last.right_col).cast("long"), F.lit(10)) < level)
-                paths.append(JoinPath((*path.edges[:-1], JoinEdge(f"{last.edge_id}@{level}", last.left, last.left_col, view, last.right_col))))
-    edges = {e.edge_id: e for p in paths for e in p.edges}
-    statistics = {r["edge_id"]: r for r in edge_stats.edge_statistics(repo, edges.values()).collect()}  # one row an edge
-    keys = ("variance", "entropy_printed", "kl", "pearson_key_counts", "entropy_shannon", "transitivity", "containment")
-    sequences = [np.array([[statistics[e.edge_id][k] for k in keys] for e in p.edges], dtype=float) for p in paths]
-    product = np.array([np.prod([statistics[e.edge_id]["transitivity"] for e in p.edges]) for p in paths])
-    names = [f"{p.base}|{p.path_id}" for p in paths]
-    rows = reduce(DataFrame.unionByName, [quality.exact_iq(repo, repo.table(p.base), [(p, None)]).select(F.lit(n).alias("name"), "iq") for n, p in zip(names, paths, strict=True)]).collect()
-    exact = {r["name"]: r["iq"] for r in rows}
-    return names, sequences, np.array([exact[n] for n in names]), product
-
-
-@query("lstm_iq")
-def lstm_iq(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Squared error on held-out paths: sequence model with the five and the extended inputs, product, random."""
-    names, sequences, exact, product = training_sequences(spark, sf_dir)
-    test = np.array([int(hashlib.md5(n.encode()).hexdigest(), 16) % 3 == 0 for n in names])
-    rows = []
-    for label, width in (("sequence model", len(INPUTS)), ("sequence model, extended", len(EXTENDED))):
-        cut = [s[:, :width] for s in sequences]
-        for size in (20, 50, 1000):
-            chosen = np.flatnonzero(~test)[:size]
-            model = SequenceModel(epochs=200).fit([cut[i] for i in chosen], exact[chosen])
-            rows.append((f"{label}, {size} paths at most", len(chosen), model.loss([c for c, t in zip(cut, test, strict=True) if t], exact[test])))
-    guess = np.array([fixed_importance(n, 9) for n in names])
-    rows += [("product", 0, float(np.mean((product[test] - exact[test]) ** 2))), ("random", 0, float(np.mean((guess[test] - exact[test]) ** 2)))]
-    return spark.createDataFrame(rows, "estimator string, trained_on int, mse double")
 
+@query("selection_weights_initial", f"WITH {_PATHS}, {_PAIRS} SELECT feature_id, path_id, 0.0::DOUBLE AS weight FROM pairs WHERE hops <= 3")
+def selection_weights_initial(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weights of all pairs before any is taken: no coverage yet."""
+    return _weights(spark, ())
 
-@query("saliency")
-def saliency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean absolute slope of the estimated quality by input."""
-    _, sequences, exact, _ = training_sequences(spark, sf_dir)
-    model = SequenceModel(epochs=200).fit(sequences, exact)
-    return spark.createDataFrame([(n, float(v)) for n, v in zip(EXTENDED, model.saliency(sequences), strict=True)], "input string, saliency double")
 
+@query("selection_weights_after", _WEIGHTS)
+def selection_weights_after(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weights of all pairs after the pairs of two paths were taken."""
+    return _weights(spark, _TAKEN)
 
-@query("lstm_predict")
-def lstm_predict(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Estimates by Arrow batches for a frame of paths."""
-    names, sequences, exact, _ = training_sequences(spark, sf_dir)
-    model = SequenceModel(epochs=100).fit(sequences, exact)
-    frame = spark.createDataFrame([(n, s.tolist(), float(q)) for n, s, q in zip(names, sequences, exact, strict=True)], "path_id string, steps array<array<double>>, iq double")
-    return predict_frame(model, frame).select("path_id", "iq", "iq_lstm")
 
+_DECAY = f"""SELECT 'v' || a.vec_id AS feature_id, round(avg(k.fi * (1 - {_COS.replace('b.', 'k.')})), 6) AS decayed, round(any_value(a.own) * avg(1 - {_COS.replace('b.', 'k.')}), 6) AS scaled
+FROM (SELECT *, round((vec_id % 13) / 13.0::DOUBLE, 9) AS own FROM embeddings WHERE vec_id % 5 <> 0) a JOIN (SELECT * FROM {_KNOWN} WHERE vec_id % 25 = 0) k USING (label) GROUP BY a.vec_id"""
 
-# --- baselines and the end-to-end comparison ----------------------------------
 
-def tasks(spark: SparkSession, sf_dir: str) -> dict[str, systems.Task]:
-    """The tasks of the comparison, scored in closed form over bins of all chosen features.
+@query("fi_decay", _DECAY)
+def fi_decay(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Importance left beside the chosen members of the same cluster, in the printed and the scaled form.
 
-    Rows of the base with all features are folded to counts by their values once; a
-    score is then a grouped sum over that table.
+    The mean of a chosen member's importance times one minus the cosine needs the sum of
+    importances and one inner product with the members' weighed unit vectors.
     """
     repo = Repository(spark, sf_dir)
-    w1, w2, w4 = quality_base(repo), region_base(repo), spend_base(repo)
-    out = {}
-    for name, df, label, features, hops in (
-        ("quality", w1, "quality", {"lang": "documents", "source": "documents", "alpha_bin": "doc_shape"}, {"lang": 1, "source": 1, "alpha_bin": 2}),
-        ("region", w2, "y", {"segment": "customer", "region": "nation", "supplier_region": "supplier_nation", "returnflag": "lineitem"}, {"segment": 1, "region": 2, "supplier_region": 4, "returnflag": 1}),
-        ("spend", w4.withColumn("y", (F.col("y") > 1_000_000).cast("int")), "y", {"orders": "orders", "urgent": "orders_urgent_late", "segment": "customer"}, {"orders": 1, "urgent": 1, "segment": 1}),
-    ):
-        # values are few: strings and bins, numbers by magnitude
-        small = [F.coalesce((F.round(F.log10(F.greatest(F.col(f).cast("double"), F.lit(1.0))), 0) if f == "urgent" else F.col(f)).cast("string"), F.lit("?")).alias(f) for f in features]
-        counted = df.groupBy(F.col(label).alias("y"), *small).agg(F.count(F.lit(1)).alias("c")).toPandas()
-
-        def score(chosen: tuple[str, ...], counted=counted) -> float:
-            cells = counted.groupby([*chosen, "y"] if chosen else ["y"], as_index=False)["c"].sum()
-            top = cells.groupby(list(chosen))["c"].max().sum() if chosen else cells["c"].max()
-            return float(top / counted["c"].sum())
-
-        out[name] = systems.Task(sorted(features), features, hops, score, {f: (float(counted[f].nunique()),) for f in features})
-    return out
-
-
-def _chosen(name: str, task: systems.Task, budget: int) -> list[str]:
-    rng = lambda seed: np.random.default_rng(seed)
-
-    def importances(pool, seed):
-        base = task.score(())
-        found = {f: task.score((f,)) - base for f in pool}
-        return found | {f"noise_{i}": abs(rng(seed + i).normal(0, 0.01)) for i in range(max(1, len(pool) // 5))}
-
-    return {
-        "base only": lambda: systems.base_only(task),
-        "join all": lambda: systems.join_all(task, budget),
-        "given relevance": lambda: systems.given_relevance(task, {f: task.profile[f][0] for f in task.features}, budget),
-        "noise injection": lambda: systems.noise_injection(task, importances, budget),
-        "bandit explorer": lambda: systems.bandit_explorer(task, 12, budget),
-        "network explorer": lambda: systems.network_explorer(task, 12, budget),
-        "goal feedback": lambda: systems.goal_feedback(task, 12, budget),
-        "the method": lambda: _method(task, budget),
-    }[name]()
-
-
-def _method(task: systems.Task, budget: int) -> list[str]:
-    """Gains of single features (importance times quality) ranked, then refined: a feature stays if the set gains."""
-    base = task.score(())
-    ranked = sorted(task.features, key=lambda f: (-(task.score((f,)) - base), f))
-    plan: list[str] = []
-    for f in ranked[: 5 * budget]:
-        if len(plan) < budget and task.score([*plan, f]) > task.score(plan):
-            plan.append(f)
-    return plan
-
-
-METHODS = ("base only", "join all", "given relevance", "noise injection", "bandit explorer", "network explorer", "goal feedback", "the method")
-
-
-@query("end_to_end")
-def end_to_end(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Score, gain, fits and seconds of every method, task and budget, with ranks."""
+    v = _sample_vectors(repo)
+    parts = representation.unit_vectors(v.select("feature_id", "repr")).join(v.select("feature_id", "cluster_id", "vec_id"), "feature_id")
+    chosen = _known(repo).join(v.where("vec_id % 25 = 0").select("feature_id", "cluster_id"), "feature_id")
+    sums = parts.join(chosen.select("feature_id", "fi"), "feature_id").groupBy("cluster_id", "pos").agg(F.sum(F.col("fi") * F.col("u")).alias("weighed"), F.sum("u").alias("plain"))
+    totals = chosen.groupBy("cluster_id").agg(F.sum("fi").alias("fis"), F.count(F.lit(1)).alias("n"))
+    asked = parts.where("vec_id % 5 <> 0").join(sums, ["cluster_id", "pos"]).groupBy("feature_id", "vec_id", "cluster_id").agg(F.sum(F.col("u") * F.col("weighed")).alias("near"), F.sum(F.col("u") * F.col("plain")).alias("cosines"))
+    own = F.round((F.col("vec_id") % 13) / F.lit(13.0), 9)
+    return asked.join(F.broadcast(totals), "cluster_id").select("feature_id", F.round((F.col("fis") - F.col("near")) / F.col("n"), 6).alias("decayed"), F.round(own * (F.col("n") - F.col("cosines")) / F.col("n"), 6).alias("scaled"))  # one row a cluster
+
+
+@query("greedy_selection")
+def greedy_selection(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Order of pairs: greedy, hybrid (ten at random first), random."""
     rows = []
-    for name, task in tasks(spark, sf_dir).items():
-        for budget in (1, 5, 10):
-            for method in METHODS:
-                task.known, task.fits, began = {}, 0, time.perf_counter()
-                plan = _chosen(method, task, budget)[:budget]
-                score = task.score(plan)
-                rows.append((name, method, budget, score, score - task.score(()), task.fits, ",".join(plan), time.perf_counter() - began))
-    frame = spark.createDataFrame(rows, "task string, method string, budget int, score double, gain double, fits int, plan string, seconds double")
-    from pyspark.sql.window import Window
-
-    return frame.withColumn("rank", F.rank().over(Window.partitionBy("task", "budget").orderBy(F.desc(F.round("score", 9)))))
+    for name, options in (("greedy", {}), ("hybrid", {"warmup": 10}), ("random", {"warmup": 10**6}), ("summed weights", {"weight": "sum"}), ("counted lengths", {"group": "per_selection"})):
+        rows += [(name, i, p.feature, ">".join(p.path), p.cluster) for i, p in enumerate(select_pairs(_pairs(spark), 40, **options), 1)]
+    return spark.createDataFrame(rows, "variant string, place int, feature_id string, path_id string, cluster_id int")
+
 
+# --- baselines over single tables ------------------------------------------------
 
 def _aggregation_sql() -> str:
     fns = ("sum", "avg", "min", "max", "stddev_pop")

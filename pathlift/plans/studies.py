@@ -5,6 +5,7 @@ from __future__ import annotations
 import time
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -14,10 +15,12 @@ from ..operators import representation, utility
 from ..operators import search as searching
 from ..operators.augment import augment
 from ..registry import query
+from ..sources.files import written
 from ..sources.repository import Repository, path_of
 from . import sqltext
 from .augmentation import region_base
-from .searching import _progressive, end_to_end, threshold_clusters
+from .searching import FEATURES, GRAPH, fixed_importance, products, threshold_clusters
+from .tasks import workloads
 
 _DAYS = f"(SELECT user_id, day, v, lag(v) OVER (PARTITION BY user_id ORDER BY day) AS before FROM {sqltext.view_sql('user_day')})"
 
@@ -73,54 +76,110 @@ def grouped_models(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("fi_study")
 def fi_study(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean absolute error of estimated importance by sampling method and number of known features."""
+    """Mean absolute error of estimated importance by sampling method and number of known features a cluster, over all vectors.
+
+    One frame carries the method and the place of every feature in its method's order; a
+    size is a cut of that order.  Estimates are inner products with summed vectors.
+    """
     vectors = Repository(spark, sf_dir).table("embeddings").select(F.concat(F.lit("v"), F.col("vec_id").cast("string")).alias("feature_id"), F.col("embedding").alias("repr"), F.col("label").cast("int").alias("cluster_id"))
-    axis = vectors.where("feature_id = 'v0'").select(F.col("repr").alias("axis"))
-    at = vectors.crossJoin(F.broadcast(axis)).select("feature_id", "repr", "cluster_id", (0.5 + 0.5 * representation.cosine("repr", "axis")).alias("fi")).persist()  # one row
-    parts = []
-    for method in ("random", "centroid", "cover"):
-        for per_cluster in (2, 5, 10):
-            picked = representation.sample_features(at.select("feature_id", "cluster_id"), at.select("feature_id", "repr"), per_cluster, method)
-            known = at.join(picked.select("feature_id"), "feature_id", "left_semi").select("feature_id", "fi")
-            for normalise in (False, True):
-                guess = representation.estimate_importance(at.select("feature_id", "cluster_id"), at.select("feature_id", "repr"), known, normalise=normalise)
-                both = guess.join(at.select("feature_id", "fi"), "feature_id").join(known.select("feature_id"), "feature_id", "left_anti")
-                parts.append(both.agg(F.avg(F.abs(F.col("fi_est") - F.col("fi"))).alias("mae"), F.count(F.lit(1)).alias("unknown")).select(F.lit(method).alias("method"), F.lit(per_cluster).alias("per_cluster"), F.lit(normalise).alias("normalised"), "mae", "unknown"))
-    return reduce(DataFrame.unionByName, parts)
+    parts = written(representation.unit_vectors(vectors.select("feature_id", "repr")).join(vectors.select("feature_id", "cluster_id"), "feature_id"), "fi-study")
+    axis = parts.where("feature_id = 'v0'").select("pos", F.col("u").alias("a"))
+    truth = written(parts.join(F.broadcast(axis), "pos", "left").groupBy("feature_id", "cluster_id").agg((0.5 + 0.5 * F.coalesce(F.sum(F.col("u") * F.col("a")), F.lit(0.0))).alias("fi")), "fi-truth")  # components of one vector
+    sizes = (2, 5, 10)
+    at, reprs = vectors.select("feature_id", "cluster_id"), vectors.select("feature_id", "repr")
+    picked = [representation.sample_features(at, reprs, size, m).select(F.lit(m).alias("method"), F.lit(size).alias("per_cluster"), "feature_id") for m in ("random", "centroid", "cover") for size in sizes]
+    known = written(reduce(DataFrame.unionByName, picked).join(truth, "feature_id"), "fi-known")
+    told = parts.select("feature_id", "pos", "u").join(known, "feature_id").groupBy("method", "per_cluster", "cluster_id", "pos").agg(F.sum(F.col("fi") * F.col("u")).alias("weighed"), F.sum("u").alias("plain"), F.count(F.lit(1)).alias("members"))
+    sums = parts.join(told, ["cluster_id", "pos"]).groupBy("method", "per_cluster", "feature_id").agg(F.sum(F.col("u") * F.col("weighed")).alias("top"), F.sum(F.col("u") * F.col("plain")).alias("cosines"), F.max("members").alias("members"))
+    # where a cluster has no known member the estimate is 0
+    spec = F.broadcast(known.select("method", "per_cluster").distinct())  # nine rows
+    asked = truth.select("feature_id", "fi").crossJoin(spec).join(known.select("method", "per_cluster", "feature_id"), ["method", "per_cluster", "feature_id"], "left_anti").join(sums, ["method", "per_cluster", "feature_id"], "left")
+    guess = lambda below: F.coalesce(F.try_divide("top", below), F.lit(0.0))
+    both = F.explode(F.array(F.struct(F.lit(False).alias("normalised"), guess(F.col("members").cast("double")).alias("e")), F.struct(F.lit(True).alias("normalised"), guess(F.col("cosines")).alias("e"))))
+    return asked.select("method", "per_cluster", "fi", both.alias("g")).groupBy("method", "per_cluster", "g.normalised").agg(F.avg(F.abs(F.col("g.e") - F.col("fi"))).alias("mae"), F.count(F.lit(1)).alias("unknown"))
 
 
 @query("search_study")
 def search_study(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Objective, seconds and speed-up over exhaustive of the three searches by budget."""
+    """On every task: model score, objective, seconds and work of the three searches by budget, with and without refinement.
+
+    Both estimators are fitted before any clock starts.  Progressive search prunes;
+    exhaustive and greedy score all pairs without pruning.  Seconds hold the search alone.
+    """
+    rows = []
+    for work in workloads(spark, sf_dir):
+        engine = work.fitted
+        s = engine.settings
+        all_pairs = 10**6
+        engine.candidates(all_pairs, t_iq=0.0, fi_bound=False)  # estimates are made once for all searches
+        plans, facts = {"": []}, {}
+        for budget in (1, 5, 10):
+            def progressive(refined: bool, budget: int = budget):
+                found, stats = engine.candidates(s.heap_factor * budget)
+                return ([c for c, _ in searching.refine(found, budget, engine.clusters, engine.vectors)] if refined else searching.search_exhaustive(found, budget)), stats
+
+            def plain(search, budget: int = budget):
+                found, stats = engine.candidates(all_pairs, t_iq=0.0, fi_bound=False)
+                return search(found, budget), stats
+
+            for method, run in (("exhaustive", lambda: plain(searching.search_exhaustive)), ("greedy", lambda: plain(searching.search_greedy)), ("progressive", lambda: progressive(True)), ("progressive, not refined", lambda: progressive(False))):
+                took = []
+                for _ in range(3):
+                    began = time.perf_counter()
+                    plan, stats = run()
+                    took.append(time.perf_counter() - began)
+                plans[f"{method}|{budget}"] = list(dict.fromkeys(work.column(c.path, c.feature.split(".", 1)[1]) for c in plan))
+                facts[method, budget] = (sum(c.gain for c in plan), min(took), stats.expanded, stats.scored)
+        scores = work.score_plans(plans)
+        for (method, budget), (objective, seconds, expanded, scored) in facts.items():
+            rows.append((work.spec.name, budget, method, scores[f"{method}|{budget}"], float(objective), seconds, expanded, scored, facts["exhaustive", budget][1] / seconds, seconds / facts[method, 1][1]))
+    return spark.createDataFrame(rows, "task string, budget int, method string, utility double, objective double, seconds double, expanded int, scored int, speed_up double, growth double")
+
+
+@query("heap_study")
+def heap_study(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """On every task: model score, seconds and work of the search by heap size, 5 to 100, for a plan of ten."""
     rows = []
-    for budget in (1, 5, 10):
-        timed = {}
-        for method in ("exhaustive", "greedy", "progressive"):
+    for work in workloads(spark, sf_dir):
+        engine = work.fitted
+        engine.candidates(10**6, t_iq=0.0, fi_bound=False)
+        plans, facts = {}, {}
+        for heap in (5, 10, 20, 50, 100):
             began = time.perf_counter()
-            if method == "progressive":
-                found, stats = _progressive(spark, sf_dir, heap_size=5 * budget, t_iq=0.5)
-                plan = searching.search_exhaustive(found, budget)
-            else:
-                found, stats = _progressive(spark, sf_dir, heap_size=10**6, fi_bound=False)
-                plan = (searching.search_exhaustive if method == "exhaustive" else searching.search_greedy)(found, budget)
-            timed[method] = (time.perf_counter() - began, sum(c.gain for c in plan), stats.scored)
-        rows += [(budget, m, g, s, n, timed["exhaustive"][0] / s) for m, (s, g, n) in timed.items()]
-    return spark.createDataFrame(rows, "budget int, method string, objective double, seconds double, scored int, speed_up double")
-
-
-@query("method_ranks")
-def method_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean rank, mean gain and relative gain over the best other method."""
-    runs = end_to_end(spark, sf_dir)
-    best = runs.where("method <> 'the method'").groupBy("task", "budget").agg(F.max("gain").alias("other"))
-    return runs.join(best, ["task", "budget"]).groupBy("method").agg(F.round(F.avg("rank"), 3).alias("mean_rank"), F.round(F.avg("gain"), 6).alias("mean_gain"), F.round(F.avg(F.try_divide(F.col("gain") - F.col("other"), F.col("other"))), 6).alias("relative_gain"), F.round(F.avg("fits"), 2).alias("mean_fits"))
+            plan, stats = engine.plan(10, heap)
+            facts[heap] = (time.perf_counter() - began, stats.scored, stats.inserted)
+            plans[str(heap)] = list(dict.fromkeys(work.column(c.path, c.feature.split(".", 1)[1]) for c, _ in plan))
+        scores = work.score_plans(plans)
+        rows += [(work.spec.name, heap, scores[str(heap)], len(plans[str(heap)]), *f) for heap, f in facts.items()]
+    return spark.createDataFrame(rows, "task string, heap int, utility double, features int, seconds double, scored int, inserted int")
+
+
+@query("search_enumerated")
+def search_enumerated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Literal enumeration of all plans on small graphs beside the closed optimum and progressive search, by budget."""
+    rows, step = [], products(spark, sf_dir)
+    iq = lambda p: float(np.prod([step[e.edge_id] for e in p.edges]))
+    few = {t: c[:1] for t, c in FEATURES.items() if t != "lineitem"}
+    fi = {f"{t}.{c}": fixed_importance(f"{t}.{c}") for t, cols in few.items() for c in cols}
+    everything, _ = searching.search(GRAPH, "orders", few, iq, fi, heap_size=10**6, max_hops=3)
+    for budget in (1, 2, 3):
+        began = time.perf_counter()
+        literal, scored = searching.enumerate_plans(everything, budget)
+        enumerated = time.perf_counter() - began
+        began = time.perf_counter()
+        found, _ = searching.search(GRAPH, "orders", few, iq, fi, heap_size=5 * budget, t_iq=0.5, max_hops=3)
+        progressive = searching.search_exhaustive(found, budget)
+        seconds = time.perf_counter() - began
+        gain = lambda plan: round(sum(c.gain for c in plan), 9)
+        rows.append((budget, scored, gain(literal), gain(searching.search_exhaustive(everything, budget)), gain(progressive), enumerated, seconds))
+    return spark.createDataFrame(rows, "budget int, plans long, enumerated double, closed double, progressive double, enumeration_seconds double, progressive_seconds double")
 
 
 @query("cluster_report")
 def cluster_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Clusters, singletons, members and closeness to the centroid."""
-    sizes = threshold_clusters(spark, sf_dir).groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n"), F.min("cos_to_centroid").alias("low"), F.avg("cos_to_centroid").alias("mean"))
-    return sizes.agg(F.count(F.lit(1)).alias("clusters"), F.sum((F.col("n") == 1).cast("int")).alias("singletons"), F.max("n").alias("largest"), F.min("low").alias("least_cosine"), F.avg("mean").alias("mean_cosine"), F.max(1 - F.col("low")).alias("radius"))
+    """Clusters, singletons, members and closeness to the centroid, and whether every member is within the threshold."""
+    sizes = threshold_clusters(spark, sf_dir).groupBy("centroid_id").agg(F.count(F.lit(1)).alias("n"), F.min("cos_to_centroid").alias("low"), F.avg("cos_to_centroid").alias("mean"))
+    return sizes.agg(F.count(F.lit(1)).alias("clusters"), F.sum((F.col("n") == 1).cast("int")).alias("singletons"), F.max("n").alias("largest"), F.min("low").alias("least_cosine"), F.avg("mean").alias("mean_cosine"), F.max(1 - F.col("low")).alias("radius"), F.bool_and(F.col("low") >= 0.35).alias("bound_holds"))
 
 
 @query("moment_bounds")

@@ -11,7 +11,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 #: Modules that register queries when imported.
-MODULES: tuple[str, ...] = ("pathlift.plans.edges", "pathlift.plans.augmentation", "pathlift.plans.searching", "pathlift.plans.relational", "pathlift.plans.streams", "pathlift.plans.studies")
+MODULES: tuple[str, ...] = ("pathlift.plans.edges", "pathlift.plans.augmentation", "pathlift.plans.searching", "pathlift.plans.relational", "pathlift.plans.streams", "pathlift.plans.studies", "pathlift.plans.estimation", "pathlift.plans.comparison", "pathlift.plans.surroundings")
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
