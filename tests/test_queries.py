@@ -1,4 +1,7 @@
-"""Every query with SQL against DuckDB on the smallest tables; the others for rows."""
+"""Every query with SQL against DuckDB on the smallest tables; the others for rows.
+
+The slow ones have tests of their own on one task (test_comparison.py, test_methods.py).
+"""
 
 import os
 
@@ -10,7 +13,7 @@ import pathlift.registry as registry
 
 registry.load_all()
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
-SLOW = {"method_budgets", "utility_models", "lstm_iq", "saliency", "search_counters", "repository_update", "method_augmented"}
+SLOW = {"method_budgets", "utility_models", "lstm_iq", "saliency", "search_counters", "repository_update", "method_augmented", "lstm_predict", "end_to_end", "method_ranks", "search_study", "heap_study", "linearity_pairs", "fi_training_sizes", "noise_injection", "rl_bandit", "rl_dqn", "goal_feedback", "path_aggregation_score", "method_score"}
 
 
 @pytest.fixture(scope="module")
