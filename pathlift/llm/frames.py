@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import contextlib
 import ctypes
 import gc
@@ -31,10 +32,25 @@ def without(df: DataFrame, names: list[str]) -> DataFrame:
     return df.select(*[F.col(f"`{c}`") for c in df.columns if c.lower() not in gone])
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """Names like these, each with a number at its end if a column has it already (in any case)."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        own, k = name, 0
+        while own.lower() in taken:
+            k += 1
+            own = f"{name}_{k}"
+        taken.add(own.lower())
+        out.append(own)
+    return out
+
+
 def tidied(run: Callable) -> Callable:
     """A function over batches that gives its memory back to the system when it ends.
 
-    Python workers are reused by later stages; what their allocators keep would add up.
+    Workers outlive their task: Spark hands them to later stages, in which the heap
+    that malloc and Arrow's pool kept from this one counts against the executor's
+    memory beside the JVM's own.  This is the one place where memory is given back.
     """
 
     def wrapped(batches: Iterator) -> Iterator:
@@ -68,18 +84,23 @@ def shared_dir(spark: SparkSession, purpose: str) -> str:
     Where that setting is absent (local tests), a folder below the warehouse serves.
     """
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_shared"
-    return f"{root.rstrip('/')}/{purpose}-{uuid.uuid4().hex}"
+    path = f"{root.rstrip('/')}/{purpose}-{uuid.uuid4().hex}"
+    if not _made:
+        atexit.register(_sweep)
+    _made.append((spark, path))
+    return path
 
 
-def keep(df: DataFrame, purpose: str) -> DataFrame:
-    """The frame written to the shared folder and read again, which cuts its lineage.
+#: Folders that this driver made; results are read from them until it ends.
+_made: list[tuple[SparkSession, str]] = []
 
-    Lost executors cost nothing: the files stay where every machine reads them.
-    """
-    spark = df.sparkSession
-    path = shared_dir(spark, purpose)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+
+def _sweep() -> None:
+    """Removes the folders of this driver when it ends, as far as its sessions still live."""
+    with contextlib.suppress(Exception):  # the virtual machine may be gone
+        for spark, path in _made:
+            place = spark._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
 
 
 @contextlib.contextmanager
@@ -103,7 +124,7 @@ class Workspace:
     """
 
     def __init__(self, spark: SparkSession, purpose: str):
-        self.spark, self.base = spark, shared_dir(spark, purpose)
+        self.spark, self.base, self.kept = spark, shared_dir(spark, purpose), set()
 
     def _path(self, name: str):
         path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.base}/{name}")
@@ -112,6 +133,7 @@ class Workspace:
     def keep(self, df: DataFrame, name: str, *, release: bool = False) -> DataFrame:
         with small_batches(self.spark):
             df.write.parquet(f"{self.base}/{name}")
+        self.kept.add(name)
         schema = df.schema
         if release:
             del df
@@ -128,3 +150,8 @@ class Workspace:
         for name in names:
             path, fs = self._path(name)
             fs.delete(path, True)
+            self.kept.discard(name)
+
+    def forget_all_but(self, *names: str) -> None:
+        """Removes all tables but those of these names."""
+        self.forget(*(self.kept - set(names)))

@@ -64,32 +64,24 @@ def _sets(batch: pa.RecordBatch, words: int):
         yield from enumerate(shingle_sets(Words(offsets, raw, a, b, lower=True), words), a)
 
 
-def _facts(docs: DataFrame, words: int) -> DataFrame:
-    """(doc_id, n, node) of every row."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            found = [(len(s), _node(s)) for _, s in _sets(batch, words)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], names=["doc_id", "n", "node"])
-
-    return docs.mapInArrow(tidied(run), "doc_id long, n long, node long")
-
-
 def _code(shingles: np.ndarray, bits: int) -> np.ndarray:
     """Leading 32 + bits bits of shingle hashes."""
     return shingles >> np.uint64(32 - bits)
 
 
-def frequent_shingles(docs: DataFrame, words: int, total: int, *, least: int = 16, most: int = 1 << 18, flush: int = 1 << 20) -> tuple[int, np.ndarray, np.ndarray]:
-    """(bits, codes, counts) of the shingles that most documents have.
+_SCANNED = "doc_id long, n long, node long, code long, df long"
 
-    Counts are exact over all documents, by code.  Map tasks count what they have
-    read and ship sorted codes by range, so a shingle of every document costs one
-    entry a task.  At most ``most`` codes, the most frequent ones with ``least``
-    documents or more, come back: they steer the order of the join alone, which gives
-    the same links under any order.
+
+def scanned(docs: DataFrame, words: int, work: Workspace, *, least: int = 16, flush: int = 1 << 20) -> tuple[int, DataFrame]:
+    """(bits, rows) of one pass over all texts: (doc_id, n, node) of every row and (code, df) of frequent shingles.
+
+    Counts are of documents that have an id, exact by code of 32 + bits bits.  Map tasks
+    count what they have read and ship sorted codes by range, so a shingle of every
+    document costs one entry a task; facts of documents travel in the same groups.  Codes
+    of fewer than ``least`` documents stay behind.
     """
-    bits = int(min(20, max(4, np.ceil(np.log2(max(total, 1) / (1 << 20))))))
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    bits = int(min(20, max(4, np.ceil(np.log2(max(size, 1) / (6 << 20))))))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
@@ -107,22 +99,36 @@ def frequent_shingles(docs: DataFrame, words: int, total: int, *, least: int = 1
                     pa.array(ranges[at].astype(np.int32)),
                     pa.array([tails[a:b].tobytes() for a, b in zip(at, ends, strict=True)], pa.binary()),
                     pa.array([(sums[a:b].astype(np.uint8) if s else sums[a:b]).tobytes() for a, b, s in zip(at, ends, small, strict=True)], pa.binary()),
+                    pa.nulls(len(at), pa.binary()),
                 ],
-                names=["range", "tails", "counts"],
+                names=["range", "tails", "counts", "facts"],
             )
 
         for batch in batches:
-            for _, s in _sets(batch, words):
-                if len(s):
+            found = []
+            named = np.asarray(batch.column(0).is_valid())
+            for k, s in _sets(batch, words):
+                found.append((len(s), _node(s)))
+                if len(s) and named[k]:
                     held.append(_code(s, bits))
                     size += len(s)
                 if size >= flush:
                     yield flushed()
                     held, size = [], 0
+            if found:
+                facts = pa.RecordBatch.from_arrays([batch.column(0), pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], names=["doc_id", "n", "node"])
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, facts.schema) as stream:
+                    stream.write_batch(facts)
+                where = -1 - found[0][1] % (1 << bits)
+                yield pa.RecordBatch.from_arrays([pa.array([where], pa.int32()), pa.nulls(1, pa.binary()), pa.nulls(1, pa.binary()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["range", "tails", "counts", "facts"])
         if held:
             yield flushed()
 
     def total_up(part: pa.Table) -> pa.Table:
+        if part.column("range")[0].as_py() < 0:
+            facts = pa.concat_tables([pa.ipc.open_stream(x.as_py()).read_all() for x in part.column("facts")])
+            return facts.append_column("code", pa.nulls(len(facts), pa.int64())).append_column("df", pa.nulls(len(facts), pa.int64()))
         tails = np.concatenate([np.frombuffer(x.as_py(), np.uint32) for x in part.column("tails")])
         counts = np.concatenate([np.frombuffer(c.as_py(), np.uint8 if len(c.as_py()) * 4 == len(t.as_py()) else np.uint32).astype(np.int64) for t, c in zip(part.column("tails"), part.column("counts"), strict=True)])
         order = np.argsort(tails, kind="stable")
@@ -131,13 +137,22 @@ def frequent_shingles(docs: DataFrame, words: int, total: int, *, least: int = 1
         sums = np.add.reduceat(counts, at)
         often = sums >= least
         high = np.int64(part.column("range")[0].as_py()) << np.int64(32)
-        return pa.table({"code": pa.array(tails[at][often].astype(np.int64) + high), "df": pa.array(sums[often])})
+        codes = tails[at][often].astype(np.int64) + high
+        return pa.table({**{c: pa.nulls(len(codes), pa.int64()) for c in ("doc_id", "n", "node")}, "code": pa.array(codes), "df": pa.array(sums[often].astype(np.int64))})
+
+    found = docs.mapInArrow(tidied(count), "range int, tails binary, counts binary, facts binary").groupBy("range").applyInArrow(total_up, _SCANNED)
+    return bits, work.keep(found, "scan", release=True)
+
+
+def frequent_shingles(scan: DataFrame, most: int = 1 << 18) -> tuple[np.ndarray, np.ndarray]:
+    """(codes, counts) of the shingles that most documents have, ``most`` of them at the most.
 
-    found = docs.mapInArrow(tidied(count), "range int, tails binary, counts binary").groupBy("range").applyInArrow(total_up, "code long, df long")
-    top = found.orderBy(F.desc("df"), "code").limit(most).toArrow()
+    They steer the order of the join alone, which gives the same links under any order.
+    """
+    top = scan.where("code IS NOT NULL").select("code", "df").orderBy(F.desc("df"), "code").limit(most).toArrow()
     codes, counts = top.column("code").to_numpy(), top.column("df").to_numpy()
     order = np.argsort(codes)
-    return bits, codes[order].astype(np.uint64), counts[order].astype(np.int64)
+    return codes[order].astype(np.uint64), counts[order].astype(np.int64)
 
 
 _STEPS = (1, 2, 3, 4, 6, 8, 12, 16)
@@ -178,50 +193,56 @@ class _Order:
         return prefix, demanded, int(min(16 * counts.mean(), 2**31 - 1))
 
 
-def _prefixes(docs: DataFrame, order: _Order) -> DataFrame:
-    """(token, node) of every node's prefix; a task emits a node once."""
+def _signatures(docs: DataFrame, order: _Order) -> DataFrame:
+    """(node, n, l, w, tokens) of every node: size, demand, weight and prefix; a task emits a node once."""
+
+    def packed(out: list[tuple]) -> pa.RecordBatch:
+        ends = np.cumsum([0, *[len(o[4]) for o in out]]).astype(np.int32)
+        tokens = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([o[4] for o in out]).view(np.int64)))
+        return pa.RecordBatch.from_arrays([*[pa.array([o[i] for o in out], t) for i, t in enumerate((pa.int64(), pa.int32(), pa.int8(), pa.int32()))], tokens], names=["node", "n", "l", "w", "tokens"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
         for batch in batches:
-            out: list[np.ndarray] = []
-            nodes: list[int] = []
+            out: list[tuple] = []
             size = 0
             for _, s in _sets(batch, order.similarity.words):
                 node = _node(s)
                 if len(s) and node not in seen:
                     seen.add(node)
-                    out.append(order.prefix(s)[0])
-                    nodes.append(node)
-                    size += len(out[-1])
+                    prefix, demanded, typical = order.prefix(s)
+                    out.append((node, len(s), demanded, typical, prefix))
+                    size += len(prefix)
                 if size > 200_000:
-                    yield packed(out, nodes)
-                    out, nodes, size = [], [], 0
+                    yield packed(out)
+                    out, size = [], 0
             if out:
-                yield packed(out, nodes)
+                yield packed(out)
 
-    def packed(out: list[np.ndarray], nodes: list[int]) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.repeat(np.array(nodes, dtype=np.int64), [len(o) for o in out]))], names=["token", "node"])
+    return docs.mapInArrow(tidied(run), "node long, n int, l byte, w int, tokens array<long>")
 
-    return docs.mapInArrow(tidied(run), "token long, node long")
 
+def _set_table(docs: DataFrame, words: int, wanted: KeyFilter, holders: KeyFilter) -> DataFrame:
+    """(node, n, low, high) of wanted nodes, once each: size and 40-bit codes.
+
+    ``holders`` knows one document of every wanted node; no other text is read.
+    """
 
-def _set_table(docs: DataFrame, order: _Order, wanted: KeyFilter) -> DataFrame:
-    """(node, n, l, w, low, high) of wanted nodes, once each: size, demand, weight and 40-bit codes."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
-        for batch in batches:
+        for whole in batches:
+            batch = whole.filter(pa.array(holders.has(whole.column(2).to_numpy())))
             out = []
-            for _, s in _sets(batch, order.similarity.words):
+            for _, s in _sets(batch, words) if batch.num_rows else ():
                 node = _node(s)
                 if len(s) and node not in seen and wanted.has(np.array([node]))[0]:
                     seen.add(node)
                     code = s >> np.uint64(24)
-                    out.append((node, len(s), *order.prefix(s)[1:], code.astype(np.uint32).tobytes(), (code >> np.uint64(32)).astype(np.uint8).tobytes()))
+                    out.append((node, len(s), code.astype(np.uint32).tobytes(), (code >> np.uint64(32)).astype(np.uint8).tobytes()))
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t) for i, t in enumerate((pa.int64(), pa.int32(), pa.int8(), pa.int32(), pa.binary(), pa.binary()))], names=["node", "n", "l", "w", "low", "high"])
+                yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t) for i, t in enumerate((pa.int64(), pa.int32(), pa.binary(), pa.binary()))], names=["node", "n", "low", "high"])
 
-    return docs.mapInArrow(tidied(run), "node long, n int, l byte, w int, low binary, high binary").dropDuplicates(["node"])
+    return docs.select("doc_id", "text", F.xxhash64("doc_id").alias("h")).mapInArrow(tidied(run), "node long, n int, low binary, high binary").dropDuplicates(["node"])
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, similarity: Similarity) -> DataFrame:
@@ -261,18 +282,45 @@ def _demanded(similarity: Similarity):
     return F.expr(f"least({overlap} - {own('n')} + l, {overlap} - {own('m')} + k)")
 
 
+def _common(x: np.ndarray, x_sizes: np.ndarray, y: np.ndarray, y_sizes: np.ndarray, step: int = 4096) -> np.ndarray:
+    """Common tokens of every list of one side with every list of the other, ``step`` tokens at a time."""
+    common = np.intersect1d(x, y)
+    out = np.zeros((len(x_sizes), len(y_sizes)), dtype=np.float32)
+    sides = []
+    for tokens, sizes in ((x, x_sizes), (y, y_sizes)):
+        at = np.minimum(np.searchsorted(common, tokens), max(0, len(common) - 1))
+        hit = common[at] == tokens if len(common) else np.zeros(len(tokens), bool)
+        owner, at = np.repeat(np.arange(len(sizes)), sizes)[hit], at[hit]
+        order = np.argsort(at, kind="stable")
+        sides.append((owner[order], at[order], len(sizes)))
+    for low in range(0, len(common), step):
+        grid = []
+        for owner, at, n in sides:
+            a, b = np.searchsorted(at, (low, low + step))
+            g = np.zeros((n, min(step, len(common) - low)), dtype=np.float32)
+            g[owner[a:b], at[a:b] - low] = 1
+            grid.append(g)
+        out += grid[0] @ grid[1].T
+    return out
+
+
 def _hot_pairs(rows: DataFrame, hot: DataFrame, similarity: Similarity, block: int = 512) -> DataFrame:
     """Candidates (a, b) that meet in hot shingles, judged in blocks of nodes before any pair is emitted.
 
     Each node brings its open prefix shingles; a block of nodes meets another of the
     same shingle in one matrix product, which gives all common counts at once.
     """
-    brought = rows.join(hot.select("token", "pairs"), "token")
     held = rows.groupBy("node").agg(F.collect_list("token").alias("tokens"))
-    spread = F.greatest(F.lit(1), F.ceil(F.sqrt(2 * F.col("pairs")) / block)).cast("int")
-    member = brought.join(held, "node").select("token", F.pmod(F.xxhash64("node"), spread).alias("block"), F.struct("node", "n", "l", "root", "met", "tokens").alias("m"))
-    blocks = member.groupBy("token", "block").agg(F.collect_list("m").alias("m"))
-    both = blocks.join(blocks.select("token", F.col("block").alias("other"), F.col("m").alias("m2")), "token").where("block <= other").select("m", "m2")
+    brought = rows.join(hot.select("token", "pairs"), "token").join(held, "node")
+    # a block has about ``block`` nodes, and fewer where they bring many shingles
+    load = brought.groupBy("token").agg(F.max("pairs").alias("pairs"), F.sum(F.size("tokens")).alias("load"))
+    spread = F.greatest(F.lit(1), F.ceil(F.sqrt(2 * F.col("pairs")) / block), F.ceil(F.col("load") / (block * 256))).cast("int")
+    member = brought.drop("pairs").join(load.select("token", spread.alias("blocks")), "token").select("token", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"), F.struct("node", "n", "l", "root", "met", "tokens").alias("m"))
+    blocks = member.groupBy("token", "blocks", "block").agg(F.collect_list("m").alias("m"))
+    # every pair of blocks is a key of its own, so the pairs of one shingle spread over all tasks
+    rows_of = blocks.select("token", "block", F.explode(F.sequence("block", F.col("blocks") - 1)).alias("other"), "m")
+    columns_of = blocks.select("token", F.explode(F.sequence(F.lit(0), F.col("block"))).alias("block"), F.col("block").alias("other"), F.col("m").alias("m2"))
+    both = rows_of.join(columns_of, ["token", "block", "other"]).select("m", "m2")
     share = similarity.percent / (100.0 + similarity.percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -285,15 +333,7 @@ def _hot_pairs(rows: DataFrame, hot: DataFrame, similarity: Similarity, block: i
                     lists = m.field("tokens")
                     sides.append(({n: field_of(n) for n in ("node", "n", "l", "root", "met")}, lists.flatten().to_numpy(), np.diff(np.asarray(lists.offsets))))
                 (x, x_tokens, x_sizes), (y, y_tokens, y_sizes) = sides
-                common = np.intersect1d(x_tokens, y_tokens)
-                grid = []
-                for tokens, sizes in ((x_tokens, x_sizes), (y_tokens, y_sizes)):
-                    at = np.minimum(np.searchsorted(common, tokens), len(common) - 1)
-                    hit = common[at] == tokens
-                    g = np.zeros((len(sizes), len(common)), dtype=np.float32)
-                    g[np.repeat(np.arange(len(sizes)), sizes)[hit], at[hit]] = 1
-                    grid.append(g)
-                met = grid[0] @ grid[1].T
+                met = _common(x_tokens, x_sizes, y_tokens, y_sizes)
                 n, m = x["n"][:, None].astype(np.int64), y["n"][None, :].astype(np.int64)
                 overlap = np.ceil((n + m) * share - 1e-9)
                 own = lambda v: np.ceil(v * similarity.percent / 100.0)
@@ -315,25 +355,27 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     when 100 * intersection >= percent * union.  component_id is the smallest id that
     links reach.  Rows that repeat an id are one document: they share its links.  A
     null id gets a null component and links nothing; an empty row is its own component.
-    Other columns are not read.
+    Texts of any length are compared whole; equal texts cost one node.  Other columns are
+    not read, whatever their names; an empty table gives no row.
     """
     spark = df.sparkSession
     similarity, work = Similarity(words, percent), Workspace(spark, "ngram-join")
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    facts = work.keep(_facts(docs, words), "facts")
-    named = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
-    total = facts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     with small_batches(spark):
-        frequent = frequent_shingles(named, words, total)
-    work.release()
-    order = _Order(similarity, frequent)
-    prefixes = _prefixes(named, order)
+        bits, scan = scanned(docs, words, work)
+    facts = scan.where("node IS NOT NULL").select("doc_id", "n", "node")
+    named = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
+    order = _Order(similarity, (bits, *frequent_shingles(scan)))
+    signatures = work.keep(_signatures(named, order), "signatures")
+    prefixes = signatures.select(F.explode("tokens").alias("token"), "node")
     met = prefixes.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("token")
     postings = work.keep(prefixes.join(met, "token").dropDuplicates(["token", "node"]), "postings", release=True)
     met_counts = work.keep(postings.groupBy("node").agg(F.count(F.lit(1)).alias("met")), "met")
     wanted = met_counts.count()
-    sets = work.keep(_set_table(named, order, key_filter(met_counts, "node")), "sets", release=True)
-    nodes = work.keep(met_counts.join(sets.select("node", "n", "l", "w"), "node").select("node", "n", "l", "w", "met"), "nodes")
+    nodes = work.keep(met_counts.join(signatures.select("node", "n", "l", "w").dropDuplicates(["node"]), "node").select("node", "n", "l", "w", "met"), "nodes", release=True)
+    work.forget("signatures")
+    holders = facts.where("doc_id IS NOT NULL").join(met_counts.select("node"), "node").groupBy("node").agg(F.min("doc_id").alias("doc_id")).select(F.xxhash64("doc_id").alias("h"))
+    sets = work.keep(_set_table(named, words, key_filter(met_counts, "node"), key_filter(work.keep(holders, "holders"), "h")), "sets", release=True)
     possible = _demanded(similarity) <= F.least("met", "reach")
 
     known = facts.where("n > 0 AND doc_id IS NOT NULL")
@@ -376,4 +418,6 @@ def similar_groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     placed = facts.join(labels, "node", "left").withColumn("root", F.when(F.col("n") > 0, F.coalesce("root", "node")))
     least = placed.where("root IS NOT NULL AND doc_id IS NOT NULL").groupBy("root").agg(F.min("doc_id").alias("least"))
     own = placed.join(least, "root", "left").withColumn("component", F.when(F.col("doc_id").isNotNull(), F.coalesce("least", "doc_id")))
-    return own.select("doc_id", F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
+    out = work.keep(own.select("doc_id", F.col("n").alias("n_shingles"), F.col("component").alias("component_id")), "groups", release=True)
+    work.forget_all_but("groups")
+    return out
