@@ -1,11 +1,13 @@
 """Nearest neighbours by inner product with a forest of random-projection trees.
 
-Every tree splits space by random hyperplanes at the median of a bounded sample.
-Vectors get one extra component that lifts them onto a sphere, so the largest
-inner product becomes the smallest angle.  All rows are filed under their leaf in
-each tree.  A query walks all trees with one priority queue, ordered by the largest
-margin crossed on the way, and opens leaves until they hold enough candidates.
-Leaf candidates are then reranked with exact inner products.
+Every tree splits space by random hyperplanes: of a few random directions the one along
+which a bounded sample spreads most, cut at the sample's median.  The depth follows the
+number of rows.  Vectors get one extra component that lifts them onto a sphere, so the
+largest inner product becomes the smallest angle.  All rows are filed under their leaf
+in each tree.  A query walks all trees with one priority queue, ordered by the summed
+squares of the margins crossed on the way, and opens leaves until they hold enough
+different vectors; the sample, filed like the rows, tells how many.  Leaf candidates
+are then reranked with exact inner products.
 """
 
 from __future__ import annotations
@@ -18,9 +20,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .frames import keep
+from .frames import Workspace
 
 
 @dataclass(frozen=True)
@@ -31,6 +34,8 @@ class Forest:
     offsets: np.ndarray  # trees, nodes
     depth: int
     largest_norm: float
+    sample: tuple[tuple[np.ndarray, ...], ...] = ()  # by tree and leaf: numbers of the sample's different vectors
+    sample_size: int = 0
 
     def lifted(self, vectors: np.ndarray) -> np.ndarray:
         rest = np.sqrt(np.maximum(0.0, self.largest_norm**2 - (vectors * vectors).sum(axis=1)))
@@ -38,35 +43,34 @@ class Forest:
 
     def leaves(self, vectors: np.ndarray) -> np.ndarray:
         """Leaf of every vector in every tree, as rows by trees."""
-        lifted, rows = self.lifted(vectors), np.arange(len(vectors))
+        lifted = self.lifted(vectors)
         out = np.empty((len(vectors), len(self.normals)), dtype=np.int64)
         for t in range(len(self.normals)):
-            side = lifted @ self.normals[t].T > self.offsets[t]
             node = np.zeros(len(vectors), dtype=np.int64)
             for _ in range(self.depth):
-                node = 2 * node + 1 + side[rows, node]
+                side = (lifted * self.normals[t][node]).sum(axis=1) > self.offsets[t][node]
+                node = 2 * node + 1 + side
             out[:, t] = node - (2**self.depth - 1)
         return out
 
-    def search(self, query: np.ndarray, sizes: np.ndarray, wanted: float) -> list[tuple[int, int]]:
-        """(tree, leaf) pairs in the order of the shared queue until they hold ``wanted`` rows."""
+    def search(self, query: np.ndarray, share: float) -> list[tuple[int, int]]:
+        """(tree, leaf) pairs in the order of the shared queue until they hold a share of the sample's different vectors."""
         lifted = np.append(query, 0.0)
         scale = max(float(np.linalg.norm(query)), 1e-300)
         margins = [(self.normals[t] @ lifted / scale - self.offsets[t] / self.largest_norm).tolist() for t in range(len(self.normals))]
         inner = 2**self.depth - 1
         queue = [(0.0, t, 0) for t in range(len(self.normals))]
-        found, held = [], 0
-        while queue and held < wanted:
+        found, held = [], np.zeros(self.sample_size, dtype=bool)
+        while queue and (share >= 1 or np.count_nonzero(held) < share * self.sample_size):
             crossed, t, node = heapq.heappop(queue)
             tree = margins[t]
             while node < inner:
                 margin = tree[node]
                 near = 2 * node + 2 if margin > 0 else 2 * node + 1
-                heapq.heappush(queue, (max(crossed, abs(margin)), t, 4 * node + 3 - near))
+                heapq.heappush(queue, (crossed + margin * margin, t, 4 * node + 3 - near))
                 node = near
-            if sizes[t, node - inner]:
-                found.append((t, node - inner))
-                held += sizes[t, node - inner]
+            found.append((t, node - inner))
+            held[self.sample[t][node - inner]] = True
         return found
 
 
@@ -85,37 +89,45 @@ def usable(df: DataFrame, id_col: str, vector_col: str) -> DataFrame:
 
 
 def _matrix(column) -> np.ndarray:
-    values = column.flatten().to_numpy(zero_copy_only=False)
+    values = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
     return values.reshape(len(column), -1) if len(column) else np.zeros((0, 0))
 
 
-def fit_forest(vectors: DataFrame, *, trees: int = 8, depth: int = 6, sample_rows: int = 16384, seed: int = 7) -> Forest | None:
-    """A forest whose medians come from at most ``sample_rows`` rows, taken by a hash of the id."""
+def fit_forest(vectors: DataFrame, rows: int, *, trees: int = 4, leaf_rows: int = 160, deepest: int = 12, directions: int = 4, sample_rows: int = 16384, seed: int = 7) -> Forest | None:
+    """A forest for ``rows`` vectors, fitted on at most ``sample_rows`` of them, taken by a hash of the id.
+
+    The depth leaves about ``leaf_rows`` rows in a leaf, up to ``deepest`` levels, which
+    bound what every task is sent.
+    """
     largest = vectors.agg(F.max(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))).first()[0]
     if largest is None:
         return None
     sample = vectors.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample_rows).select("v").toArrow().column("v").combine_chunks()
-    points = _matrix(sample)
-    top = float(np.sqrt(largest))
+    points = np.unique(_matrix(sample), axis=0)
+    depth = int(np.clip(round(np.log2(max(rows, 1) / leaf_rows)), 1, deepest))
     rng = np.random.default_rng(seed)
     nodes = 2**depth - 1
-    normals = rng.normal(size=(trees, nodes, points.shape[1] + 1))
-    normals /= np.linalg.norm(normals, axis=2, keepdims=True)
-    forest = Forest(normals, np.zeros((trees, nodes)), depth, top)
-    lifted = forest.lifted(points)
+    normals, offsets = np.zeros((trees, nodes, points.shape[1] + 1)), np.zeros((trees, nodes))
+    forest = Forest(normals, offsets, depth, float(np.sqrt(largest)))
+    lifted, filed = forest.lifted(points), []
     for t in range(trees):
         members = {0: np.arange(len(lifted))}
         for node in range(nodes):
             own = members.pop(node)
-            at = lifted[own] @ normals[t, node]
-            forest.offsets[t, node] = np.median(at) if len(own) else 0.0
-            right = at > forest.offsets[t, node]
+            tried = rng.normal(size=(directions, lifted.shape[1]))
+            tried /= np.linalg.norm(tried, axis=1, keepdims=True)
+            at = lifted[own] @ tried.T
+            best = int(np.argmax(at.std(axis=0))) if len(own) else 0
+            normals[t, node], offsets[t, node] = tried[best], np.median(at[:, best]) if len(own) else 0.0
+            right = at[:, best] > offsets[t, node]
             members[2 * node + 1], members[2 * node + 2] = own[~right], own[right]
-    return forest
+        filed.append(tuple(members[nodes + leaf] for leaf in range(2**depth)))
+    return Forest(normals, offsets, depth, forest.largest_norm, tuple(filed), len(points))
 
 
-def _blocks(pairs: dict, ids: np.ndarray, vectors: np.ndarray) -> pa.RecordBatch:
-    keys = list(pairs)
+def _blocks(pairs: dict, ids: np.ndarray, vectors: np.ndarray, width: str) -> pa.RecordBatch:
+    """Rows by tree and leaf; vectors in the width that their table has, which loses nothing."""
+    keys, vectors = list(pairs), vectors.astype(width)
     return pa.RecordBatch.from_arrays(
         [
             pa.array([k[0] for k in keys], pa.int32()),
@@ -131,7 +143,7 @@ def _blocks(pairs: dict, ids: np.ndarray, vectors: np.ndarray) -> pa.RecordBatch
 _BLOCK = "tree int, leaf int, n long, ids binary, vectors binary"
 
 
-def _file_rows(vectors: DataFrame, forest: Forest) -> DataFrame:
+def _file_rows(vectors: DataFrame, forest: Forest, width: str) -> DataFrame:
     """Blocks of rows by tree and leaf, one for each Arrow batch that has any there."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -145,12 +157,12 @@ def _file_rows(vectors: DataFrame, forest: Forest) -> DataFrame:
                     values, starts = np.unique(leaves[order, t], return_index=True)
                     for leaf, members in zip(values.tolist(), np.split(order, starts[1:]), strict=True):
                         pairs[t, leaf] = members
-                yield _blocks(pairs, ids, points)
+                yield _blocks(pairs, ids, points, width)
 
     return vectors.select("vec_id", "v").mapInArrow(run, _BLOCK)
 
 
-def _file_queries(queries: DataFrame, forest: Forest, sizes: np.ndarray, wanted: float) -> DataFrame:
+def _file_queries(queries: DataFrame, forest: Forest, share: float, width: str) -> DataFrame:
     """Blocks of queries by the leaves that their search opens."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -159,9 +171,9 @@ def _file_queries(queries: DataFrame, forest: Forest, sizes: np.ndarray, wanted:
                 ids, points = batch.column(0).to_numpy(), _matrix(batch.column(1))
                 pairs: dict = {}
                 for k in range(len(ids)):
-                    for key in forest.search(points[k], sizes, wanted):
+                    for key in forest.search(points[k], share):
                         pairs.setdefault(key, []).append(k)
-                yield _blocks({k: np.array(v) for k, v in pairs.items()}, ids, points)
+                yield _blocks({k: np.array(v) for k, v in pairs.items()}, ids, points, width)
 
     return queries.select("vec_id", "v").mapInArrow(run, _BLOCK)
 
@@ -178,77 +190,111 @@ def _packed(blocks: DataFrame, sizes: dict, rows: int) -> DataFrame:
     return blocks.groupBy("tree", "leaf", "salt").agg(F.collect_list(F.struct("ids", "vectors")).alias("b"))
 
 
-def _join_lists(column, k: int, dim: int) -> tuple[np.ndarray, np.ndarray]:
+def _join_lists(column, k: int, dim: int, width: str) -> tuple[np.ndarray, np.ndarray]:
     parts = column[k].as_py()
-    return np.frombuffer(b"".join(p["ids"] for p in parts), dtype=np.int64), np.frombuffer(b"".join(p["vectors"] for p in parts)).reshape(-1, dim)
-
-
-def _best(ids: np.ndarray, scores: np.ndarray, k: int) -> np.ndarray:
-    """Indices of the k largest scores, ties to smaller ids."""
-    return np.lexsort((ids, -scores))[:k]
-
-
-def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_share: float = 1.25, open_least: int = 2048, block_rows: int = 8192, **forest_settings) -> DataFrame:
+    return np.frombuffer(b"".join(p["ids"] for p in parts), dtype=np.int64), np.frombuffer(b"".join(p["vectors"] for p in parts), dtype=width).reshape(-1, dim).astype(np.float64)
+
+
+def _best(query: np.ndarray, ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The k best rows of each query, every id once with its best score, ties to smaller ids."""
+    order = np.lexsort((-scores, ids, query))
+    query, ids, scores = query[order], ids[order], scores[order]
+    once = np.ones(len(ids), dtype=bool)
+    once[1:] = (ids[1:] != ids[:-1]) | (query[1:] != query[:-1])
+    query, ids, scores = query[once], ids[once], scores[once]
+    order = np.lexsort((ids, -scores, query))
+    query, ids, scores = query[order], ids[order], scores[order]
+    place = np.arange(len(query)) - np.searchsorted(query, query)
+    return query[place < k], ids[place < k], scores[place < k]
+
+
+def _least_copies(points: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """The rows without those that k + 1 equal vectors with smaller ids keep out of every answer."""
+    if len(ids) <= k + 1:
+        return points, ids
+    whole = np.ascontiguousarray(points).view(np.dtype((np.void, points.itemsize * points.shape[1]))).ravel()
+    group = np.unique(whole, return_inverse=True)[1].ravel()
+    order = np.lexsort((ids, group))
+    place = np.arange(len(order)) - np.searchsorted(group[order], group[order])
+    stays = order[place <= k]
+    return points[stays], ids[stays]
+
+
+def _near(points: np.ndarray, ids: np.ndarray, wants: np.ndarray, asked: np.ndarray, k: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(queries, ids, scores) of all rows of a leaf that may be among a query's k, exactly scored."""
+    step = max(1, (1 << 21) // max(1, len(points)))
+    for low in range(0, len(asked), step):
+        want = wants[low : low + step]
+        rough = want @ points.T
+        if rough.shape[1] > k + 1:
+            # matrix products round by position; keep all that may be among the k, and multiply those anew
+            least = np.partition(rough, -k - 1, axis=1)[:, -k - 1] - 1e-9 * np.maximum(1.0, np.abs(rough).max(axis=1))
+            row, col = np.nonzero(rough >= least[:, None])
+        else:
+            row, col = (x.ravel() for x in np.indices(rough.shape))
+        for a in range(0, len(row), 1 << 15):
+            i, j = row[a : a + (1 << 15)], col[a : a + (1 << 15)]
+            other = ids[j] != asked[low + i]
+            i, j = i[other], j[other]
+            yield asked[low + i], ids[j], (points[j] * want[i]).sum(axis=1)
+
+
+def opened_share(rows: int, scale: float, power: float) -> float:
+    """The share of the different vectors that a query opens: scale * rows ** (power - 1), 1 at most."""
+    return min(1.0, scale * max(rows, 1) ** (power - 1))
+
+
+def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_scale: float = 1.7, open_power: float = 0.886, block_rows: int = 8192, **forest_settings) -> DataFrame:
     """(query_id, rank, vec_id, score): the k rows of ``df`` found nearest to each query.
 
-    A query opens leaves until they hold ``open_share * N`` rows, a row counted once in
-    every tree; up to ``open_least`` rows in all it opens every leaf, so the answer is exact.  A row with the query's id is its own and left out;
-    rows that repeat an id count once, with their best score.  Scores are double
-    inner products of the original vectors, ties go to the smaller id.  No usable
-    vector or query gives no row.
+    A query opens leaves until they hold about ``open_scale * N ** open_power`` of N
+    different vectors, whatever N is; copies of one vector count once.  A row with the
+    query's id is its own and left out; rows that repeat an id count once, with their
+    best score.  Scores are double inner products of the original vectors, ties go to
+    the smaller id.  Vectors that are null, empty, zero or hold null or non-finite
+    components take no part, nor do null ids; no usable vector or query gives no row.
+    Other columns, whatever their names, are not read.
     """
+    kind = df.schema[vector_col].dataType.elementType
+    width = "<f4" if isinstance(kind, T.FloatType) and queries.schema[vector_col].dataType.elementType == kind else "<f8"
     rows = usable(df, id_col, vector_col)
-    forest = fit_forest(rows, **forest_settings)
+    total = rows.count()
+    forest = fit_forest(rows, total, **forest_settings)
     schema = "query_id long, rank int, vec_id long, score double"
     if forest is None:
         return df.sparkSession.createDataFrame([], schema)
     dim = forest.normals.shape[2] - 1
-    index = keep(_file_rows(rows, forest), "forest")
+    work = Workspace(df.sparkSession, "forest")
+    index = work.keep(_file_rows(rows, forest, width), "index")
     counts = {(r[0], r[1]): int(r[2]) for r in index.groupBy("tree", "leaf").agg(F.sum("n")).collect()}  # trees * leaves rows at most
-    sizes = np.zeros((len(forest.normals), 2**forest.depth), dtype=np.int64)
-    for key, n in counts.items():
-        sizes[key] = n
-    total = int(sizes[0].sum())
-    wanted = open_share * total if total > open_least else float("inf")
-    asked = keep(_file_queries(usable(queries, id_col, vector_col).where(F.size("v") == dim), forest, sizes, wanted), "asked")
+    share = opened_share(total, open_scale, open_power)
+    asked = work.keep(_file_queries(usable(queries, id_col, vector_col).where(F.size("v") == dim), forest, share, width), "asked")
     load = {(r[0], r[1]): int(r[2]) for r in asked.groupBy("tree", "leaf").agg(F.sum("n")).collect()}
     pairs = _packed(index, counts, block_rows).withColumnRenamed("b", "rows").join(_packed(asked, load, block_rows // 8).select("tree", "leaf", F.col("b").alias("queries")), ["tree", "leaf"])
 
     def rerank(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        size = 0
 
-        def flush() -> pa.RecordBatch:
-            out = [pa.array(np.repeat(np.fromiter(best, np.int64, len(best)), [len(v[0]) for v in best.values()])), pa.array(np.concatenate([v[0] for v in best.values()])), pa.array(np.concatenate([v[1] for v in best.values()]))]
-            best.clear()
-            return pa.RecordBatch.from_arrays(out, names=["query_id", "vec_id", "score"])
+        def best() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            return _best(*(np.concatenate([h[i] for h in held]) for i in range(3)), k)
 
         for batch in batches:
             for at in range(batch.num_rows):
-                ids, points = _join_lists(batch.column(0), at, dim)
-                query_ids, wants = _join_lists(batch.column(1), at, dim)
-                for low in range(0, len(query_ids), 512):
-                    rough = wants[low : low + 512] @ points.T
-                    for q, near in enumerate(rough):
-                        query = int(query_ids[low + q])
-                        # matrix products round by position; keep all that may be among the k, and multiply those anew
-                        pick = np.flatnonzero(near >= np.partition(near, -k - 1)[-k - 1] - 1e-9 * max(1.0, np.abs(near).max())) if len(near) > k + 1 else np.arange(len(near))
-                        exact = (points[pick] * wants[low + q]).sum(axis=1)
-                        own = ids[pick]
-                        other = own != query
-                        own, exact = own[other], exact[other]
-                        if query in best:
-                            own, exact = np.concatenate([best[query][0], own]), np.concatenate([best[query][1], exact])
-                        order = np.lexsort((-exact, own))
-                        own, exact = own[order], exact[order]
-                        once = np.append(True, own[1:] != own[:-1]) if len(own) else np.zeros(0, bool)
-                        own, exact = own[once], exact[once]
-                        top = _best(own, exact, k)
-                        if len(top):
-                            best[query] = own[top], exact[top]
-                if len(best) > 20_000:
-                    yield flush()
-        if best:
-            yield flush()
+                ids, points = _join_lists(batch.column(0), at, dim, width)
+                points, ids = _least_copies(points, ids, k)
+                query_ids, wants = _join_lists(batch.column(1), at, dim, width)
+                for part in _near(points, ids, wants, query_ids, k):
+                    held.append(part)
+                    size += len(part[0])
+                    if size > 400_000:
+                        held = [best()]
+                        size = len(held[0][0])
+                        if size > 200_000:
+                            yield pa.RecordBatch.from_arrays([pa.array(c) for c in held[0]], names=["query_id", "vec_id", "score"])
+                            held, size = [], 0
+        if held:
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in best()], names=["query_id", "vec_id", "score"])
 
     found = pairs.select("rows", "queries").mapInArrow(rerank, "query_id long, vec_id long, score double")
     once = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))

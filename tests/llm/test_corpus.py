@@ -252,7 +252,7 @@ def test_forest_recall(spark):
     rng = np.random.default_rng(1)
     x = rng.normal(size=(1500, 24))
     df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
-    got = nearest(df, df.where("vec_id % 100 = 0"), k=10, open_least=100, depth=4, block_rows=64).collect()
+    got = nearest(df, df.where("vec_id % 100 = 0"), k=10, leaf_rows=90, block_rows=64).collect()
     hits = 0
     for q in range(0, 1500, 100):
         s = x @ x[q]
