@@ -1,11 +1,14 @@
 """WARC archives written in deterministic shards, and read back.
 
-Pages are cut into shards of consecutive ids by a histogram of their bytes, sorted
-within a shard and written as gzip members, one a record.  A file is closed when
-its compressed size passes a limit.  Every file is written under a temporary name
-and renamed when complete; a manifest, renamed into place last, lists the files
-that count, so leftovers of lost or repeated tasks are never read.  Headers, record
-ids and digests depend on the rows alone: the same table gives the same bytes.
+Pages are cut into shards of consecutive ids at quantiles of their bytes, which a
+sample by hash gives; digests order the pages of one id, so neither one id nor one
+range of ids makes a shard larger than others.  A shard is sorted and written as gzip
+members, one a record, and a file is closed when its compressed size passes a limit.
+Every file is written under a temporary name and renamed when complete to a name that
+ends in its digest: an attempt that is repeated makes the same file and leaves it be.
+A manifest, renamed into place last, lists the files that count, so leftovers of lost
+tasks are never read.  Headers, record ids and digests depend on the rows alone: the
+same table gives the same bytes.
 """
 
 from __future__ import annotations
@@ -18,19 +21,23 @@ import zlib
 from collections.abc import Iterator
 from urllib.parse import quote
 
+import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.fs as pafs
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .frames import shared_dir
+from .frames import Workspace, shared_dir
 
 # Fixed values of the archive format.
 VERSION = "WARC/1.1"
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 MANIFEST = "_manifest"
 _NAMESPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")
-_BUCKETS = 4096
+#: Bounds of what the driver holds: shards, and sampled rows a shard.
+MOST_SHARDS = 1 << 16
+_SAMPLED = 32
 
 
 def _filesystem(path: str) -> tuple[pafs.FileSystem, str]:
@@ -79,8 +86,7 @@ class _Roller:
     def add(self, record: bytes) -> None:
         member = gzip.compress(record, 6, mtime=0)
         if self.out is None:
-            self.name = f"pages-{self.shard:06d}-{self.sequence:05d}.warc.gz"
-            self.temporary = f"{self.folder}/_tmp-{self.name}-{uuid.uuid4().hex}"
+            self.temporary = f"{self.folder}/_tmp-{self.shard:06d}-{self.sequence:05d}-{uuid.uuid4().hex}"
             self.out, self.size, self.records, self.sha = self.fs.open_output_stream(self.temporary, compression=None), 0, 0, hashlib.sha1()
         self.out.write(member)
         self.sha.update(member)
@@ -92,15 +98,38 @@ class _Roller:
     def close(self) -> None:
         if self.out is not None:
             self.out.close()
-            self.fs.move(self.temporary, f"{self.folder}/{self.name}")
-            self.done.append((self.name, self.records, self.size, self.sha.hexdigest()))
+            name = f"pages-{self.shard:06d}-{self.sequence:05d}-{self.sha.hexdigest()[:16]}.warc.gz"
+            publish(self.fs, self.temporary, f"{self.folder}/{name}", self.size)
+            self.done.append((name, self.records, self.size, self.sha.hexdigest()))
             self.out, self.sequence = None, self.sequence + 1
 
 
-def _revisits(pages: DataFrame, least: int) -> DataFrame:
-    """(page_id, digest, refers_to, refers_url) of the pages that revisit another; no payload travels."""
+def publish(fs: pafs.FileSystem, temporary: str, final: str, size: int) -> None:
+    """Renames a complete file; a file of that name and size is the same one from another attempt, and stays."""
+
+    def there() -> bool:
+        info = fs.get_file_info(final)
+        return info.type == pafs.FileType.File and info.size == size
+
+    if not there():
+        try:
+            fs.move(temporary, final)
+            return
+        except OSError:
+            if not there():
+                raise
+    fs.delete_file(temporary)
+
+
+def _facts(pages: DataFrame, work: Workspace) -> DataFrame:
+    """(page_id, url, digest, n) of every row, written once: no payload is in it."""
     body = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
-    large = pages.where((F.length(body) >= least) & F.col("page_id").isNotNull()).select("page_id", "url", F.sha1(body).alias("digest"))
+    return work.keep(pages.select("page_id", "url", F.sha1(body).alias("digest"), F.length(body).cast("long").alias("n")), "facts")
+
+
+def _revisits(facts: DataFrame, least: int) -> DataFrame:
+    """(page_id, digest, refers_to, refers_url) of the pages that revisit another."""
+    large = facts.where((F.col("n") >= least) & F.col("page_id").isNotNull()).select("page_id", "url", "digest")
     groups = (
         large.groupBy("digest")
         .agg(F.max("page_id").alias("refers_to"), F.max_by("url", F.struct("page_id", "url")).alias("refers_url"), F.count(F.lit(1)).alias("n"))
@@ -110,42 +139,73 @@ def _revisits(pages: DataFrame, least: int) -> DataFrame:
     return large.select("page_id", "digest").distinct().join(groups, "digest").where("page_id <> refers_to")
 
 
-def _shard_of(pages: DataFrame, shard_bytes: int):
-    """(expression for a row's shard, number of shards) from a histogram of bounded size."""
-    low, high = pages.agg(F.min("page_id"), F.max("page_id")).first()
-    if low is None:
-        return F.lit(0), 1
-    step = (int(high) - int(low)) // _BUCKETS + 1
-    bucket = F.coalesce(F.floor((F.col("page_id").cast("decimal(38,0)") - F.lit(int(low))) / F.lit(step)), F.lit(0)).cast("int")
-    sizes = pages.groupBy(bucket.alias("b")).agg(F.sum(F.coalesce(F.octet_length("html"), F.lit(0)) + 600).alias("n"))
-    by_bucket = {r["b"]: int(r["n"]) for r in sizes.collect()}  # 4096 rows at most
-    shard, filled, shards = 0, 0, []
-    for b in range(_BUCKETS):
-        if filled and filled + by_bucket.get(b, 0) > shard_bytes:
-            shard, filled = shard + 1, 0
-        filled += by_bucket.get(b, 0)
-        shards.append(str(shard))
-    return F.element_at(F.split(F.lit(",".join(shards)), ","), bucket + 1).cast("int"), shard + 1
-
-
-def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", *, revisit_bytes: int = 1000, shard_bytes: int = 1 << 26, roll_bytes: int = 1 << 26, date: str = "2024-01-01T00:00:00Z") -> DataFrame:
+def _sort_keys(ids: list, digests: list) -> np.ndarray:
+    """Keys whose byte order is that of (page_id, digest), null ids first."""
+    made = [(b"\0" * 9 if i is None else b"\1" + (i + 2**63).to_bytes(8, "big")) + d.encode() for i, d in zip(ids, digests, strict=True)]
+    return np.array(made, dtype="S49") if made else np.zeros(0, "S49")
+
+
+def shard_bounds(facts: DataFrame, shard_bytes: int) -> np.ndarray:
+    """First keys of all shards but the first, from a sample by hash of about 32 rows a shard.
+
+    The sample depends on the rows alone, not on how they are partitioned.  Beyond
+    ``MOST_SHARDS`` shards grow instead.
+    """
+    weight = F.col("n") + 600
+    total, rows = facts.agg(F.coalesce(F.sum(weight), F.lit(0)), F.count(F.lit(1))).first()
+    shards = min(MOST_SHARDS, -(-int(total) // shard_bytes))
+    if shards < 2:
+        return _sort_keys([], [])
+    level = min(1.0, _SAMPLED * shards / rows)
+    hashed = F.pmod(F.xxhash64("page_id", "digest", "url"), F.lit(1 << 30)) < F.lit(int(level * (1 << 30)))
+    sample = facts.where(hashed).groupBy("page_id", "digest").agg(F.sum(weight).alias("w")).toArrow()  # 32 * MOST_SHARDS rows expected at most
+    keys = _sort_keys(sample.column("page_id").to_pylist(), sample.column("digest").to_pylist())
+    order = np.argsort(keys)
+    before = np.cumsum(sample.column("w").to_numpy()[order].astype(float))
+    if not len(before):
+        return _sort_keys([], [])
+    cuts = np.searchsorted(before, before[-1] * np.arange(1, shards) / shards)
+    return np.unique(keys[order][np.minimum(cuts, len(order) - 1)])
+
+
+def _shard_of(bounds: np.ndarray) -> Column:
+    """The shard of (page_id, digest); only these two columns go to Python workers."""
+
+    @F.pandas_udf("int")
+    def shard(ids: pd.Series, digests: pd.Series) -> pd.Series:
+        keys = _sort_keys([None if pd.isna(i) else int(i) for i in ids.astype(object)], digests.tolist())
+        return pd.Series(np.searchsorted(bounds, keys, side="right").astype(np.int32))
+
+    # as text: pandas would turn ids beside a null into inexact floats
+    return shard(F.col("page_id").cast("string"), F.col("digest"))
+
+
+def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", *, revisit_bytes: int = 1000, shard_bytes: int = 1 << 26, roll_bytes: int = 1 << 23, date: str = "2024-01-01T00:00:00Z") -> DataFrame:
     """Writes every row as a record and returns the manifest (file, records, bytes, sha1).
 
     Of rows with equal payloads of at least ``revisit_bytes`` bytes, the one with the
     largest id is the response and the others revisit it.  A null payload is empty; a
     row with a null id is a response that nothing refers to; rows that repeat the
     largest id are all responses.  An empty table writes an empty manifest.  Other
-    columns of the table are not read.  ``date`` stands for the missing fetch time.
+    columns of the table are not read, whatever their names.  ``date`` stands for the
+    missing fetch time.  A folder that has a manifest is left alone: FileExistsError.
+    Shards hold about ``shard_bytes`` of payload, files ``roll_bytes`` compressed.
     """
     spark = pages.sparkSession
-    pages = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(payload_col).cast("string").alias("html"))
-    shard, n = _shard_of(pages, shard_bytes)
+    pages = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(payload_col).cast("string").alias("html"))
+    manifest = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/{MANIFEST}")
+    store = manifest.getFileSystem(spark._jsc.hadoopConfiguration())
+    if store.exists(manifest):
+        raise FileExistsError(f"{folder} has a manifest already")
+    work = Workspace(spark, "warc-facts")
+    facts = _facts(pages, work)
+    bounds = shard_bounds(facts, shard_bytes)
     body = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
     rows = pages.select("page_id", "url", F.lit(1).alias("kind"), F.sha1(body).alias("digest"), body.alias("payload"))
-    notes = _revisits(pages, revisit_bytes).withColumn("kind", F.lit(0))
+    notes = _revisits(facts, revisit_bytes).withColumn("kind", F.lit(0))
     # a page's note, if any, sorts right before it: payloads are shuffled once only
-    both = rows.unionByName(notes, allowMissingColumns=True).withColumn("shard", shard)
-    placed = both.repartitionByRange(n, "shard").sortWithinPartitions("shard", "page_id", "digest", "kind", "url")
+    both = rows.unionByName(notes, allowMissingColumns=True).withColumn("shard", _shard_of(bounds))
+    placed = both.repartitionById(len(bounds) + 1, F.col("shard")).sortWithinPartitions("shard", "page_id", "digest", "kind", "url")
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, base = _filesystem(folder)
@@ -175,7 +235,9 @@ def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col:
     temporary = f"{folder}/{MANIFEST}-tmp-{uuid.uuid4().hex}"
     placed.mapInArrow(write, "file string, records long, bytes long, sha1 string").write.parquet(temporary)
     path = spark._jvm.org.apache.hadoop.fs.Path(temporary)
-    path.getFileSystem(spark._jsc.hadoopConfiguration()).rename(path, spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/{MANIFEST}"))
+    if store.exists(manifest) or not store.rename(path, manifest):
+        raise OSError(f"the manifest of {folder} could not be put in place")
+    work.forget("facts")
     return spark.read.parquet(f"{folder}/{MANIFEST}")
 
 
