@@ -237,12 +237,12 @@ def fi_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return representation.estimate_importance(v.select("feature_id", "cluster_id"), v.select("feature_id", "repr"), _known(repo)).select("feature_id", F.round("fi_est", 6).alias("fi_est"))
 
 
-@query("fi_estimate_normalised")
+@query("fi_estimate_normalised", _fi_sql(f"nullif(sum({_COS}), 0)").replace("m.mean, 0.0)", f"m.mean, (SELECT avg(fi) FROM {_KNOWN}))"))
 def fi_estimate_normalised(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Estimated importance, divided by the summed cosines; clusters without known members get the overall mean."""
     repo = Repository(spark, sf_dir)
     v = _sample_vectors(repo)
-    return representation.estimate_importance(v.select("feature_id", "cluster_id"), v.select("feature_id", "repr"), _known(repo), normalise=True, empty="global_mean")
+    return representation.estimate_importance(v.select("feature_id", "cluster_id"), v.select("feature_id", "repr"), _known(repo), normalise=True, empty="global_mean").select("feature_id", F.round("fi_est", 6).alias("fi_est"))
 
 
 @query("fi_error", f"SELECT round(avg(abs(fi_est - truth)), 6) AS mae, count(*) AS n FROM (SELECT vec_id, round((vec_id % 17) / 17.0::DOUBLE - 0.2, 9) AS truth, fi_est FROM embeddings JOIN ({_fi_sql('count(*)')}) ON feature_id = 'v' || vec_id WHERE vec_id % 5 <> 0)")
@@ -366,11 +366,21 @@ def path_aggregation_depth1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("c_custkey", "orders__count", *[F.round(c, 2).alias(c) for c in out.columns if c.startswith("orders__") and c != "orders__count"])
 
 
-@query("path_aggregation_depth2")
+def _stacked_sql() -> str:
+    inner = [("lineitem__count", "count(*)"), *[(f"lineitem__{fn}_{c}", f"{fn}({c})") for c in ("l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax") for fn in ("avg", "max")]]
+    far = f"(SELECT l_orderkey AS k, {', '.join(f'{e} AS {n}' for n, e in inner)} FROM lineitem GROUP BY l_orderkey)"
+    columns = ["o_totalprice", *[n for n, _ in inner]]
+    outer = [("orders__count", "count(*)"), *[(f"orders__{fn}_{c}", f"round({fn}({c}), 4)::DOUBLE") for c in columns for fn in ("avg", "max")]]
+    near = f"(SELECT o_custkey AS k, {', '.join(f'{e} AS {n}' for n, e in outer)} FROM orders LEFT JOIN {far} l ON o_orderkey = l.k GROUP BY o_custkey)"
+    return f"SELECT c_custkey, o.* EXCLUDE (k) FROM customer LEFT JOIN {near} o ON c_custkey = o.k"
+
+
+@query("path_aggregation_depth2", _stacked_sql())
 def path_aggregation_depth2(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Aggregates of orders, with those of their lineitems, on customers."""
     repo = Repository(spark, sf_dir)
-    return systems.path_aggregation(repo, repo.table("customer").select("c_custkey"), [path_of("e1r").edges[0], path_of("e5r").edges[0]], 2, ("count", "avg", "max"))
+    out = systems.path_aggregation(repo, repo.table("customer").select("c_custkey"), [path_of("e1r").edges[0], path_of("e5r").edges[0]], 2, ("count", "avg", "max"))
+    return out.select("c_custkey", "orders__count", *[F.round(F.col(c).cast("double"), 4).alias(c) for c in out.columns if c not in ("c_custkey", "orders__count")])
 
 
 @query("full_disjunction", "SELECT doc_id, source, quality, lang FROM (SELECT doc_id, source FROM documents) FULL JOIN (SELECT doc_id, quality FROM labels) USING (doc_id) FULL JOIN (SELECT doc_id, lang FROM documents) USING (doc_id)")

@@ -39,7 +39,22 @@ def previous_day_feature(spark: SparkSession, sf_dir: str) -> DataFrame:
 _ROUTES = (("e1>e2", ("e1", "e2")), ("e5r>e7>e4", ("e5r", "e7", "e4")))
 
 
-@query("exact_fi_strategies")
+def _strategies_sql() -> str:
+    """Gains of the binned region key by plain grouping, over all rows and over matched ones."""
+    parts = []
+    for name, route in _ROUTES:
+        rows = f"(SELECT y, f.v AS v FROM {sqltext.frm('orders_region_label')} LEFT JOIN {sqltext.fold(path_of(*route).edges, 'n_regionkey', 'first')} f ON {path_of(*route).edges[0].left_col} = f.key)"
+        score = lambda where: f"(SELECT sum(top) / sum(n)::DOUBLE FROM (SELECT max(c) AS top, sum(c) AS n FROM (SELECT v, y, count(*) AS c FROM {rows} {where} GROUP BY ALL) GROUP BY v))"  # noqa: B023, E731
+        plain = lambda where: f"(SELECT max(c) / sum(c)::DOUBLE FROM (SELECT y, count(*) AS c FROM {rows} {where} GROUP BY y))"  # noqa: B023, E731
+        hit = "WHERE v IS NOT NULL"
+        parts.append(f"SELECT '{name}' AS path_id, (SELECT avg(CASE WHEN v IS NULL THEN 0.0 ELSE 1.0 END) FROM {rows}) AS iq, {score(hit)} - {plain(hit)} AS matched, {score('')} - {plain('')} AS gain")
+    found = "\nUNION ALL ".join(parts)
+    return f"""WITH r AS ({found})
+SELECT path_id, 'matched slice' AS strategy, round(iq, 6) AS iq, round(matched, 6) AS fi FROM r UNION ALL SELECT path_id, 'rescaled', round(iq, 6), round(gain / iq, 6) FROM r
+UNION ALL SELECT path_id, 'gain as it is', round(iq, 6), round(gain, 6) FROM r UNION ALL SELECT 'any', 'best path', 1.0, round(max(gain), 6) FROM r"""
+
+
+@query("exact_fi_strategies", _strategies_sql())
 def exact_fi_strategies(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Importance of the region key through two routes: on the matched slice, rescaled by quality, best path."""
     repo = Repository(spark, sf_dir)
@@ -53,7 +68,7 @@ def exact_fi_strategies(spark: SparkSession, sf_dir: str) -> DataFrame:
         gain = whole["f"] - whole["one"]
         rows += [(name, "matched slice", iq, hit["f"] - hit["one"]), (name, "rescaled", iq, gain / iq), (name, "gain as it is", iq, gain)]
     best = max(r[3] for r in rows if r[1] == "gain as it is")
-    return spark.createDataFrame([*rows, ("any", "best path", 1.0, best)], "path_id string, strategy string, iq double, fi double")
+    return spark.createDataFrame([(a, b, round(iq, 6), round(fi, 6)) for a, b, iq, fi in [*rows, ("any", "best path", 1.0, best)]], "path_id string, strategy string, iq double, fi double")
 
 
 @query("grouped_models")
