@@ -244,7 +244,7 @@ def opened_share(rows: int, scale: float, power: float) -> float:
     return min(1.0, scale * max(rows, 1) ** (power - 1))
 
 
-def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_scale: float = 1.7, open_power: float = 0.886, block_rows: int = 8192, **forest_settings) -> DataFrame:
+def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_scale: float = 1.85, open_power: float = 0.886, block_rows: int = 8192, **forest_settings) -> DataFrame:
     """(query_id, rank, vec_id, score): the k rows of ``df`` found nearest to each query.
 
     A query opens leaves until they hold about ``open_scale * N ** open_power`` of N

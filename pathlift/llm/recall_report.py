@@ -53,4 +53,4 @@ def main(sf_dir: str, scales: list[float]) -> None:
 
 
 if __name__ == "__main__":
-    main(sys.argv[1], [float(x) for x in sys.argv[2:]] or [1.7])
+    main(sys.argv[1], [float(x) for x in sys.argv[2:]] or [1.85])

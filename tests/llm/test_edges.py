@@ -69,7 +69,7 @@ def test_nearest_with_clashes_repeats_and_ties(spark):
 
 def test_one_rule_opens_leaves_at_every_size(spark, data):
     """The share that is opened falls with the rows, and recall at 20 stays over 0.9 on the given vectors."""
-    shares = [opened_share(n, 1.7, 0.886) for n in (30, 500, 2000, 50_000, 10**6, 10**9)]
+    shares = [opened_share(n, 1.85, 0.886) for n in (30, 500, 2000, 50_000, 10**6, 10**9)]
     assert shares[0] == 1 and shares == sorted(shares, reverse=True) and shares[-1] < 0.2
     df = table(spark, data, "embeddings").select("vec_id", "embedding")
     queries = df.where("vec_id % 20 = 0")
