@@ -37,9 +37,9 @@ def read_inferred(r: Repository) -> DataFrame:
 @op("bucketed_table", "SELECT c_mktsegment, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY c_mktsegment")
 def bucketed_table(r: Repository) -> DataFrame:
     """Two tables saved in buckets of their join key: the join needs no shuffle of either."""
-    name = uuid.uuid4().hex
+    name, folder = uuid.uuid4().hex, files.shared_folder(r.spark, "buckets")
     for t, key in (("orders", "o_custkey"), ("customer", "c_custkey")):
-        r.table(t).write.bucketBy(8, key).sortBy(key).mode("overwrite").saveAsTable(f"{t}_{name}")
+        r.table(t).write.bucketBy(8, key).sortBy(key).option("path", f"{folder}/{t}").saveAsTable(f"{t}_{name}")
     orders, customer = r.spark.table(f"orders_{name}"), r.spark.table(f"customer_{name}")
     return orders.join(customer.hint("merge"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
 
