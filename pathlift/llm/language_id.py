@@ -9,10 +9,10 @@ no language owns, cost nothing.
 
 from __future__ import annotations
 
-import re
 from dataclasses import dataclass
 
 import pyarrow as pa
+import regex
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -22,13 +22,15 @@ from pyspark.sql.window import Window
 from .frames import add_columns
 
 UNDETERMINED = "und"
-_NO_LETTER = re.compile(r"[\W\d_]+")
+_LETTER = regex.compile(r"\p{L}")
+_NO_LETTER = regex.compile(r"[^\p{L}\p{M}]+")
 
 
 def normalised(text: str) -> bytes:
-    """Lower-case letters with single spaces between runs; empty if there is no letter."""
-    body = _NO_LETTER.sub(" ", text.lower()).strip()
-    return f" {body} ".encode() if body else b""
+    """Lower-case letters and their marks with single spaces between runs; empty if there is no letter (category L)."""
+    if not _LETTER.search(text):
+        return b""
+    return f" {_NO_LETTER.sub(' ', text.lower()).strip()} ".encode()
 
 
 @dataclass(frozen=True)
@@ -111,8 +113,10 @@ def fit_language_model(labelled: DataFrame, text_col: str = "text", lang_col: st
 def identify_language(df: DataFrame, model: LanguageModel, text_col: str = "text") -> DataFrame:
     """Adds lang_pred, score and rejected, from whole texts.
 
-    Null texts and texts without a letter give ``und``, 0.0 and true.  Columns of
-    these three names are replaced; all others are kept, repeated rows too.
+    Null texts and texts without a letter give ``und``, 0.0 and true, however long they
+    are; ties go to the language whose name comes first.  Columns of these three names
+    are replaced; all others are kept, repeated rows too.  A model without languages
+    answers ``und``; an empty table stays empty.
     """
 
     def make(batch: pa.RecordBatch) -> list:
