@@ -17,7 +17,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .frames import Workspace
+from .frames import Workspace, fresh
 
 _SPACE = r"[\x20\x09-\x0D]"
 #: Features that rules may test.
@@ -28,37 +28,39 @@ def text_statistics(df: DataFrame, text_col: str = "text") -> DataFrame:
     """Adds n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and what the features need.
 
     Words are runs of characters outside 0x20 and 0x09-0x0D.  Null texts count as
-    empty; every count is then zero.  Counts are of code points.
+    empty; every count is then zero.  Counts are of code points.  Columns of the output
+    names are replaced, others kept.
     """
+    TEXT, WORDS, LINES, HASHES, WINDOWS, ORDERED, TWICE = steps = fresh(df, "whole", "words", "lines", "word_hashes", "windows", "sorted_windows", "repeated")
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    step = df.withColumns({"__t": text})
-    step = step.withColumns({"__w": F.filter(F.split("__t", f"{_SPACE}+"), lambda w: w != ""), "__l": F.filter(F.split("__t", "\n"), lambda x: F.length(F.translate(x, " \t\n\x0b\f\r", "")) > 0)})
-    step = step.withColumn("__h", F.transform("__w", lambda w: F.xxhash64(w)))
-    n = F.size("__w")
-    windows = F.transform(F.slice("__h", F.lit(1), F.greatest(n - 2, F.lit(0))), lambda h, i: F.xxhash64(h, F.get("__h", i + 1), F.get("__h", i + 2)))
-    step = step.withColumn("__g", windows)
+    step = df.withColumns({TEXT: text})
+    step = step.withColumns({WORDS: F.filter(F.split(TEXT, f"{_SPACE}+"), lambda w: w != ""), LINES: F.filter(F.split(TEXT, "\n"), lambda x: F.length(F.translate(x, " \t\n\x0b\f\r", "")) > 0)})
+    step = step.withColumn(HASHES, F.transform(WORDS, lambda w: F.xxhash64(w)))
+    n = F.size(WORDS)
+    windows = F.transform(F.slice(HASHES, F.lit(1), F.greatest(n - 2, F.lit(0))), lambda h, i: F.xxhash64(h, F.get(HASHES, i + 1), F.get(HASHES, i + 2)))
+    step = step.withColumn(WINDOWS, windows)
     # positions of windows found twice or more: neighbours in sorted order are equal
-    ordered = F.sort_array(F.transform("__g", lambda g, i: F.struct(g.alias("g"), i.alias("i"))))
-    step = step.withColumn("__s", F.when(F.size(F.array_distinct("__g")) < F.size("__g"), ordered))
-    twice = F.filter("__s", lambda x, i: (i > 0) & (F.get("__s", i - 1)["g"] == x["g"]) | F.coalesce(F.get("__s", i + 1)["g"] == x["g"], F.lit(False)))
-    step = step.withColumn("__p", F.sort_array(F.transform(twice, lambda x: x["i"])))
+    ordered = F.sort_array(F.transform(WINDOWS, lambda g, i: F.struct(g.alias("g"), i.alias("i"))))
+    step = step.withColumn(ORDERED, F.when(F.size(F.array_distinct(WINDOWS)) < F.size(WINDOWS), ordered))
+    twice = F.filter(ORDERED, lambda x, i: (i > 0) & (F.get(ORDERED, i - 1)["g"] == x["g"]) | F.coalesce(F.get(ORDERED, i + 1)["g"] == x["g"], F.lit(False)))
+    step = step.withColumn(TWICE, F.sort_array(F.transform(twice, lambda x: x["i"])))
     start = F.struct(F.lit(0).alias("n"), F.lit(-3).alias("last"))
-    covered = F.aggregate("__p", start, lambda a, p: F.struct((a["n"] + F.least(F.lit(3), p - a["last"])).alias("n"), p.alias("last")), lambda a: a["n"])
-    whole = F.array_join("__w", "")
+    covered = F.aggregate(TWICE, start, lambda a, p: F.struct((a["n"] + F.least(F.lit(3), p - a["last"])).alias("n"), p.alias("last")), lambda a: a["n"])
+    whole = F.array_join(WORDS, "")
     step = step.withColumns(
         {
             "n_words": n.cast("long"),
             "word_chars": F.length(whole).cast("long"),
-            "n_symbols": F.regexp_count("__t", F.lit(r"[#*$%&|<>]")).cast("long"),
-            "n_dup_lines": (F.size("__l") - F.size(F.array_distinct("__l"))).cast("long"),
+            "n_symbols": F.regexp_count(TEXT, F.lit(r"[#*$%&|<>]")).cast("long"),
+            "n_dup_lines": (F.size(LINES) - F.size(F.array_distinct(LINES))).cast("long"),
             "n_repeat_words": F.coalesce(covered, F.lit(0)).cast("long"),
-            "n_lines": F.size("__l").cast("long"),
-            "n_letters": F.regexp_count("__t", F.lit(r"\p{L}")).cast("long"),
-            "n_distinct_words": F.size(F.array_distinct("__h")).cast("long"),
-            "n_chars": F.length("__t").cast("long"),
+            "n_lines": F.size(LINES).cast("long"),
+            "n_letters": F.regexp_count(TEXT, F.lit(r"\p{L}")).cast("long"),
+            "n_distinct_words": F.size(F.array_distinct(HASHES)).cast("long"),
+            "n_chars": F.length(TEXT).cast("long"),
         }
     )
-    return step.drop("__t", "__w", "__l", "__h", "__g", "__s", "__p")
+    return step.drop(*steps)
 
 
 def features() -> dict[str, Column]:
@@ -206,8 +208,11 @@ def base_failed() -> Column:
 def judge(df: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **settings) -> DataFrame:
     """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept) of every row.
 
-    A row is kept if it passes the base limits and no learned rule drops it.  Rows
-    with a null id are judged like the rest; repeated rows get equal verdicts.
+    A row is kept if it passes the base limits and no learned rule drops it.  Null and
+    empty texts have no words and fail the limits; texts of any length are counted whole.
+    Rows with a null id are judged like the rest; repeated rows get equal verdicts; other
+    columns are not read, whatever their names.  An empty table stays empty; without
+    labels of both kinds only the limits judge.
     """
     work = Workspace(df.sparkSession, "quality")
     found = work.keep(text_statistics(df.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))).drop("text"), "statistics")

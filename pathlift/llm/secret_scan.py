@@ -31,7 +31,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .frames import add_columns
+from .frames import add_columns, fresh
 
 # The kinds in their order, and the base patterns.
 KINDS = ("assign", "access", "hex")
@@ -352,13 +352,16 @@ def scan_secrets(df: DataFrame, text_col: str = "text", *, redacted_col: str | N
 
     Null texts count as empty: zero counts and empty strings.  ``redacted_col``
     also returns the text with every span replaced (null stays null).  Columns of
-    the output names are replaced, others kept; repeated rows are scanned alike.
+    the output names are replaced, others kept; repeated rows are scanned alike.  Of
+    spans that overlap all are listed, sorted by start, kind and end; texts of any
+    length are scanned whole; an empty table stays empty.
     """
     fields = [*[(f"n_{k}", T.LongType()) for k in KINDS], ("base_spans", T.StringType()), ("spans", T.StringType())]
     if redacted_col and redacted_col.lower() == text_col.lower():
         # the text itself is replaced: carry it under another name meanwhile
-        moved = scan_secrets(df, text_col, redacted_col="__redacted", max_layer_bytes=max_layer_bytes)
-        return moved.drop(text_col).withColumnRenamed("__redacted", text_col)
+        (meanwhile,) = fresh(df, "redacted")
+        moved = scan_secrets(df, text_col, redacted_col=meanwhile, max_layer_bytes=max_layer_bytes)
+        return moved.drop(text_col).withColumnRenamed(meanwhile, text_col)
     if redacted_col:
         fields.append((redacted_col, T.StringType()))
 
