@@ -173,10 +173,14 @@ def indexed(*groups: list[set[str]]) -> tuple[list[str], list[list[np.ndarray]]]
     return words, [[np.fromiter((number[w] for w in sorted(b)), np.int64, len(b)) for b in g] for g in groups]
 
 
-def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarray], *, landmarks: int = 256, most_words: int = 5_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
+def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarray], *, landmarks: int = 256, most_words: int = 5_000, strong_words: int = 4_000, significance: float = 18.0, ridge: float = 0.05, rounds: int = 4, seed: int = 5) -> ToxicityModel:
     """A model from the distinct words and the word numbers of toxic and clean documents.
 
-    With a class missing, the model answers the share of toxic documents for all.
+    Bounds of the fit: ``strong_words`` words that toxic documents prefer may become
+    witnesses, the first of them are chosen by how well they tell the labels apart;
+    ``most_words`` clean words, and as many hard ones among all words of clean documents,
+    stand against them.  With a class missing, the model answers the share of toxic
+    documents for all.
     """
     share = (len(positive) + 0.5) / (len(positive) + len(negative) + 1.0)
     constant = ToxicityModel(np.zeros(1 << _BITS, np.float32), 0.0, 0.0, float(np.log(share / (1 - share))))
@@ -190,7 +194,7 @@ def train(words: list[str], positive: list[np.ndarray], negative: list[np.ndarra
     expected = (df[1] + df[0]) * n1 / (n1 + n0)
     gain = 2 * (df[1] * np.log(np.maximum(df[1], 0.5) / np.maximum(expected, 1e-9)) + df[0] * np.log(np.maximum(df[0], 0.5) / np.maximum(df[1] + df[0] - expected, 1e-9)))
     strong = (df[1] > expected) & (gain >= significance) & (df[1] / n1 >= 8 * (df[0] + 0.5) / n0)
-    strong = np.flatnonzero(strong)[np.argsort(-gain[strong], kind="stable")][:4000].tolist()
+    strong = np.flatnonzero(strong)[np.argsort(-gain[strong], kind="stable")][:strong_words].tolist()
     # a word is a witness if it explains toxic documents that stronger words leave open,
     # or is not much weaker than those that explain its documents (words of one copied text are)
     holders: dict[int, list[int]] = {i: [] for i in strong}
@@ -271,10 +275,11 @@ def _curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
 def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: tuple[int, int] = (2000, 3500), **settings) -> ToxicityModel:
     """A model from labelled documents.
 
-    At most ``per_class`` toxic and clean documents, taken by a hash of their id, are
-    used; of documents that look like copies of one another one counts.
-    Rows with a null label, id or text teach nothing; of several labels of one id the
-    largest holds.
+    Bounds: at most ``per_class`` toxic and clean documents, taken by a hash of their id,
+    are used, and the numbers of words that ``train`` names; of documents that look like
+    copies of one another one counts.  Rows with a null label, id or text teach nothing;
+    of several labels of one id the largest holds; empty texts have no words; other
+    columns, whatever their names, are not read.
     """
     named = labels.where(F.col(id_col).isNotNull() & F.col(label_col).isNotNull()).groupBy(F.col(id_col).alias("id")).agg(F.max(F.col(label_col).cast("int")).alias("y"))
     chosen = []
@@ -308,8 +313,9 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, id_col: str = "doc_
 def score_toxicity(df: DataFrame, model: ToxicityModel, text_col: str = "text", *, threshold: float = 0.3, cache_words: int = 150_000) -> DataFrame:
     """Adds score (0 to 1) and predicted (1 from the threshold on) from whole texts.
 
-    Null and empty texts get the score of a text without any word.  Columns of these
-    names are replaced, others kept; repeated rows score alike.
+    Null and empty texts get the score of a text without any word; texts of any length
+    are read whole.  Columns of these names are replaced, others kept; repeated rows score
+    alike; an empty table stays empty.
     """
 
     known: dict[str, float] = {}  # word scores, kept by each Python worker for its tasks
