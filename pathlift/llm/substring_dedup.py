@@ -31,6 +31,10 @@ from .frames import Workspace
 from .key_filter import KeyFilter, key_filter
 from .textkernel import _BASE, _BASE_INVERSE, Words, _powers, gram_hashes, mix64, row_slices, string_buffers
 
+#: A key with more rows than this, and than a ten-thousandth of all, is spread over several tasks.
+HOT_ROWS = 50_000
+_OTHER_WORDS = np.uint64(0xD6E8FEB86659FD93)
+
 
 def _stretches(words: Words, window: int, anchor: int) -> tuple[np.ndarray, ...]:
     """(row, first window, windows, anchor hash, context hash) of all anchors of the rows.
@@ -86,21 +90,39 @@ def _scan(docs: DataFrame, window: int, anchor: int, stretches: bool) -> DataFra
 
 
 def _windows(docs: DataFrame, window: int) -> DataFrame:
-    """(hash, doc_id, mark, first) of the windows in listed stretches of each document."""
+    """(w1, w2, doc_id, mark, first) of the windows in listed stretches of each document; two hashes tell windows apart."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, marks = batch.column(0).to_numpy(), batch.column(2).to_numpy()
             offsets, raw = string_buffers(batch.column(1))
             for k in range(batch.num_rows):
-                words = Words(offsets, raw, k, k + 1)
-                grams = gram_hashes(words.hashes(), window)
+                h = Words(offsets, raw, k, k + 1).hashes()
                 at = np.unique(np.concatenate([np.arange(s["first"], s["first"] + s["n"]) for s in batch.column(3)[k].as_py()]))
+                both = [gram_hashes(x, window)[at].view(np.int64) for x in (h, mix64(h ^ _OTHER_WORDS))]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(grams[at].view(np.int64)), pa.array(np.full(len(at), ids[k])), pa.array(np.full(len(at), marks[k], dtype=np.int32)), pa.array(at.astype(np.int32))], names=["window", "doc_id", "mark", "first"]
+                    [*map(pa.array, both), pa.array(np.full(len(at), ids[k])), pa.array(np.full(len(at), marks[k], dtype=np.int32)), pa.array(at.astype(np.int32))], names=["w1", "w2", "doc_id", "mark", "first"]
                 )
 
-    return docs.mapInArrow(run, "window long, doc_id long, mark int, first int")
+    return docs.mapInArrow(run, "w1 long, w2 long, doc_id long, mark int, first int")
+
+
+def with_lookup(rows: DataFrame, lookup: DataFrame, keys: list[str], spread_by: list[str]) -> DataFrame:
+    """``rows`` joined with the one row that ``lookup`` (keys, rows_of_key, ...) has of their keys.
+
+    Hot keys are dealt over several tasks: their rows by a hash of ``spread_by``, their
+    row of the lookup once for each part.  There are at most ten thousand of them.
+    """
+    total = lookup.agg(F.coalesce(F.sum("rows_of_key"), F.lit(0))).first()[0]
+    limit = max(HOT_ROWS, total // 10_000)
+    hot = lookup.where(F.col("rows_of_key") > limit).select(*keys, F.ceil(F.col("rows_of_key") / limit).cast("int").alias("parts"))
+    if hot.isEmpty():
+        return rows.join(lookup.drop("rows_of_key"), keys)
+    parts = F.coalesce("parts", F.lit(1))
+    dealt = rows.join(F.broadcast(hot), keys, "left").withColumn("part", F.pmod(F.xxhash64(*spread_by), parts).cast("int")).drop("parts")  # total / limit rows at most
+    every_part = F.sequence(F.lit(0), F.greatest(F.lit(1), F.when(F.col("rows_of_key") > limit, F.ceil(F.col("rows_of_key") / limit)).otherwise(1)).cast("int") - 1)
+    copied = lookup.withColumn("part", F.explode(every_part))
+    return dealt.join(copied.drop("rows_of_key"), [*keys, "part"]).drop("part")
 
 
 def _listed(docs: DataFrame, listed: KeyFilter) -> DataFrame:
@@ -115,18 +137,22 @@ def _listed(docs: DataFrame, listed: KeyFilter) -> DataFrame:
 
 def find_repeats(docs: DataFrame, window: int, anchor: int, work: Workspace) -> DataFrame:
     """(doc_id, mark, spans): runs of windows (first, n) that a smaller id holds too."""
-    seeds = _scan(docs, window, anchor, False).groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
-    shared = work.keep(_scan(docs, window, anchor, True).join(seeds, "anchor"), "shared", release=True)
-    classes = work.keep(shared.groupBy("anchor", "context").agg(F.min("doc_id").alias("lo")), "classes", release=True)
-    whole = shared.join(classes.select("context", "anchor", "lo"), ["anchor", "context"])
+    count = F.count(F.lit(1)).alias("rows_of_key")
+    seeds = _scan(docs, window, anchor, False).groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), count).where("lo < hi")
+    seeds = work.keep(seeds.select("anchor", "rows_of_key"), "seeds", release=True)
+    shared = work.keep(with_lookup(_scan(docs, window, anchor, True), seeds, ["anchor"], ["doc_id", "first"]), "shared", release=True)
+    work.forget("seeds")
+    classes = work.keep(shared.groupBy("anchor", "context").agg(F.min("doc_id").alias("lo"), count), "classes", release=True)
+    whole = with_lookup(shared, classes, ["anchor", "context"], ["doc_id", "first"])
     matched = whole.where("doc_id > lo").select("doc_id", "mark", "first", "n")
     # first documents of stretches around anchors with several different stretches
     several = classes.groupBy("anchor").agg(F.min("context").alias("a"), F.max("context").alias("b")).where("a <> b").select("anchor")
-    heads = work.keep(whole.where("doc_id = lo").join(several, "anchor").groupBy("doc_id", "mark").agg(F.collect_set(F.struct("first", "n")).alias("s")), "heads")
+    firsts = shared.join(classes.select("context", "anchor", F.col("lo").alias("doc_id")), ["anchor", "context", "doc_id"])
+    heads = work.keep(firsts.join(several, "anchor").groupBy("doc_id", "mark").agg(F.collect_set(F.struct("first", "n")).alias("s")), "heads")
     listed = _listed(docs, key_filter(heads.select(F.xxhash64("doc_id").alias("h")), "h"))
     windows = work.keep(_windows(listed.join(heads, ["doc_id", "mark"]).select("doc_id", "text", "mark", "s"), window), "windows", release=True)
-    least = windows.groupBy("window").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi")
-    single = windows.join(least, "window").where("doc_id > lo").select("doc_id", "mark", "first", F.lit(1).cast("byte").alias("n"))
+    least = windows.groupBy("w1", "w2").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi")
+    single = windows.join(least, ["w1", "w2"]).where("doc_id > lo").select("doc_id", "mark", "first", F.lit(1).cast("byte").alias("n"))
     return matched.unionByName(single).groupBy("doc_id", "mark").agg(F.collect_list(F.struct("first", "n")).alias("spans"))
 
 
@@ -149,12 +175,14 @@ def remove_repeats(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     inside a window of ``window`` words that also starts in a row with a smaller id;
     windows are judged on the input.  Null and empty texts have no words.  Rows with
     a null id keep all words and are no source for others.  Rows that repeat an id
-    never remove each other's words.  Other columns are not read; ties cannot occur.
+    never remove each other's words.  Texts of any length are judged whole.  Other
+    columns are not read, whatever their names; ties cannot occur; an empty table gives
+    no row.
     """
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.hash(F.col(text_col).cast("string")).alias("mark"))
     work = Workspace(df.sparkSession, "repeats")
     found = work.keep(find_repeats(docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()), window, anchor, work), "spans", release=True)
-    work.forget("shared", "classes", "heads", "windows")
+    work.forget_all_but("spans")
     listed = key_filter(found.select(F.xxhash64("doc_id").alias("h")), "h")
     fields = [("n_words", T.LongType()), ("n_removed", T.LongType()), ("kept_sha256", T.StringType())]
     if with_text:
