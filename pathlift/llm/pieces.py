@@ -9,7 +9,9 @@ complete segmentations in order of score, so the first n are the n best.
 A space opens every piece that holds one, hence no piece crosses from one word to the
 next, and the best ways of a text combine those of its words.  A batch therefore runs
 the forward pass (best and second best score) over its distinct words at once, and the
-backward search only in the few words where a text's best alternatives can lie.
+backward search only in the few words where a text's best alternatives can lie.  Each of
+the n best ways comes back with its ids: the best ids of the text, with those of the
+words in which the way departs put in their place.
 
 Scores.  Vocabularies of unigram models carry log probabilities (``score="model"``).
 Byte-pair vocabularies carry merge ranks, which do not add up along a path;
@@ -21,7 +23,7 @@ from __future__ import annotations
 import hashlib
 import heapq
 import itertools
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 from pathlib import Path
 
@@ -85,18 +87,33 @@ class Pieces:
         return best
 
     def nbest(self, text: str, n: int) -> list[tuple[float, tuple[int, ...]]]:
-        """The n best segmentations (score, ids) of a marked text, best first, ties to smaller ids."""
+        """The n best segmentations (score, ids) of a marked text, best first.
+
+        Ways of one score come in the order of the search, which goes on with the entry
+        nearest to the start; it is the same for the same text.  A node is expanded n
+        times at most, and entries share the ids behind them as links, so memory follows
+        the length of the text.
+        """
         ahead = self.forward(text)
-        # (negated score of the whole way, ids behind, node, score behind)
-        queue = [(-ahead[-1], (), len(text), 0.0)]
+        queue: list[tuple] = [(-ahead[-1], len(text), 0, 0.0, None)]  # negated score of the whole way, node, order, score behind, ids behind
+        visits = [0] * (len(text) + 1)
         found: list[tuple[float, tuple[int, ...]]] = []
+        made = 0
         while queue and len(found) < n:
-            _, ids, node, behind = heapq.heappop(queue)
+            _, node, _, behind, link = heapq.heappop(queue)
             if node == 0:
-                found.append((behind, ids))
+                ids: list[int] = []
+                while link is not None:
+                    own, link = link
+                    ids += own
+                found.append((behind, tuple(ids)))
+                continue
+            visits[node] += 1
+            if visits[node] > n:
                 continue
             for start, score, own in self._edges(text, node):
-                heapq.heappush(queue, (-round(ahead[start] + score + behind, 9), own + ids, start, score + behind))
+                made += 1
+                heapq.heappush(queue, (-round(ahead[start] + score + behind, 9), start, made, score + behind, (own, link)))
         return found
 
     # --- many words ---------------------------------------------------------
@@ -139,11 +156,12 @@ class Pieces:
                 for low in range(0, len(members), 8_000):
                     part = members[low : low + 8_000]
                     best[part], second[part], ids, count, odd = self._same_length([words[i] for i in part.tolist()], length)
-                    for k in odd.tolist():  # characters that several bytes spell
+                    # characters that several bytes spell; ties, which the backward search settles
+                    plain = best[part] - second[part] > 1e-8
+                    plain[odd] = False
+                    for k in np.flatnonzero(~plain).tolist():
                         i = int(part[k])
                         parts[i] = np.array(self.nbest(words[i], 1)[0][1], dtype=np.int32)
-                    plain = np.ones(len(part), dtype=bool)
-                    plain[odd] = False
                     sizes[part] = count
                     flat.append(ids[np.repeat(plain, count)])
                     placed += part[plain].tolist()
@@ -258,21 +276,21 @@ def marked_words(text: str) -> list[str]:
     return [SPACE + w for w in text.replace(SPACE, _LITERAL).split(" ")] if text else []
 
 
-def combined(best: float, losses: np.ndarray, words: list[str], pieces: Pieces, n: int, cache: dict[str, list]) -> list[float]:
-    """The n best scores of a text from its best one and what each word's second best way loses.
+def combined(losses: np.ndarray, words: list[str], searched: Callable[[str], list[tuple[float, tuple[int, ...]]]], n: int) -> list[tuple[float, tuple[tuple[int, int], ...]]]:
+    """(loss, departures) of the n best ways of a text, from what each word's second best way loses.
 
+    A departure is (word, rank): that word takes its way of that rank, 0 being the best.
     A way among the n best departs from the best one only in words whose second best
-    loses least: n - 1 of them suffice.  Those are searched backward for their own n best.
+    loses least: n - 1 of them suffice.  Those are searched backward for their own n
+    best.  Ties go to departures in earlier words.
     """
-    few = np.argpartition(losses, n - 2)[: n - 1] if len(losses) >= n else np.arange(len(losses))
-    ways = [0.0]
+    few = np.sort(np.argsort(losses, kind="stable")[: n - 1])
+    ways: list[tuple[float, tuple[tuple[int, int], ...]]] = [(0.0, ())]
     for i in few[np.isfinite(losses[few])].tolist():
-        word = words[i]
-        if word not in cache:
-            scores = [s for s, _ in pieces.nbest(word, n)]
-            cache[word] = [scores[0] - s for s in scores]
-        ways = heapq.nsmallest(n, (a + b for a, b in itertools.product(ways, cache[word])))
-    return [best - w for w in ways]
+        found = searched(words[i])
+        own = [(found[0][0] - score, ((i, rank),) if rank else ()) for rank, (score, _) in enumerate(found)]
+        ways = heapq.nsmallest(n, ((a + b, x + y) for (a, x), (b, y) in itertools.product(ways, own)), key=lambda w: (round(w[0], 9), w[1]))
+    return ways
 
 
 class _Store:
@@ -284,9 +302,19 @@ class _Store:
 
     def clear(self) -> None:
         self.number: dict[str, int] = {}
-        self.searched: dict[str, list] = {}
+        self.searched: dict[tuple[str, int], list[tuple[float, tuple[int, ...]]]] = {}
         self.best, self.loss, self.body, self.starts, self.sizes, self.exact = (np.zeros(0, t) for t in (float, float, np.int32, np.int64, np.int64, bool))
 
+    def ways(self, n: int) -> Callable[[str], list[tuple[float, tuple[int, ...]]]]:
+        """The n best ways of a word, searched once."""
+
+        def of(word: str) -> list[tuple[float, tuple[int, ...]]]:
+            if (word, n) not in self.searched:
+                self.searched[word, n] = self.pieces.nbest(word, n)
+            return self.searched[word, n]
+
+        return of
+
     def add(self, words: list[str]) -> None:
         found = self.pieces.many(words)
         self.number.update(zip(words, range(len(self.number), len(self.number) + len(words)), strict=True))
@@ -312,16 +340,43 @@ class _Store:
         ends = np.cumsum(sizes)
         return self.body[np.repeat(self.starts[at] - ends + sizes, sizes) + np.arange(int(ends[-1]) if len(ends) else 0)]
 
-
-def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n: int = 4, with_ids: bool = True, cache_words: int = 400_000) -> DataFrame:
-    """Adds n_pieces, [ids,] nbest_scores (best first, n at most), ids_digest and decoded.
-
-    ``decoded`` says whether the ids give back the whole text.  Null and empty texts
-    have no pieces, no scores and decode to themselves.  Columns of these names are
-    replaced, others kept; repeated rows encode alike.
+    def nbest(self, words: list[str], n: int) -> tuple[list[float], list[np.ndarray], bool]:
+        """(scores, ids) of the n best ways of a text, best first, and whether its best ids spell it."""
+        if not words:
+            return [], [], True
+        at = np.fromiter(map(self.number.__getitem__, words), np.int64, len(words))
+        whole, of = self.ids(at), self.ways(n)
+        best, ends = float(self.best[at].sum()), np.cumsum(self.sizes[at])
+        scores, ids = [], []
+        for loss, departures in combined(self.loss[at], words, of, n):
+            parts, done = [], 0
+            for i, rank in departures:
+                parts += [whole[done : ends[i] - self.sizes[at[i]]], np.array(of(words[i])[rank][1], dtype=np.int32)]
+                done = ends[i]
+            scores.append(best - loss)
+            ids.append(np.concatenate([*parts, whole[done:]]) if parts else whole)
+        return scores, ids, bool(self.exact[at].all())
+
+
+def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n: int = 4, ids: str = "nbest", cache_words: int = 400_000) -> DataFrame:
+    """Adds n_pieces, [ids, [nbest_ids,]] nbest_scores, nbest_digests, ids_digest and decoded.
+
+    ``ids`` says which ids come back: "nbest" those of the n best ways (and of the best
+    one alone), "best" only the latter, "none" the digests alone.  nbest columns are best
+    first, with fewer than n entries where a text has fewer ways; ties go to ways that
+    depart in earlier words, and in a word to the one that the search meets first.  Digests are of the ids as
+    32-bit little-endian numbers (SHA-1).  ``decoded`` says whether the ids give back the
+    whole text.  Null and empty texts have no pieces and no ways, and decode to
+    themselves.  Texts of any length are encoded whole.  Columns of these names are
+    replaced, others kept; repeated rows encode alike; an empty table stays empty.
     """
-    fields = [("n_pieces", T.LongType()), *([("ids", T.ArrayType(T.IntegerType()))] if with_ids else []), ("nbest_scores", T.ArrayType(T.DoubleType())), ("ids_digest", T.StringType()), ("decoded", T.BooleanType())]
+    one = T.ArrayType(T.IntegerType())
+    shown = {"nbest": [("ids", one), ("nbest_ids", T.ArrayType(one))], "best": [("ids", one)], "none": []}[ids]
+    fields = [("n_pieces", T.LongType()), *shown, ("nbest_scores", T.ArrayType(T.DoubleType())), ("nbest_digests", T.ArrayType(T.StringType())), ("ids_digest", T.StringType()), ("decoded", T.BooleanType())]
+    types = [pa.int64(), *[pa.list_(pa.int32()), pa.list_(pa.list_(pa.int32()))][: len(shown)], pa.list_(pa.float64()), pa.list_(pa.string()), pa.string(), pa.bool_()]
     store: list[_Store] = []  # made in the worker
+    nothing = np.zeros(0, np.int32)
+    digest = lambda found: hashlib.sha1(found.tobytes()).hexdigest()
 
     def make(batch: pa.RecordBatch) -> list:
         if not store:
@@ -337,11 +392,25 @@ def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n
             if new := list(set(itertools.chain.from_iterable(split)) - known.number.keys()):
                 known.add(new)
             for words in split:
-                at = np.fromiter(map(known.number.__getitem__, words), np.int64, len(words))
-                ids = known.ids(at)
-                scores = combined(float(known.best[at].sum()), known.loss[at], words, pieces, n, known.searched) if words else []
-                rows.append((len(ids), *([ids] if with_ids else []), scores, hashlib.sha1(ids.tobytes()).hexdigest(), bool(known.exact[at].all())))
-        types = [pa.int64(), *([pa.list_(pa.int32())] if with_ids else []), pa.list_(pa.float64()), pa.string(), pa.bool_()]
+                scores, ways, exact = known.nbest(words, n)
+                digests = [digest(w) for w in ways]
+                best = ways[0] if ways else nothing
+                rows.append((len(best), *[best, ways][: len(shown)], scores, digests, digests[0] if ways else digest(nothing), exact))
         return [pa.array([r[i] for r in rows], t) for i, t in enumerate(types)]
 
     return add_columns(df, fields, make)
+
+
+def decode_documents(df: DataFrame, pieces: Pieces, ids_col: str = "ids", text_col: str = "text") -> DataFrame:
+    """Replaces or adds ``text_col``: the text that a column of ids spells.
+
+    Null ids give null, no ids the empty text; ids that no piece has raise an error.  A
+    literal mark of spaces, which is spelled by its bytes, comes back as itself.  Other
+    columns are kept, repeated rows too; an empty table stays empty.
+    """
+
+    def make(batch: pa.RecordBatch) -> list:
+        column = batch.column(batch.schema.names.index(ids_col))
+        return [pa.array([None if x is None else pieces.decode(x) if x else "" for x in (v.as_py() for v in column)], pa.string())]
+
+    return add_columns(df, [(text_col, T.StringType())], make)

@@ -61,8 +61,8 @@ def op6_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op7_sentencepiece_nbest(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .pieces import encode_documents, load_pieces
 
-    found = encode_documents(table(spark, sf_dir, "documents").select("doc_id", "text"), load_pieces(PIECE_MODEL), with_ids=False)
-    return found.select("doc_id", "n_pieces", F.get("nbest_scores", F.lit(0)).alias("best_score"), "nbest_scores", "ids_digest", "decoded")
+    found = encode_documents(table(spark, sf_dir, "documents").select("doc_id", "text"), load_pieces(PIECE_MODEL), ids="none")
+    return found.select("doc_id", "n_pieces", F.get("nbest_scores", F.lit(0)).alias("best_score"), "nbest_scores", "nbest_digests", "ids_digest", "decoded")
 
 
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
