@@ -12,8 +12,8 @@ import pytest
 from pyspark.sql import functions as F
 from test_corpus import MODEL, SECRET, corpus, every_way, frame, groups_of, repeats, sentence, toxic_corpus
 
+from pathlift.llm import mixing, substring_dedup, warc
 from pathlift.llm import pieces as pc
-from pathlift.llm import substring_dedup, warc
 from pathlift.llm.ann_forest import nearest, opened_share, usable
 from pathlift.llm.frames import Workspace, fresh, held_out, table
 from pathlift.llm.language_id import fit_language_model, identify_language, normalised
@@ -236,7 +236,7 @@ def test_secrets_of_odd_rows(spark):
 # --- mixing -------------------------------------------------------------------------------------------------
 
 
-def test_mixing_keeps_columns_and_converges(spark):
+def test_mixing_keeps_columns_and_converges(spark, monkeypatch):
     df = clashing(frame(spark, odd_rows())).withColumn("source", F.lit("a")).withColumn("lang", F.when(F.col("doc_id") > 3, "x")).withColumn("__kept", F.lit(7))
     out = mix(df, {"source": F.col("source"), "lang": F.col("lang")}, budget_share=1.0)
     assert set(df.columns) | {"n_tokens"} == set(out.columns)
@@ -245,10 +245,10 @@ def test_mixing_keeps_columns_and_converges(spark):
     cells = spark.createDataFrame([("a", "x", 100), ("a", "y", 50), ("b", "x", 10), ("b", "y", 500), ("c", "y", 3), ("d", "x", 0)], "source string, lang string, tokens long")
     shares = lambda **v: spark.createDataFrame(list(v.items()), "value string, share double")
     targets = {"source": shares(a=0.5, b=0.3, c=0.2, absent=0.7), "lang": shares(x=0.25, y=0.75)}
-    raked = rake(cells, ["source", "lang"], targets, Workspace(spark, "t"), tolerance=1e-12)
-    assert raked.gap <= 1e-12
+    raked = rake(cells, ["source", "lang"], targets, Workspace(spark, "t"), tolerance=1e-7)
+    assert raked.gap <= 1e-7
     weight = raked.cells.toPandas()
-    assert np.allclose(weight.groupby("source")["weight"].sum()[["a", "b", "c"]], [0.5, 0.3, 0.2]) and np.allclose(weight.groupby("lang")["weight"].sum(), [0.25, 0.75])
+    assert np.allclose(weight.groupby("source")["weight"].sum()[["a", "b", "c"]], [0.5, 0.3, 0.2], atol=1e-6) and np.allclose(weight.groupby("lang")["weight"].sum(), [0.25, 0.75], atol=1e-6)
     # brute force: the same factors by plain loops
     w = {(s, g): float(t) for s, g, t in cells.where("tokens > 0").collect()}
     for _ in range(500):
@@ -257,7 +257,10 @@ def test_mixing_keeps_columns_and_converges(spark):
             for key, v in w.items():
                 now[key[axis]] += v
             w = {key: v * goal[key[axis]] / now[key[axis]] for key, v in w.items()}
-    assert all(abs(r.weight - w[r.source, r.lang]) < 1e-9 for r in weight.itertuples())
+    assert all(abs(r.weight - w[r.source, r.lang]) < 1e-5 for r in weight.itertuples())
+    monkeypatch.setattr(mixing, "LITERAL_VALUES", 2)  # one stratum as a literal map, the other as a table
+    other = rake(cells, ["source", "lang"], targets, Workspace(spark, "t"), tolerance=1e-3).cells.toPandas()
+    assert all(abs(r.weight - w[r.source, r.lang]) < 1e-2 for r in other.itertuples())
     impossible = rake(cells, ["source", "lang"], {"source": shares(c=1.0), "lang": shares(x=1.0)}, Workspace(spark, "t"), most_passes=5)
     assert impossible.passes == 5 and impossible.gap > 0.1
 
