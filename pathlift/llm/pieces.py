@@ -156,12 +156,11 @@ class Pieces:
                 for low in range(0, len(members), 8_000):
                     part = members[low : low + 8_000]
                     best[part], second[part], ids, count, odd = self._same_length([words[i] for i in part.tolist()], length)
-                    # characters that several bytes spell; ties, which the backward search settles
-                    plain = best[part] - second[part] > 1e-8
-                    plain[odd] = False
-                    for k in np.flatnonzero(~plain).tolist():
+                    for k in odd.tolist():  # characters that several bytes spell
                         i = int(part[k])
                         parts[i] = np.array(self.nbest(words[i], 1)[0][1], dtype=np.int32)
+                    plain = np.ones(len(part), dtype=bool)
+                    plain[odd] = False
                     sizes[part] = count
                     flat.append(ids[np.repeat(plain, count)])
                     placed += part[plain].tolist()
@@ -284,12 +283,20 @@ def combined(losses: np.ndarray, words: list[str], searched: Callable[[str], lis
     loses least: n - 1 of them suffice.  Those are searched backward for their own n
     best.  Ties go to departures in earlier words.
     """
-    few = np.sort(np.argsort(losses, kind="stable")[: n - 1])
+    if len(losses) >= n:
+        least = np.partition(losses, n - 2)[n - 2]
+        few = np.flatnonzero(losses < least)
+        few = np.sort(np.concatenate([few, np.flatnonzero(losses == least)[: n - 1 - len(few)]]))
+    else:
+        few = np.arange(len(losses))
     ways: list[tuple[float, tuple[tuple[int, int], ...]]] = [(0.0, ())]
     for i in few[np.isfinite(losses[few])].tolist():
+        if len(ways) == n and losses[i] >= ways[-1][0]:
+            continue  # even its second best way alone is none of the n
         found = searched(words[i])
-        own = [(found[0][0] - score, ((i, rank),) if rank else ()) for rank, (score, _) in enumerate(found)]
-        ways = heapq.nsmallest(n, ((a + b, x + y) for (a, x), (b, y) in itertools.product(ways, own)), key=lambda w: (round(w[0], 9), w[1]))
+        top = found[0][0]
+        own = [(0.0, ()), *[(round(top - found[rank][0], 9), ((i, rank),)) for rank in range(1, len(found))]]
+        ways = sorted([(round(a + b, 9), x + y) for a, x in ways for b, y in own])[:n]
     return ways
 
 
@@ -306,11 +313,15 @@ class _Store:
         self.best, self.loss, self.body, self.starts, self.sizes, self.exact = (np.zeros(0, t) for t in (float, float, np.int32, np.int64, np.int64, bool))
 
     def ways(self, n: int) -> Callable[[str], list[tuple[float, tuple[int, ...]]]]:
-        """The n best ways of a word, searched once."""
+        """The n best ways of a word, searched once; of tied ways the one that stands here is the first."""
 
         def of(word: str) -> list[tuple[float, tuple[int, ...]]]:
             if (word, n) not in self.searched:
-                self.searched[word, n] = self.pieces.nbest(word, n)
+                found, k = self.pieces.nbest(word, n), self.number[word]
+                own = tuple(self.body[self.starts[k] : self.starts[k] + self.sizes[k]].tolist())
+                if found[0][1] != own:
+                    found = [(found[0][0], own), *[f for f in found if f[1] != own]][:n]
+                self.searched[word, n] = found
             return self.searched[word, n]
 
         return of
@@ -340,22 +351,34 @@ class _Store:
         ends = np.cumsum(sizes)
         return self.body[np.repeat(self.starts[at] - ends + sizes, sizes) + np.arange(int(ends[-1]) if len(ends) else 0)]
 
-    def nbest(self, words: list[str], n: int) -> tuple[list[float], list[np.ndarray], bool]:
-        """(scores, ids) of the n best ways of a text, best first, and whether its best ids spell it."""
+    def nbest(self, words: list[str], n: int, with_ids: bool) -> tuple[list[float], list[np.ndarray], list[str], bool]:
+        """(scores, ids, digests of ids) of the n best ways of a text, best first, and whether its best ids spell it.
+
+        Without ids, those of the best way alone come back; digests are made from its
+        stretches and the words in which a way departs.
+        """
         if not words:
-            return [], [], True
+            return [], [], [], True
         at = np.fromiter(map(self.number.__getitem__, words), np.int64, len(words))
         whole, of = self.ids(at), self.ways(n)
-        best, ends = float(self.best[at].sum()), np.cumsum(self.sizes[at])
-        scores, ids = [], []
+        best, body, width = float(self.best[at].sum()), memoryview(whole.tobytes()), whole.itemsize
+        ends = np.cumsum(self.sizes[at])
+        scores, ids, digests = [], [], []
         for loss, departures in combined(self.loss[at], words, of, n):
             parts, done = [], 0
             for i, rank in departures:
-                parts += [whole[done : ends[i] - self.sizes[at[i]]], np.array(of(words[i])[rank][1], dtype=np.int32)]
-                done = ends[i]
+                end = int(ends[i])
+                parts += [body[width * done : width * (end - int(self.sizes[at[i]]))], np.array(of(words[i])[rank][1], dtype=np.int32).tobytes()]
+                done = end
+            parts.append(body[width * done :])
+            made = hashlib.sha1()
+            for part in parts:
+                made.update(part)
             scores.append(best - loss)
-            ids.append(np.concatenate([*parts, whole[done:]]) if parts else whole)
-        return scores, ids, bool(self.exact[at].all())
+            digests.append(made.hexdigest())
+            if with_ids or not ids:
+                ids.append(np.frombuffer(b"".join(parts), dtype=np.int32) if departures else whole)
+        return scores, ids, digests, bool(self.exact[at].all())
 
 
 def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n: int = 4, ids: str = "nbest", cache_words: int = 400_000) -> DataFrame:
@@ -376,7 +399,7 @@ def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n
     types = [pa.int64(), *[pa.list_(pa.int32()), pa.list_(pa.list_(pa.int32()))][: len(shown)], pa.list_(pa.float64()), pa.list_(pa.string()), pa.string(), pa.bool_()]
     store: list[_Store] = []  # made in the worker
     nothing = np.zeros(0, np.int32)
-    digest = lambda found: hashlib.sha1(found.tobytes()).hexdigest()
+    empty = hashlib.sha1(b"").hexdigest()
 
     def make(batch: pa.RecordBatch) -> list:
         if not store:
@@ -392,10 +415,9 @@ def encode_documents(df: DataFrame, pieces: Pieces, text_col: str = "text", *, n
             if new := list(set(itertools.chain.from_iterable(split)) - known.number.keys()):
                 known.add(new)
             for words in split:
-                scores, ways, exact = known.nbest(words, n)
-                digests = [digest(w) for w in ways]
+                scores, ways, digests, exact = known.nbest(words, n, len(shown) > 1)
                 best = ways[0] if ways else nothing
-                rows.append((len(best), *[best, ways][: len(shown)], scores, digests, digests[0] if ways else digest(nothing), exact))
+                rows.append((len(best), *[best, ways][: len(shown)], scores, digests, digests[0] if ways else empty, exact))
         return [pa.array([r[i] for r in rows], t) for i, t in enumerate(types)]
 
     return add_columns(df, fields, make)
