@@ -4,26 +4,28 @@ Every tree splits space by random hyperplanes: of a few random directions the on
 which a bounded sample spreads most, cut at the sample's median.  The depth follows the
 number of rows.  Vectors get one extra component that lifts them onto a sphere, so the
 largest inner product becomes the smallest angle.  All rows are filed under their leaf
-in each tree.  A query walks all trees with one priority queue, ordered by the summed
-squares of the margins crossed on the way, and opens leaves until they hold enough
-different vectors; the sample, filed like the rows, tells how many.  Leaf candidates
-are then reranked with exact inner products.
+in each tree.  A query opens leaves of all trees in one order, by the summed squares of
+the margins crossed on the way, until they hold enough different vectors; the sample,
+filed like the rows, tells how many.  Leaf candidates are then reranked with exact inner
+products.
 """
 
 from __future__ import annotations
 
-import heapq
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.fs as pafs
+import pyarrow.parquet as pq
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .frames import Workspace
+from .frames import Workspace, tidied
+from .warc import _filesystem
 
 
 @dataclass(frozen=True)
@@ -53,25 +55,37 @@ class Forest:
             out[:, t] = node - (2**self.depth - 1)
         return out
 
-    def search(self, query: np.ndarray, share: float) -> list[tuple[int, int]]:
-        """(tree, leaf) pairs in the order of the shared queue until they hold a share of the sample's different vectors."""
-        lifted = np.append(query, 0.0)
-        scale = max(float(np.linalg.norm(query)), 1e-300)
-        margins = [(self.normals[t] @ lifted / scale - self.offsets[t] / self.largest_norm).tolist() for t in range(len(self.normals))]
-        inner = 2**self.depth - 1
-        queue = [(0.0, t, 0) for t in range(len(self.normals))]
-        found, held = [], np.zeros(self.sample_size, dtype=bool)
-        while queue and (share >= 1 or np.count_nonzero(held) < share * self.sample_size):
-            crossed, t, node = heapq.heappop(queue)
-            tree = margins[t]
-            while node < inner:
-                margin = tree[node]
-                near = 2 * node + 2 if margin > 0 else 2 * node + 1
-                heapq.heappush(queue, (crossed + margin * margin, t, 4 * node + 3 - near))
-                node = near
-            found.append((t, node - inner))
-            held[self.sample[t][node - inner]] = True
-        return found
+    def opened(self, queries: np.ndarray, share: float) -> np.ndarray:
+        """Bits by leaf (of all trees in turn) and query: the leaves that its search opens.
+
+        One queue over all trees, ordered by the summed squares of the margins crossed,
+        opens leaves in the order of that sum until they hold a share of the sample's
+        different vectors.  So it opens all leaves up to the sum at which the sample's
+        vectors, each taken where it is nearest, make up that share.
+        """
+        places = np.empty((len(self.normals), self.sample_size), dtype=np.int64)
+        for t, leaves in enumerate(self.sample):
+            for leaf, members in enumerate(leaves):
+                places[t, members] = leaf
+        wanted = int(np.ceil(share * self.sample_size))
+        out = []
+        for low in range(0, len(queries), 256):
+            part = queries[low : low + 256]
+            lifted = np.hstack([part, np.zeros((len(part), 1))])
+            scale = np.maximum(np.linalg.norm(part, axis=1, keepdims=True), 1e-300)
+            sums, nearest_sum = [], np.full((len(part), self.sample_size), np.inf)
+            for t in range(len(self.normals)):
+                margins = lifted @ self.normals[t].T / scale - self.offsets[t] / self.largest_norm
+                crossed = np.zeros((len(part), 1))
+                for level in range(self.depth):
+                    margin = margins[:, 2**level - 1 : 2 ** (level + 1) - 1]
+                    square, right = margin * margin, margin > 0
+                    crossed = np.stack([crossed + np.where(right, square, 0.0), crossed + np.where(right, 0.0, square)], axis=2).reshape(len(part), -1)
+                sums.append(crossed)
+                np.minimum(nearest_sum, crossed[:, places[t]], out=nearest_sum)
+            most = np.full(len(part), np.inf) if share >= 1 or wanted < 1 else np.partition(nearest_sum, wanted - 1, axis=1)[:, wanted - 1]
+            out.append(np.packbits((np.hstack(sums) <= most[:, None]).T, axis=1))
+        return np.hstack(out)
 
 
 def usable(df: DataFrame, id_col: str, vector_col: str) -> DataFrame:
@@ -125,74 +139,43 @@ def fit_forest(vectors: DataFrame, rows: int, *, trees: int = 4, leaf_rows: int
     return Forest(normals, offsets, depth, forest.largest_norm, tuple(filed), len(points))
 
 
-def _blocks(pairs: dict, ids: np.ndarray, vectors: np.ndarray, width: str) -> pa.RecordBatch:
-    """Rows by tree and leaf; vectors in the width that their table has, which loses nothing."""
-    keys, vectors = list(pairs), vectors.astype(width)
-    return pa.RecordBatch.from_arrays(
-        [
-            pa.array([k[0] for k in keys], pa.int32()),
-            pa.array([k[1] for k in keys], pa.int32()),
-            pa.array([len(pairs[k]) for k in keys], pa.int64()),
-            pa.array([ids[pairs[k]].tobytes() for k in keys], pa.binary()),
-            pa.array([vectors[pairs[k]].tobytes() for k in keys], pa.binary()),
-        ],
-        names=["tree", "leaf", "n", "ids", "vectors"],
-    )
-
-
-_BLOCK = "tree int, leaf int, n long, ids binary, vectors binary"
+_INDEX = "vec_id long, v binary, leaves binary"
 
 
 def _file_rows(vectors: DataFrame, forest: Forest, width: str) -> DataFrame:
-    """Blocks of rows by tree and leaf, one for each Arrow batch that has any there."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                ids, points = batch.column(0).to_numpy(), _matrix(batch.column(1))
-                leaves = forest.leaves(points)
-                pairs = {}
-                for t in range(leaves.shape[1]):
-                    order = np.argsort(leaves[:, t], kind="stable")
-                    values, starts = np.unique(leaves[order, t], return_index=True)
-                    for leaf, members in zip(values.tolist(), np.split(order, starts[1:]), strict=True):
-                        pairs[t, leaf] = members
-                yield _blocks(pairs, ids, points, width)
-
-    return vectors.select("vec_id", "v").mapInArrow(run, _BLOCK)
-
-
-def _file_queries(queries: DataFrame, forest: Forest, share: float, width: str) -> DataFrame:
-    """Blocks of queries by the leaves that their search opens."""
+    """The index: every vector once, in the width that its table has (which loses nothing), with its leaf in each tree."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                ids, points = batch.column(0).to_numpy(), _matrix(batch.column(1))
-                pairs: dict = {}
-                for k in range(len(ids)):
-                    for key in forest.search(points[k], share):
-                        pairs.setdefault(key, []).append(k)
-                yield _blocks({k: np.array(v) for k, v in pairs.items()}, ids, points, width)
+                points = _matrix(batch.column(1))
+                cells = [pa.array([r.tobytes() for r in x], pa.binary()) for x in (points.astype(width), forest.leaves(points).astype("<i4"))]
+                yield pa.RecordBatch.from_arrays([batch.column(0), *cells], names=["vec_id", "v", "leaves"])
 
-    return queries.select("vec_id", "v").mapInArrow(run, _BLOCK)
+    return vectors.select("vec_id", "v").mapInArrow(run, _INDEX)
 
 
-def _packed(blocks: DataFrame, sizes: dict, rows: int) -> DataFrame:
-    """Blocks of a leaf gathered into bounded groups of about ``rows`` rows (salted beyond)."""
-    parts = {k: -(-n // rows) for k, n in sizes.items()}
-    hot = [(t, leaf, p) for (t, leaf), p in parts.items() if p > 1]
-    if hot:  # trees * leaves entries at most
-        spread = blocks.sparkSession.createDataFrame(hot, "tree int, leaf int, parts int")
-        blocks = blocks.join(F.broadcast(spread), ["tree", "leaf"], "left").withColumn("salt", F.pmod(F.xxhash64("ids"), F.coalesce("parts", F.lit(1))).cast("int"))
-    else:
-        blocks = blocks.withColumn("salt", F.lit(0))
-    return blocks.groupBy("tree", "leaf", "salt").agg(F.collect_list(F.struct("ids", "vectors")).alias("b"))
+def _read_index(folder: str, rows: int, dim: int, trees: int, width: str) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(ids, vectors, leaves) of the whole index, about ``rows`` at a time."""
+    fs, base = _filesystem(folder)
+    held: list[pa.RecordBatch] = []
 
+    def block() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        whole = pa.Table.from_batches(held)
+        flat = lambda name, kind, n: np.frombuffer(b"".join(whole.column(name).to_pylist()), dtype=kind).reshape(-1, n)
+        return whole.column("vec_id").to_numpy(), flat("v", width, dim), flat("leaves", "<i4", trees)
 
-def _join_lists(column, k: int, dim: int, width: str) -> tuple[np.ndarray, np.ndarray]:
-    parts = column[k].as_py()
-    return np.frombuffer(b"".join(p["ids"] for p in parts), dtype=np.int64), np.frombuffer(b"".join(p["vectors"] for p in parts), dtype=width).reshape(-1, dim).astype(np.float64)
+    for info in sorted(fs.get_file_info(pafs.FileSelector(base)), key=lambda i: i.path):
+        if info.base_name.startswith(("_", ".")):
+            continue
+        with fs.open_input_file(info.path) as file:
+            for batch in pq.ParquetFile(file, buffer_size=1 << 20).iter_batches(batch_size=rows, columns=["vec_id", "v", "leaves"]):
+                held.append(batch)
+                if sum(b.num_rows for b in held) >= rows:
+                    yield block()
+                    held = []
+    if held and sum(b.num_rows for b in held):
+        yield block()
 
 
 def _best(query: np.ndarray, ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -208,35 +191,76 @@ def _best(query: np.ndarray, ids: np.ndarray, scores: np.ndarray, k: int) -> tup
     return query[place < k], ids[place < k], scores[place < k]
 
 
-def _least_copies(points: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """The rows without those that k + 1 equal vectors with smaller ids keep out of every answer."""
-    if len(ids) <= k + 1:
-        return points, ids
-    whole = np.ascontiguousarray(points).view(np.dtype((np.void, points.itemsize * points.shape[1]))).ravel()
-    group = np.unique(whole, return_inverse=True)[1].ravel()
-    order = np.lexsort((ids, group))
-    place = np.arange(len(order)) - np.searchsorted(group[order], group[order])
-    stays = order[place <= k]
-    return points[stays], ids[stays]
-
-
-def _near(points: np.ndarray, ids: np.ndarray, wants: np.ndarray, asked: np.ndarray, k: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """(queries, ids, scores) of all rows of a leaf that may be among a query's k, exactly scored."""
-    step = max(1, (1 << 21) // max(1, len(points)))
-    for low in range(0, len(asked), step):
-        want = wants[low : low + step]
-        rough = want @ points.T
-        if rough.shape[1] > k + 1:
-            # matrix products round by position; keep all that may be among the k, and multiply those anew
-            least = np.partition(rough, -k - 1, axis=1)[:, -k - 1] - 1e-9 * np.maximum(1.0, np.abs(rough).max(axis=1))
-            row, col = np.nonzero(rough >= least[:, None])
-        else:
-            row, col = (x.ravel() for x in np.indices(rough.shape))
-        for a in range(0, len(row), 1 << 15):
-            i, j = row[a : a + (1 << 15)], col[a : a + (1 << 15)]
-            other = ids[j] != asked[low + i]
-            i, j = i[other], j[other]
-            yield asked[low + i], ids[j], (points[j] * want[i]).sum(axis=1)
+def _least_copies(points: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
+    """Numbers of the rows without those that k + 1 equal vectors with other, smaller ids keep out of every answer."""
+    raw = np.ascontiguousarray(points).view(np.uint8).reshape(len(points), -1).view("<u4").astype(np.uint64)
+    with np.errstate(over="ignore"):
+        code = (raw * np.random.default_rng(1).integers(1, 2**63, raw.shape[1], dtype=np.uint64)).sum(axis=1)
+    _, group, size = np.unique(code, return_inverse=True, return_counts=True)
+    crowded = size[group] > k + 1
+    many = np.flatnonzero(crowded)
+    if not len(many):
+        return np.arange(len(points))
+    whole = np.ascontiguousarray(points[many])
+    same = np.unique(whole.view(np.dtype((np.void, whole.itemsize * whole.shape[1]))).ravel(), return_inverse=True)[1].ravel()
+    order = np.lexsort((ids[many], same))
+    group, own = same[order], ids[many][order]
+    once = np.ones(len(order), dtype=bool)
+    once[1:] = (group[1:] != group[:-1]) | (own[1:] != own[:-1])
+    order, group = order[once], group[once]
+    place = np.arange(len(order)) - np.searchsorted(group, group)
+    return np.sort(np.concatenate([np.flatnonzero(~crowded), many[order[place <= k]]]))
+
+
+def _scan(index: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], forest: Forest, asked: np.ndarray, wants: np.ndarray, share: float, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query's number, id, score) of the k best rows of each query in the leaves that it opens.
+
+    Leaf by leaf, a block's rows meet the queries that open the leaf; what may be among a
+    query's k is scored exactly.
+    """
+    opened, leaves = forest.opened(wants, share), 2**forest.depth
+    least = np.full(len(asked), -np.inf)
+    held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    size = 0
+
+    def best() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        return _best(*(np.concatenate([h[i] for h in held]) for i in range(3)), k)
+
+    # bits by leaf are padded where a part has no whole bytes; only the last part may
+    at_query = [np.flatnonzero(np.unpackbits(row, count=len(asked))).astype(np.int32) for row in opened]
+    del opened
+    for ids, points, places in index:
+        stays = _least_copies(points, ids, k)
+        ids, points, places = ids[stays], points[stays], places[stays]
+        for t in range(places.shape[1]):
+            order = np.argsort(places[:, t], kind="stable")
+            found, starts = np.unique(places[order, t], return_index=True)
+            for leaf, members in zip(found.tolist(), np.split(order, starts[1:]), strict=True):
+                queries = at_query[t * leaves + leaf]
+                step = max(1, (1 << 21) // len(members))
+                own, mine = points[members].astype(np.float64), ids[members]
+                for low in range(0, len(queries), step):
+                    q = queries[low : low + step]
+                    rough = wants[q] @ own.T
+                    # matrix products round by position; keep all that may be among the k, and multiply those anew
+                    slack = 1e-9 * np.maximum(1.0, np.abs(rough).max(axis=1))
+                    bound = least[q]
+                    if len(members) > k + 1:
+                        bound = np.maximum(bound, np.partition(rough, -k - 1, axis=1)[:, -k - 1])
+                    row, col = np.nonzero(rough >= (bound - slack)[:, None])
+                    for a in range(0, len(row), 1 << 15):
+                        i, j = row[a : a + (1 << 15)], col[a : a + (1 << 15)]
+                        other = mine[j] != asked[q[i]]
+                        i, j = i[other], j[other]
+                        held.append((q[i], mine[j], (own[j] * wants[q[i]]).sum(axis=1)))
+                        size += len(i)
+                    if size > 400_000:
+                        held = [best()]
+                        number, _, score = held[0]
+                        size = 0  # what is held is bounded by k a query
+                        last = np.flatnonzero(np.bincount(number, minlength=len(asked)) == k)
+                        least[last] = score[np.searchsorted(number, last, side="right") - 1]
+    return best() if held else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
 
 
 def opened_share(rows: int, scale: float, power: float) -> float:
@@ -244,7 +268,7 @@ def opened_share(rows: int, scale: float, power: float) -> float:
     return min(1.0, scale * max(rows, 1) ** (power - 1))
 
 
-def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_scale: float = 1.85, open_power: float = 0.886, block_rows: int = 8192, **forest_settings) -> DataFrame:
+def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", *, k: int = 20, open_scale: float = 1.85, open_power: float = 0.886, block_rows: int = 1 << 17, block_queries: int = 1 << 13, **forest_settings) -> DataFrame:
     """(query_id, rank, vec_id, score): the k rows of ``df`` found nearest to each query.
 
     A query opens leaves until they hold about ``open_scale * N ** open_power`` of N
@@ -254,6 +278,11 @@ def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_co
     the smaller id.  Vectors that are null, empty, zero or hold null or non-finite
     components take no part, nor do null ids; no usable vector or query gives no row.
     Other columns, whatever their names, are not read.
+
+    Every row lies once in the index, in the folder that all machines share; a task holds
+    ``block_queries`` queries and their best rows, and goes through the index in blocks
+    of ``block_rows``.  So disk is the index, the queries and the answers, whatever
+    number of leaves is opened.  Workers read through ``pyarrow.fs``.
     """
     kind = df.schema[vector_col].dataType.elementType
     width = "<f4" if isinstance(kind, T.FloatType) and queries.schema[vector_col].dataType.elementType == kind else "<f8"
@@ -263,40 +292,33 @@ def nearest(df: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_co
     schema = "query_id long, rank int, vec_id long, score double"
     if forest is None:
         return df.sparkSession.createDataFrame([], schema)
-    dim = forest.normals.shape[2] - 1
+    dim, trees = forest.normals.shape[2] - 1, len(forest.normals)
     work = Workspace(df.sparkSession, "forest")
-    index = work.keep(_file_rows(rows, forest, width), "index")
-    counts = {(r[0], r[1]): int(r[2]) for r in index.groupBy("tree", "leaf").agg(F.sum("n")).collect()}  # trees * leaves rows at most
-    share = opened_share(total, open_scale, open_power)
-    asked = work.keep(_file_queries(usable(queries, id_col, vector_col).where(F.size("v") == dim), forest, share, width), "asked")
-    load = {(r[0], r[1]): int(r[2]) for r in asked.groupBy("tree", "leaf").agg(F.sum("n")).collect()}
-    pairs = _packed(index, counts, block_rows).withColumnRenamed("b", "rows").join(_packed(asked, load, block_rows // 8).select("tree", "leaf", F.col("b").alias("queries")), ["tree", "leaf"])
+    work.keep(_file_rows(rows, forest, width), "index")
+    folder, share = f"{work.base}/index", opened_share(total, open_scale, open_power)
+    asking = usable(queries, id_col, vector_col).where(F.size("v") == dim)
+    number = asking.count()
+    parts = max(1, -(-number // block_queries), min(df.sparkSession.sparkContext.defaultParallelism, -(-number // 64)))
 
-    def rerank(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-        size = 0
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
 
-        def best() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-            return _best(*(np.concatenate([h[i] for h in held]) for i in range(3)), k)
+        def answers() -> pa.RecordBatch:
+            asked, wants = np.concatenate([b.column(0).to_numpy() for b in held]), np.vstack([_matrix(b.column(1)) for b in held])
+            at, ids, scores = _scan(_read_index(folder, block_rows, dim, trees, width), forest, asked, wants, share, k)
+            return pa.RecordBatch.from_arrays([pa.array(asked[at]), pa.array(ids), pa.array(scores)], names=["query_id", "vec_id", "score"])
 
         for batch in batches:
-            for at in range(batch.num_rows):
-                ids, points = _join_lists(batch.column(0), at, dim, width)
-                points, ids = _least_copies(points, ids, k)
-                query_ids, wants = _join_lists(batch.column(1), at, dim, width)
-                for part in _near(points, ids, wants, query_ids, k):
-                    held.append(part)
-                    size += len(part[0])
-                    if size > 400_000:
-                        held = [best()]
-                        size = len(held[0][0])
-                        if size > 200_000:
-                            yield pa.RecordBatch.from_arrays([pa.array(c) for c in held[0]], names=["query_id", "vec_id", "score"])
-                            held, size = [], 0
+            for low in range(0, batch.num_rows, block_queries):
+                held.append(batch.slice(low, block_queries))
+                if sum(b.num_rows for b in held) >= block_queries:
+                    yield answers()
+                    held = []
         if held:
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in best()], names=["query_id", "vec_id", "score"])
+            yield answers()
 
-    found = pairs.select("rows", "queries").mapInArrow(rerank, "query_id long, vec_id long, score double")
-    once = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+    found = asking.select("vec_id", "v").repartition(parts, "vec_id").mapInArrow(tidied(run), "query_id long, vec_id long, score double")
+    # ids may repeat among the queries: the best answers of an id count
+    once = found.repartition("query_id").groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return once.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

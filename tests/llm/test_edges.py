@@ -3,6 +3,7 @@
 import collections
 import hashlib
 import itertools
+import pathlib
 import random
 import re
 import zlib
@@ -87,6 +88,28 @@ def test_copies_do_not_use_up_the_budget(spark):
     assert mean >= 0.9 and least >= 0.5
 
 
+def test_forest_keeps_every_vector_once(spark):
+    """What is written follows the rows, not the trees nor the leaves that queries open; crowds of copies hide no other id."""
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(3000, 64)).astype(np.float32)
+    x[:60] = x[0]
+    ids = [5] * 30 + list(range(30, 3000))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in zip(ids, x, strict=True)], "vec_id long, embedding array<float>")
+    root = pathlib.Path(spark.conf.get("spark.checkpoint.dir").removeprefix("file://"))
+    before = set(root.glob("forest-*"))
+    got = nearest(df, df.where("vec_id % 20 = 0"), k=20, open_scale=10.0, open_power=1.0, block_rows=500, block_queries=40).collect()
+    written = sum(f.stat().st_size for folder in set(root.glob("forest-*")) - before for f in folder.rglob("*.parquet"))
+    assert 0 < written < 1.5 * x.nbytes
+    exact = x.astype(np.float64)
+    for q in (40, 60, 2980):
+        best: dict = {}
+        for i, score in zip(ids, (exact * exact[q]).sum(axis=1).tolist(), strict=True):
+            best[i] = max(score, best.get(i, -np.inf))
+        best.pop(q)
+        want = sorted(best, key=lambda i: (-best[i], i))[:20]
+        assert [r["vec_id"] for r in sorted((r for r in got if r["query_id"] == q), key=lambda r: r["rank"])] == want
+
+
 # --- toxicity -------------------------------------------------------------------------------
 
 
