@@ -32,3 +32,10 @@ def test_tables_in_reach(spark, data, changed):
     full = {r["table"]: r["hops"] for r in registry.QUERIES["khop_tables"](spark, data).collect()}
     assert full == {"customer": 1, "lineitem": 1, "nation": 2, "part": 2, "supplier": 2, "region": 3}
     assert set(rows_of(spark, changed, "khop_tables")["table"]) == set(full) - {"region"}
+
+
+def test_pairs(spark, data, changed):
+    full = registry.QUERIES["feature_path_pairs"](spark, data).toPandas()
+    assert len(full) == 21
+    lost = full["path_id"].str.contains("e3") | (full["feature_id"] == "part.p_brand")
+    assert normal(rows_of(spark, changed, "feature_path_pairs")) == normal(full[~lost]) and 0 < lost.sum() < 21
