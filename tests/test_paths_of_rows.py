@@ -39,3 +39,11 @@ def test_pairs(spark, data, changed):
     assert len(full) == 21
     lost = full["path_id"].str.contains("e3") | (full["feature_id"] == "part.p_brand")
     assert normal(rows_of(spark, changed, "feature_path_pairs")) == normal(full[~lost]) and 0 < lost.sum() < 21
+
+
+def test_selection(spark, data, changed):
+    order = lambda folder: registry.QUERIES["greedy_selection"](spark, folder).toPandas()
+    full, ours = order(data), order(changed[0])
+    assert any("e3" in p for p in full["path_id"]) and "part.p_brand" in set(full["feature_id"])
+    assert not any("e3" in p for p in ours["path_id"]) and "part.p_brand" not in set(ours["feature_id"])
+    assert set(ours["variant"]) == set(full["variant"]) and (ours.groupby("variant").size() == len(ours) // 5).all()
