@@ -5,6 +5,7 @@ import pytest
 from test_queries import TABLES, normal
 
 import pathlift.registry as registry
+from pathlift.functions.measures import combination_count
 
 registry.load_all()
 
@@ -47,3 +48,10 @@ def test_selection(spark, data, changed):
     assert any("e3" in p for p in full["path_id"]) and "part.p_brand" in set(full["feature_id"])
     assert not any("e3" in p for p in ours["path_id"]) and "part.p_brand" not in set(ours["feature_id"])
     assert set(ours["variant"]) == set(full["variant"]) and (ours.groupby("variant").size() == len(ours) // 5).all()
+
+
+def test_plans(spark, data, changed):
+    full, ours = (f.set_index(["table", "budget"]) for f in (registry.QUERIES["combination_counts"](spark, data).toPandas(), rows_of(spark, changed, "combination_counts")))
+    for frame in (full, ours):
+        assert all(r.plans == combination_count(r.n, r.m, budget) for (_, budget), r in frame.iterrows())
+    assert full.loc[("all", 3), "n"] > ours.loc[("all", 3), "n"] and full.loc[("all", 3), "m"] > ours.loc[("all", 3), "m"] and ("region", 1) not in ours.index
