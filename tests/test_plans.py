@@ -31,3 +31,12 @@ def test_bridge_filters_reach_the_scan(spark, data):
 def test_edge_statistics_stay_in_the_jvm(spark, data):
     plan = plan_of(edge_stats.edge_statistics(Repository(spark, data), EDGES[:4]))
     assert "Python" not in plan and "Arrow" not in plan and "CartesianProduct" not in plan
+
+
+def test_rows_meet_their_key_once(spark, data):
+    """Cells of a far table are folded where its rows met by key: nothing is dealt by cell."""
+    repo = Repository(spark, data)
+    ways = [edge_stats.Leaving(path_of(e).edges[0], c) for e in ("e5r", "e6r") for c in ("l_quantity", "l_returnflag")]
+    plan = plan_of(edge_stats.leaving_statistics(repo, ways))
+    dealt = re.findall(r"hashpartitioning\(([^()]*(?:\([^()]*\)[^()]*)*), \d+\)", plan)
+    assert dealt and not any("key#" in d and ("bin#" in d or "_groupingexpression#" in d) for d in dealt), dealt
