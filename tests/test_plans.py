@@ -40,3 +40,16 @@ def test_rows_meet_their_key_once(spark, data):
     plan = plan_of(edge_stats.leaving_statistics(repo, ways))
     dealt = re.findall(r"hashpartitioning\(([^()]*(?:\([^()]*\)[^()]*)*), \d+\)", plan)
     assert dealt and not any("key#" in d and ("bin#" in d or "_groupingexpression#" in d) for d in dealt), dealt
+
+
+def test_rows_meet_the_near_side_before_their_cells_are_taken_apart(spark, data):
+    """The join by key sees a row of the far table once, not once a cell, and no cells folded beforehand."""
+    repo = Repository(spark, data)
+    ways = [edge_stats.Leaving(path_of("e5r").edges[0], c) for c in ("l_quantity", "l_returnflag")]
+    lines = plan_of(edge_stats.leaving_statistics(repo, ways)).splitlines()
+    depth = [len(re.match(r"[\s:+*()\d-]*", x)[0]) for x in lines]
+    joins = [i for i, x in enumerate(lines) if "Join" in x and "key#" in x]
+    assert joins
+    for i in joins:
+        below = next((j for j in range(i + 1, len(lines)) if depth[j] <= depth[i]), len(lines))
+        assert not any("Generate" in x or "bin#" in x for x in lines[i + 1 : below])
