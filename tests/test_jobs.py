@@ -38,3 +38,12 @@ def test_tasks_are_prepared_side_by_side(spark, data, monkeypatch):
     monkeypatch.setattr(tasks.Workload, "prepare", lambda self, method=True: seen.append((self.spec.name, method, self.spec.name in ("quality", "region") and pairs.wait() >= 0)))
     works = tasks.prepared(spark, data, False)
     assert [w.spec.name for w in works] == list(tasks.TASKS) and sorted(s[0] for s in seen) == sorted(tasks.TASKS) and not any(s[1] for s in seen)
+
+
+def test_a_plan_is_scored_once(spark, data, monkeypatch):
+    work = tasks.Workload(spark, data, tasks.TASKS["spend"])
+    fits, final = [], type(work.sample).final
+    monkeypatch.setattr(type(work.sample), "final", lambda self, plan: fits.append(tuple(plan)) or final(self, plan))
+    first = work.score_plans({"": [], "one": work.names[:1]})
+    again = work.score_plans({"a": work.names[:1], "b": work.names[:2], "c": []})
+    assert fits == [(), tuple(work.names[:1]), tuple(work.names[:2])] and again["a"] == first["one"] and again["c"] == first[""]
