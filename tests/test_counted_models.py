@@ -1,11 +1,16 @@
-"""Models of counted rows learn from every row: against brute force over the rows, and whatever the size of the searches' sample."""
+"""Models that score plans and those that searches ask learn from every row: against brute force over the rows."""
+
+from functools import partial
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from pathlift.operators import counted_models, joint_models
+from pathlift.operators.engine import Base
 from pathlift.plans import tasks
+from pathlift.sources.jobs import in_tasks
+from pathlift.sources.repository import JoinEdge, Repository
 
 
 def test_neighbours_are_those_of_all_rows():
@@ -52,13 +57,41 @@ def test_lines_hold_every_row_and_code(spark):
     assert (codes == np.array([[(i + k) % 11 + 1 for k in range(17)] for i in range(500)])).all()
 
 
-@pytest.mark.parametrize("name", ["region", "spend"])
-def test_scores_do_not_hang_on_the_sample(spark, data, name):
-    """Fails if models, bins or thresholds come from the rows that searches ask."""
-    few, all_rows = (tasks.Workload(spark, data, tasks.TASKS[name], most_rows=most) for most in (30, 20_000))
-    plans = {"": [], "one": all_rows.names[:1], "five": all_rows.names[:5]}
-    found = few.score_plans(plans)
-    assert len(few.sample.y) == 30 < len(all_rows.sample.y) and found == pytest.approx(all_rows.score_plans(plans)) and found["five"] != found[""]
+@pytest.fixture(scope="module")
+def large(spark):
+    """A task of 40,000 rows, whose rare rows tell what a column is worth only if all are read."""
+    rows = spark.range(40_000).select("id", (F.pmod(F.xxhash64("id"), F.lit(5)) == 0).cast("int").alias("y"))
+    far = spark.range(40_000).select("id", F.pmod(F.xxhash64("id"), F.lit(5)).alias("told"), F.pmod(F.hash("id"), F.lit(1000)).alias("noise"), F.concat(F.lit("v"), (F.col("id") % 40).cast("string")).alias("text"))
+    spec = tasks.TaskSpec("large", Base("rows", "id", "y"), (JoinEdge("l1", "rows", "id", "far", "id"),), {"far": ("told", "noise", "text")}, 1)
+    work = tasks.Workload(spark, "", spec)
+    work.__dict__["repo"] = Repository(spark, "", {"rows": rows, "far": far})
+    return work
+
+
+def test_searches_and_scores_learn_from_every_row(large):
+    """Fails if models, bins or thresholds come from a part of the rows."""
+    kept, held = (large.table.where(c).count() for c in ("NOT held_out", "held_out"))
+    assert kept > 25_000 and len(large.sample.y) == kept
+    counted = counted_models.lines(large.table, F.col("held_out").cast("int") * 2, "y", [(), ("l1:told",)], large.coded(["l1:told"])).groupBy("plan", "part").agg(F.sum("n").alias("n"))
+    assert {tuple(r) for r in counted.collect()} == {(p, part, n) for p in (0, 1) for part, n in ((0, kept), (2, held))}
+    scores = large.score_plans({"": [], "told": ["l1:told"], "noise": ["l1:noise"]})
+    assert scores["told"] == 1.0 and scores[""] == pytest.approx(0.8, abs=0.02) and scores["noise"] == pytest.approx(scores[""], abs=0.01)
+
+
+def test_a_stored_table_answers_as_the_rows_do(spark, large):
+    stored, names = large.sample, large.names
+    codes, sizes, y = stored.part(names)
+    checked = np.concatenate([c for _, _, c in stored.batches([])])
+    assert 0.27 < checked.mean() < 0.33 and len(codes) == len(checked)
+    whole = joint_models.Ridge.of(codes[~checked], sizes, y[~checked])
+    assert np.allclose(stored.model.gram[: len(whole.gram), : len(whole.gram)], whole.gram) and stored.squares == pytest.approx((y[~checked] ** 2).sum())
+    told = joint_models.Ridge.one_hot(codes[:, [1, 2]], [sizes[1], sizes[2]]) @ whole.weights([1, 2])
+    assert stored.score(names[1:]) == pytest.approx(np.mean((told >= 0.5)[checked] == y[checked])) and stored.fits == 1
+    for k, n in enumerate(names):
+        assert stored.association(n) == pytest.approx(abs(np.corrcoef(codes[~checked, k], y[~checked])[0, 1]), abs=1e-6) and stored.mean_code(n) == pytest.approx(codes[~checked, k].mean())
+    importance, noise = stored.importances(names, 2, 0)
+    assert importance[names[0]] > 0.9 and max(noise) < 0.1
+    assert in_tasks(spark, [partial(stored.score, names[1:]), partial(stored.importances, names, 2, 0)]) == [stored.score(names[1:]), (importance, noise)]
 
 
 @pytest.mark.parametrize(("metric", "better"), [("accuracy", 0.9), ("f1", 0.8), ("mae", -1.0), ("mse", -1.5)])
